@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from assocmine.llm import bpe
+from assocmine.llm import bpe, simhash, token_files
 from assocmine.llm.vocabulary import public_path
 
 
@@ -18,5 +18,13 @@ def op1_bpe_automaton(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.digest(bpe.decode(encoded, path, ["doc_id"]))
 
 
-QUERIES = {"op1_bpe_automaton": op1_bpe_automaton}
+def op3_bit_plane_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_files.write_and_read(documents(spark, sf_dir), public_path("byte_bpe_50k.json"))
+
+
+def op8_simhash_ball(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return simhash.near_duplicates(documents(spark, sf_dir))
+
+
+QUERIES = {"op1_bpe_automaton": op1_bpe_automaton, "op3_bit_plane_files": op3_bit_plane_files, "op8_simhash_ball": op8_simhash_ball}
 ORACLES: dict[str, str] = {}
