@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from assocmine.llm import bpe, simhash, token_files
+from assocmine.llm import bpe, quality, simhash, token_files, toxicity
 from assocmine.llm.vocabulary import public_path
 
 
@@ -18,6 +18,11 @@ def op1_bpe_automaton(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.digest(bpe.decode(encoded, path, ["doc_id"]))
 
 
+def op2_decision_list(spark: SparkSession, sf_dir: str) -> DataFrame:
+    judged = quality.judge(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+    return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "rule")
+
+
 def op3_bit_plane_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.write_and_read(documents(spark, sf_dir), public_path("byte_bpe_50k.json"))
 
@@ -26,5 +31,16 @@ def op8_simhash_ball(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(documents(spark, sf_dir))
 
 
-QUERIES = {"op1_bpe_automaton": op1_bpe_automaton, "op3_bit_plane_files": op3_bit_plane_files, "op8_simhash_ball": op8_simhash_ball}
+def op9_toxicity_lexicon(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir)
+    return toxicity.score(docs, toxicity.fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
+
+
+QUERIES = {
+    "op1_bpe_automaton": op1_bpe_automaton,
+    "op2_decision_list": op2_decision_list,
+    "op3_bit_plane_files": op3_bit_plane_files,
+    "op8_simhash_ball": op8_simhash_ball,
+    "op9_toxicity_lexicon": op9_toxicity_lexicon,
+}
 ORACLES: dict[str, str] = {}
