@@ -130,26 +130,25 @@ class MergeAutomaton:
         out.reverse()
         return out
 
-    def decode(self, ids: list[int]) -> list[str]:
-        """Arc labels along the path that ``ids`` spells."""
-        return [self.labels[i] for i in ids]
+
+def labels_of(definition: dict) -> list[str]:
+    """Arc labels by token id; added tokens spell themselves."""
+    named = [*definition["model"]["vocab"].items(), *((a["content"], a["id"]) for a in definition.get("added_tokens", []))]
+    labels = [""] * (max((token for _, token in named), default=-1) + 1)
+    for label, token in named:
+        labels[token] = label
+    return labels
 
 
 def from_definition(definition: dict) -> MergeAutomaton:
     """Compile the model part of a tokenizer file in the public JSON format."""
     model = definition["model"]
     suffix = model.get("end_of_word_suffix") or ""
-    vocab: dict[str, int] = dict(model["vocab"])
-    size = max([*vocab.values(), *(a["id"] for a in definition.get("added_tokens", []))], default=-1) + 1
-    labels = [""] * size
-    for label, token in vocab.items():
-        labels[token] = label
+    vocab, labels = model["vocab"], labels_of(definition)
     pairs = [m.split(" ") if isinstance(m, str) else m for m in model["merges"]]
     merges = [(vocab[a], vocab[b], vocab[a + b]) for a, b in pairs]
     made = {uv for _, _, uv in merges}
     base = [t for label, t in vocab.items() if t not in made and len(label.removesuffix(suffix) if suffix and label != suffix else label) == 1]
-    for added in definition.get("added_tokens", []):
-        labels[added["id"]] = added["content"]
     return MergeAutomaton(labels, base, merges, suffix)
 
 
@@ -158,3 +157,10 @@ def load(path: str) -> MergeAutomaton:
     """The automaton of a tokenizer file; each process compiles it once."""
     with open(path, encoding="utf-8") as source:
         return from_definition(json.load(source))
+
+
+@functools.lru_cache(maxsize=4)
+def arc_labels(path: str) -> list[str]:
+    """Arc labels of a tokenizer file: all that decoding needs."""
+    with open(path, encoding="utf-8") as source:
+        return labels_of(json.load(source))

@@ -23,7 +23,9 @@ from assocmine.llm import automaton
 from assocmine.plans.materialize import ship_package
 
 #: Pieces that a worker remembers with their ids, and the longest piece that it remembers.
-REMEMBERED = 600_000
+REMEMBERED = 250_000
+#: Rows of a batch handed back at once; decoded texts are longer than texts.
+ROWS_AT_ONCE = 500
 LONGEST_REMEMBERED = 64
 #: Characters below this point have had the same classes and case pairs in every Unicode version.
 STABLE = "\u0250"
@@ -95,9 +97,10 @@ class WordTokenizer:
         pieces = self.pieces
         return b"".join([pieces[piece] for piece in text.split()])
 
-    def decode(self, ids: bytes) -> str:
-        """Arc labels joined with single spaces, as the public library does for a vocabulary without decoder."""
-        return " ".join(self.machine.decode(np.frombuffer(ids, dtype="<u4").tolist()))
+
+def spell(ids: bytes, labels: list[str]) -> str:
+    """Arc labels along the path of ``ids``, joined with single spaces, as the public library does for a vocabulary without decoder."""
+    return " ".join([labels[i] for i in np.frombuffer(ids, dtype="<u4").tolist()])
 
 
 @functools.lru_cache(maxsize=2)
@@ -118,8 +121,10 @@ def encode(docs: DataFrame, path: str, keys: list[str], text: str | Column = "te
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tool = tokenizer(path)
         for batch in batches:
-            ids = [tool.encode(t) for t in utf8_values(batch.column(len(keys)))]
-            yield pa.RecordBatch.from_arrays([*batch.columns[: len(keys)], pa.array(ids, pa.binary())], names=[*keys, "ids"])
+            for start in range(0, batch.num_rows, ROWS_AT_ONCE):
+                part = batch.slice(start, ROWS_AT_ONCE)
+                ids = [tool.encode(t) for t in utf8_values(part.column(len(keys)))]
+                yield pa.RecordBatch.from_arrays([*part.columns[: len(keys)], pa.array(ids, pa.binary())], names=[*keys, "ids"])
 
     schema = ", ".join([*(f"`{k}` {narrow.schema[k].dataType.simpleString()}" for k in keys), "ids binary"])
     return narrow.mapInArrow(run, schema)
@@ -131,10 +136,12 @@ def decode(encoded: DataFrame, path: str, keys: list[str]) -> DataFrame:
     narrow = encoded.select(*keys, "ids")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tool = tokenizer(path)
+        labels = automaton.arc_labels(path)
         for batch in batches:
-            texts = [tool.decode(b"" if v is None else v) for v in batch.column(len(keys)).to_pylist()]
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(texts, pa.string())], names=[*keys, "ids", "decoded"])
+            for start in range(0, batch.num_rows, ROWS_AT_ONCE):
+                part = batch.slice(start, ROWS_AT_ONCE)
+                texts = [spell(v or b"", labels) for v in part.column(len(keys)).to_pylist()]
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(texts, pa.string())], names=[*keys, "ids", "decoded"])
 
     schema = ", ".join([*(f"`{k}` {narrow.schema[k].dataType.simpleString()}" for k in keys), "ids binary", "decoded string"])
     return narrow.mapInArrow(run, schema)
