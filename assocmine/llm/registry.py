@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from assocmine.llm import bpe, quality, simhash, token_files, toxicity
+from assocmine.llm import bpe, chat, mixing, mtree, quality, sharding, simhash, token_files, toxicity
 from assocmine.llm.vocabulary import public_path
 
 
@@ -27,6 +27,20 @@ def op3_bit_plane_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.write_and_read(documents(spark, sf_dir), public_path("byte_bpe_50k.json"))
 
 
+def op5_prefix_target_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
+    said = "\\### Assistant: </turn> ok"
+    added = spark.createDataFrame([(-7, 0, "user", said), (-7, 1, "assistant", said)], "conv_id long, turn long, role string, text string")
+    return chat.digest(chat.stream(spark.read.parquet(f"{sf_dir}/conversations.parquet").select("conv_id", "turn", "role", "text").unionByName(added)))
+
+
+def op6_mtree_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mtree.top_of_every_hundredth(spark.read.parquet(f"{sf_dir}/embeddings.parquet"))
+
+
+def op7_source_schedule(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix(documents(spark, sf_dir)).drop("h")
+
+
 def op8_simhash_ball(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(documents(spark, sf_dir))
 
@@ -36,11 +50,19 @@ def op9_toxicity_lexicon(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, toxicity.fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
 
 
+def op10_histogram_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sharding.shards(documents(spark, sf_dir))
+
+
 QUERIES = {
     "op1_bpe_automaton": op1_bpe_automaton,
     "op2_decision_list": op2_decision_list,
     "op3_bit_plane_files": op3_bit_plane_files,
+    "op5_prefix_target_chat": op5_prefix_target_chat,
+    "op6_mtree_search": op6_mtree_search,
+    "op7_source_schedule": op7_source_schedule,
     "op8_simhash_ball": op8_simhash_ball,
     "op9_toxicity_lexicon": op9_toxicity_lexicon,
+    "op10_histogram_shards": op10_histogram_shards,
 }
-ORACLES: dict[str, str] = {}
+ORACLES = {"op5_prefix_target_chat": chat.ORACLE, "op6_mtree_search": mtree.ORACLE}
