@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from assocmine.llm import bpe, chat, mixing, mtree, quality, sharding, simhash, token_files, toxicity
+from assocmine.llm import bpe, chat, mixing, mtree, quality, repeats, sharding, simhash, token_files, toxicity
 from assocmine.llm.vocabulary import public_path
 
 
@@ -27,6 +27,10 @@ def op3_bit_plane_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.write_and_read(documents(spark, sf_dir), public_path("byte_bpe_50k.json"))
 
 
+def op4_prefix_free_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeats.digest(repeats.removed(documents(spark, sf_dir)))
+
+
 def op5_prefix_target_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     said = "\\### Assistant: </turn> ok"
     added = spark.createDataFrame([(-7, 0, "user", said), (-7, 1, "assistant", said)], "conv_id long, turn long, role string, text string")
@@ -58,6 +62,7 @@ QUERIES = {
     "op1_bpe_automaton": op1_bpe_automaton,
     "op2_decision_list": op2_decision_list,
     "op3_bit_plane_files": op3_bit_plane_files,
+    "op4_prefix_free_dedup": op4_prefix_free_dedup,
     "op5_prefix_target_chat": op5_prefix_target_chat,
     "op6_mtree_search": op6_mtree_search,
     "op7_source_schedule": op7_source_schedule,
