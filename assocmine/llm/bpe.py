@@ -42,14 +42,14 @@ def packed(ids: list[int]) -> bytes:
 class Remembered(dict):
     """ids of pieces as little-endian 32-bit integers; emptied when full."""
 
-    def __init__(self, encode):
+    def __init__(self, encode, limit: int = REMEMBERED):
         super().__init__()
-        self.encode = encode
+        self.encode, self.limit = encode, limit
 
     def __missing__(self, piece: bytes) -> bytes:
         ids = self.encode(piece)
         if len(piece) <= LONGEST_REMEMBERED:
-            if len(self) >= REMEMBERED:
+            if len(self) >= self.limit:
                 self.clear()
             self[piece] = ids
         return ids

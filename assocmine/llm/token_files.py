@@ -22,6 +22,7 @@ read, so extra columns of any name do no harm.
 from __future__ import annotations
 
 import functools
+import json
 import re
 import struct
 import uuid
@@ -30,18 +31,19 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import regex
 import zstandard
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from assocmine.llm import automaton
-from assocmine.llm.bpe import STABLE, Remembered, packed, utf8_values
+from assocmine.llm.bpe import Remembered, packed, utf8_values
 from assocmine.plans.materialize import fresh_path, materialize, ship_package
 
 MAGIC = b"BPLANES1"
 BLOCK_IDS = 1 << 16
 LEVEL = 3
+#: Runs that a worker remembers with their ids.
+REMEMBERED_RUNS = 600_000
 MANIFEST = "part int, file string, n_docs long, n_ids long"
 
 
@@ -168,46 +170,37 @@ class Reader:
 WIDE_SPACE = re.compile("[" + "".join(map(chr, [*range(0x1C, 0x20), 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000])) + "]")
 #: Runs that the splitter never joins: a word with the space before it, or white space. For texts of ASCII white space.
 RUNS = re.compile(rb" ?[^\s]+|\s+(?!\S)|\s+")
-SPLIT = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+")
+SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
 
 class ByteTokenizer:
-    """Encoder for byte-level vocabularies whose words carry the space before them."""
+    """Encoder for byte-level vocabularies whose words carry the space before them.
+
+    Runs that the splitter never joins are encoded one by one and remembered. Byte-pair ranks are the token ids, which
+    holds for vocabularies numbered in the order of their merges; others are refused.
+    """
 
     def __init__(self, path: str):
-        from tokenizers import Tokenizer
-
-        self.machine = automaton.load(path)
-        public = Tokenizer.from_file(path)
-        self.splitter = public.pre_tokenizer
-        self.special = {t.content: i for i, t in public.get_added_tokens_decoder().items()}
-        self.marks = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")")
-        self.mark_bytes = [s.encode() for s in self.special]
-        self.bytes_of = {ord(s): chr(b) for s, b in automaton.byte_symbols().items()}
-        self.runs = Remembered(self._run)
-        self.words = Remembered(lambda word: packed(self.machine.encode(word.decode("latin-1"))))
-
-    def _run(self, run: bytes) -> bytes:
-        words = self.words
-        if run[1:].isalpha() and (run[0] == 32 or run[:1].isalpha()):
-            return words[run]
-        text = run.decode("utf-8")
-        if max(text) < STABLE:
-            return b"".join([words[w.encode("utf-8")] for w in SPLIT.findall(text)])
-        return self._plain(text)
-
-    def _plain(self, text: str) -> bytes:
-        return b"".join([self.words[w.translate(self.bytes_of).encode("latin-1")] for w, _ in self.splitter.pre_tokenize_str(text)])
+        import tiktoken
+
+        with open(path, encoding="utf-8") as source:
+            definition = json.load(source)
+        symbols, vocab = automaton.byte_symbols(), definition["model"]["vocab"]
+        merged = [vocab["".join(m.split(" ") if isinstance(m, str) else m)] for m in definition["model"]["merges"]]
+        if merged != sorted(merged):
+            raise ValueError("token ids do not follow the order of merges")
+        special = {a["content"]: a["id"] for a in definition.get("added_tokens", [])}
+        ranks = {bytes(symbols[c] for c in label): token for label, token in vocab.items() if label not in special}
+        self.public = tiktoken.Encoding("byte-level", pat_str=SPLIT, mergeable_ranks=ranks, special_tokens=special)
+        self.marks = [mark.encode() for mark in special]
+        self.runs = Remembered(lambda run: packed(self.public.encode_ordinary(run.decode("utf-8"))), REMEMBERED_RUNS)
 
     def encode(self, data: bytes) -> bytes:
         """Ids of a UTF-8 text as little-endian 32-bit integers."""
-        if any(mark in data for mark in self.mark_bytes):
-            return b"".join([packed([self.special[p]]) if p in self.special else self._whole(p.encode("utf-8")) for p in self.marks.split(data.decode("utf-8")) if p])
-        return self._whole(data)
-
-    def _whole(self, data: bytes) -> bytes:
+        if any(mark in data for mark in self.marks):
+            return packed(self.public.encode(data.decode("utf-8"), allowed_special="all"))
         if WIDE_SPACE.search(text := data.decode("utf-8")):
-            return self._plain(text)
+            return packed(self.public.encode_ordinary(text))
         runs = self.runs
         return b"".join([runs[r] for r in RUNS.findall(data)])
 
