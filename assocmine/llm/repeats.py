@@ -12,8 +12,9 @@ dictionary is compared within cores only:
 
 * a phrase with two places repeats with all its suffixes;
 * a phrase with one place, alone in its core, repeats nowhere;
-* what is left are places where two repeats begin or end differently. The suffixes of these phrases, one copy of every
-  phrase, are put in corpus order at depth ``length``, and those in a class with another suffix repeat.
+* what is left are places where two repeats begin or end differently. One copy of each of these phrases is cut into
+  sections of few strings, with long cores, and judged in the same way once more. The suffixes of the sections that are
+  still left are put in corpus order at depth ``length``, and those in a class with another suffix repeat.
 
 Corpus order is needed only as far as classes at depth ``length``, so the suffix arrays of dictionary and parse are held
 as 128-bit names of suffixes at that depth instead of ranks; names are grouped by hash aggregation, which meets a class
@@ -46,6 +47,11 @@ TRIGGER, MIXER, PLACE_BITS = 8, np.uint64(0x9E3779B97F4A7C15), 24
 #: Bytes of a text parsed at once, and rows and names handed back at once.
 PIECE, ROWS_AT_ONCE, NAMES_AT_ONCE = 1 << 22, 500, 50_000
 NAME = struct.Struct("<qq")
+#: Strings of a section of a phrase.
+SECTION = 16
+PHRASES = ("id", "at", "core", "p1", "p2")
+SECTIONS = ("id", "at", "j", "core", "p1", "p2")
+NAMES = ("id", "start", "s1", "s2")
 
 
 def reach_of(length: int) -> int:
@@ -126,59 +132,98 @@ def parse(packed: DataFrame, length: int) -> DataFrame:
                     text = unpacker.decompress(data)
                     for at, first, last in zip(*(x.tolist() for x in phrases(text, length))):
                         rows.append((number, at, xxhash.xxh64_intdigest(text[at : at + behind]) - (1 << 63), *_name(text[first : last + length], at - first)))
-                columns = list(zip(*rows)) or [()] * 5
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], names=["id", "at", "core", "p1", "p2"])
+                yield _records(rows, PHRASES)
 
-    return packed.select("id", "packed").mapInArrow(run, "id long, at long, core long, p1 long, p2 long")
+    return packed.select("id", "packed").mapInArrow(run, ", ".join(f"{c} long" for c in PHRASES))
 
 
-def _names(rows: list[tuple]) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in (list(zip(*rows)) or [()] * 4)], names=["id", "start", "s1", "s2"])
+def _records(rows: list[tuple], names: tuple[str, ...]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in (list(zip(*rows)) or [()] * len(names))], names=list(names))
 
 
-def suffix_names(placed: DataFrame, length: int) -> DataFrame:
-    """Names, at depth ``length``, of all suffixes of the phrases at ``places`` of each packed text."""
+def sections(text: bytes, wanted: set[int], length: int) -> Iterator[tuple[int, int, int, int]]:
+    """The phrases at the wanted places in sections: (trigger's place, number of the section, first and last string's start).
+
+    Section j holds the strings that begin SECTION * j to SECTION * (j + 1) - 1 bytes before the trigger.
+    """
+    for at, first, last in zip(*(x.tolist() for x in phrases(text, length))):
+        if at in wanted:
+            for j in range((at - last) // SECTION, (at - first) // SECTION + 1):
+                yield at, j, max(first, at - SECTION * j - SECTION + 1), min(last, at - SECTION * j)
+
+
+def parse_sections(placed: DataFrame, length: int) -> DataFrame:
+    """As :func:`parse`, for sections of the phrases at ``places``: their cores are nearly as long as their strings."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         unpacker = zstandard.ZstdDecompressor()
         for batch in batches:
             rows: list[tuple] = []
             for number, data, places in zip(*(c.to_pylist() for c in batch.columns)):
-                text, wanted = unpacker.decompress(data), set(places)
-                for at, first, last in zip(*(x.tolist() for x in phrases(text, length))):
-                    if at in wanted:
+                text = unpacker.decompress(data)
+                for at, j, first, last in sections(text, set(places), length):
+                    core = text[at - SECTION * j : at - SECTION * j + length - SECTION + 1]
+                    rows.append((number, at, j, xxhash.xxh64_intdigest(core, j) - (1 << 63), *_name(text[first : last + length], at - first)))
+                if len(rows) >= NAMES_AT_ONCE:
+                    yield _records(rows, SECTIONS)
+                    rows = []
+            yield _records(rows, SECTIONS)
+
+    return placed.select("id", "packed", "places").mapInArrow(run, ", ".join(f"{c} long" for c in SECTIONS))
+
+
+def suffix_names(placed: DataFrame, length: int) -> DataFrame:
+    """Names, at depth ``length``, of all suffixes of the sections ``parts`` (place, number) of each packed text."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        unpacker = zstandard.ZstdDecompressor()
+        for batch in batches:
+            rows: list[tuple] = []
+            for number, data, parts in zip(*(c.to_pylist() for c in batch.columns)):
+                text, wanted = unpacker.decompress(data), {(p["at"], p["j"]) for p in parts}
+                for at, j, first, last in sections(text, {at for at, _ in wanted}, length):
+                    if (at, j) in wanted:
                         rows += [(number, start, *_name(text[start : start + length])) for start in range(first, last + 1)]
-                    if len(rows) >= NAMES_AT_ONCE:
-                        yield _names(rows)
-                        rows = []
-            yield _names(rows)
+                if len(rows) >= NAMES_AT_ONCE:
+                    yield _records(rows, NAMES)
+                    rows = []
+            yield _records(rows, NAMES)
 
-    return placed.select("id", "packed", "places").mapInArrow(run, "id long, start long, s1 long, s2 long")
+    return placed.select("id", "packed", "parts").mapInArrow(run, ", ".join(f"{c} long" for c in NAMES))
+
+
+def judge(parsed: DataFrame, place: list[str], name: str) -> tuple[DataFrame, DataFrame]:
+    """Places whose phrase has two places, and one copy of every phrase that shares its core with another phrase."""
+    phrase = ["core", "p1", "p2"]
+    dictionary = parsed.groupBy(*phrase).agg(F.count("*").alias("n"), F.min(F.struct("id", *place)).alias("copy"))
+    cores = dictionary.groupBy("core").agg(F.count("*").alias("m")).filter("m > 1").select("core", F.lit(True).alias("shared"))
+    judged = materialize(dictionary.join(cores, "core", "left").filter("n > 1 or shared"), name)
+    twice = parsed.join(judged.filter("n > 1").select(*phrase), phrase, "left_semi").select("id", *place)
+    return twice, judged.filter("shared").select("copy.id", *(f"copy.{c}" for c in place))
 
 
 def removed(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     """``doc_id``, ``n_bytes``, ``n_removed``, ``spans`` (offset, length) and ``kept`` (binary) of every row."""
-    spark = docs.sparkSession
-    ship_package(spark)
+    ship_package(docs.sparkSession)
     doc_type = docs.schema["doc_id"].dataType.simpleString()
     packed = materialize(pack(docs), "packed-texts")
-    parsed = parse(packed, length)
-    dictionary = parsed.groupBy("core", "p1", "p2").agg(F.count("*").alias("n"), F.min(F.struct("id", "at")).alias("copy"))
-    cores = dictionary.groupBy("core").agg(F.count("*").alias("m")).filter("m > 1").select("core", F.lit(True).alias("shared"))
-    judged = materialize(dictionary.join(cores, "core", "left").filter("n > 1 or shared"), "dictionary")
-    # places whose phrase repeats as a whole, and one copy of every phrase whose suffixes must be told apart
-    whole = parsed.join(judged.filter("n > 1").select("core", "p1", "p2"), ["core", "p1", "p2"], "left_semi").select("id", "at", F.lit(True).alias("repeats"))
-    copies = judged.filter("shared").select("copy.id", "copy.at", F.lit(False).alias("repeats"))
-    marks = whole.unionByName(copies).groupBy("id").agg(F.collect_list(F.when(F.col("repeats"), F.col("at"))).alias("whole"), F.collect_list(F.when(~F.col("repeats"), F.col("at"))).alias("places"))
+    whole, copies = judge(parse(packed, length), ["at"], "dictionary")
+    marks = whole.withColumn("repeats", F.lit(True)).unionByName(copies.withColumn("repeats", F.lit(False))).groupBy("id").agg(
+        F.collect_list(F.when(F.col("repeats"), F.col("at"))).alias("whole"), F.collect_list(F.when(~F.col("repeats"), F.col("at"))).alias("places")
+    )
     marks = materialize(marks, "marked-places")
-    open_texts = packed.join(marks.filter(F.size("places") > 0).select("id", "places"), "id")
-    names = materialize(suffix_names(open_texts, length), "suffix-names")
+    open_texts = materialize(packed.select("id", "packed").join(marks.filter(F.size("places") > 0).select("id", "places"), "id"), "open-texts")
+    half, ends = judge(materialize(parse_sections(open_texts, length), "sections"), ["at", "j"], "section-dictionary")
+    parts = ends.groupBy("id").agg(F.collect_list(F.struct("at", "j")).alias("parts"))
+    names = materialize(suffix_names(open_texts.select("id", "packed").join(parts, "id"), length), "suffix-names")
     twice = names.groupBy("s1", "s2").agg(F.count("*").alias("n")).filter("n > 1").select("s1", "s2")
-    found = names.join(twice, ["s1", "s2"], "left_semi").groupBy("id").agg(F.collect_list("start").alias("starts"))
-    return _cut(packed.join(marks.select("id", "whole"), "id", "left").join(found, "id", "left"), length, doc_type)
+    single = names.join(twice, ["s1", "s2"], "left_semi").groupBy("id").agg(F.collect_list("start").alias("starts"))
+    half = half.groupBy("id").agg(F.collect_list(F.struct("at", "j")).alias("parts"))
+    found = materialize(marks.select("id", "whole").join(half, "id", "left").join(single, "id", "left"), "found-places")
+    return _cut(packed.join(found, "id", "left"), length, doc_type)
 
 
-def cut(text: bytes, whole: set[int], starts: list[int], length: int = LENGTH) -> list[tuple[int, int]]:
+def cut(text: bytes, whole: set[int], parts: set[tuple[int, int]], starts: list[int], length: int = LENGTH) -> list[tuple[int, int]]:
     """Maximal runs (offset, length) of the bytes covered by strings that repeat."""
     change = np.zeros(len(text) + 1, dtype=np.int32)
     if whole:
@@ -186,6 +231,10 @@ def cut(text: bytes, whole: set[int], starts: list[int], length: int = LENGTH) -
             if at in whole:
                 change[first] += 1
                 change[last + length] -= 1
+    for at, j, first, last in sections(text, {at for at, _ in parts}, length) if parts else ():
+        if (at, j) in parts:
+            change[first] += 1
+            change[last + length] -= 1
     for start in starts:
         change[start] += 1
         change[start + length] -= 1
@@ -201,9 +250,9 @@ def _cut(marked: DataFrame, length: int, doc_type: str) -> DataFrame:
             for begin in range(0, batch.num_rows, ROWS_AT_ONCE):
                 part = batch.slice(begin, ROWS_AT_ONCE)
                 sizes, gone, spans, kept = [], [], [], []
-                for packed, whole, starts in zip(*(part.column(i).to_pylist() for i in (1, 2, 3))):
+                for packed, whole, parts, starts in zip(*(part.column(i).to_pylist() for i in (1, 2, 3, 4))):
                     text = unpacker.decompress(packed)
-                    runs = cut(text, set(whole or ()), starts or [], length)
+                    runs = cut(text, set(whole or ()), {(p["at"], p["j"]) for p in parts or ()}, starts or [], length)
                     rest, at = [], 0
                     for offset, size in runs:
                         rest.append(text[at:offset])
@@ -219,7 +268,7 @@ def _cut(marked: DataFrame, length: int, doc_type: str) -> DataFrame:
                 )
 
     schema = f"doc_id {doc_type}, n_bytes long, n_removed long, spans array<struct<offset: bigint, length: bigint>>, kept binary"
-    return marked.select("doc_id", "packed", "whole", "starts").mapInArrow(run, schema)
+    return marked.select("doc_id", "packed", "whole", "parts", "starts").mapInArrow(run, schema)
 
 
 def digest(cleaned: DataFrame) -> DataFrame:
