@@ -11,6 +11,7 @@ from collections.abc import Iterable
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from assocmine.functions.expressions import product, zone_of
 from assocmine.functions.gamma import critical_bits, log_p
@@ -57,7 +58,7 @@ def df_cac_gain(frame: Frame, x: Column, k: Column, cells: Column | None = None)
 
 def tail(bits: Column, df: Column, n: int) -> tuple[Column, Column]:
     """p and -log10 p, in Arrow batches over result rows."""
-    @F.pandas_udf("double")
+    @F.pandas_udf(T.DoubleType())
     def neg_log10_p(b: pd.Series, d: pd.Series) -> pd.Series:
         return pd.Series([-log_p(x, y, n) / 2.302585092994046 for x, y in zip(b, d)], dtype="float64")
 

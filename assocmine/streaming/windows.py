@@ -18,6 +18,7 @@ from assocmine.functions.expressions import entropy_bits
 def cell_counts(rows: DataFrame, attributes: dict[str, Column], sets: list[tuple[str, ...]], ts: str = "ts", length: str = "1 day", slide: str | None = None, watermark: str = "1 hour") -> DataFrame:
     """``window_start``, ``set_id``, ``cell``, ``n``, for a stream (append mode) or a table alike."""
     columns = F.array(*[F.struct(F.lit(",".join(s)).alias("set_id"), F.concat_ws("|", *[attributes[c].cast("string") for c in s]).alias("cell")) for s in sets])
+    rows = rows.withColumn(ts, F.col(ts).cast("timestamp"))
     timed = rows.withWatermark(ts, watermark) if rows.isStreaming else rows
     window = F.window(ts, length, slide) if slide else F.window(ts, length)
     return timed.select(window.alias("window"), F.explode(columns).alias("x")).groupBy("window", "x.set_id", "x.cell").agg(F.count("*").alias("n")).select(F.col("window.start").alias("window_start"), "set_id", "cell", "n")
@@ -25,6 +26,7 @@ def cell_counts(rows: DataFrame, attributes: dict[str, Column], sets: list[tuple
 
 def session_counts(rows: DataFrame, key: str, attributes: dict[str, Column], ts: str = "ts", gap: str = "30 minutes", watermark: str = "1 hour") -> DataFrame:
     """Sessions of a key as rows: ``key``, session bounds, events, and the first value of each attribute."""
+    rows = rows.withColumn(ts, F.col(ts).cast("timestamp"))
     timed = rows.withWatermark(ts, watermark) if rows.isStreaming else rows
     grouped = timed.select(key, ts, *[c.alias(n) for n, c in attributes.items()]).groupBy(key, F.session_window(ts, gap).alias("w"))
     return grouped.agg(F.count("*").alias("events"), *[F.min(n).alias(n) for n in attributes]).select(key, F.col("w.start").alias("session_start"), F.col("w.end").alias("session_end"), "events", *attributes)
