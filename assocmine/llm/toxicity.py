@@ -32,6 +32,8 @@ from assocmine.plans.materialize import ship_package
 
 SAMPLE_ROWS, MAX_ENTRIES, MIN_DOCUMENTS, MIN_ODDS = 6_000, 400, 3, 8.0
 SHORTEST, LONGEST = 3, 12
+#: Share of toxic training documents that an entry must be in if others explain them already.
+MIN_SUPPORT = 0.02
 THRESHOLD = 0.3
 
 #: Characters that are drawn like a Latin letter, by code point, and the letters.
@@ -148,7 +150,7 @@ def learn_entries(samples: list[tuple[set[str], int]]) -> dict[str, float]:
     for entry in sorted(usable, key=lambda b: (-full[b], -len(b), b)):
         if len(entries) >= MAX_ENTRIES:
             break
-        if full[entry] >= max(MIN_DOCUMENTS, 0.01 * n_toxic) and clean[entry] == 0 and not any(entry.startswith(e) or e.startswith(entry) for e in entries):
+        if full[entry] >= max(MIN_DOCUMENTS, MIN_SUPPORT * n_toxic) and clean[entry] == 0 and not any(entry.startswith(e) or e.startswith(entry) for e in entries):
             entries[entry] = weight(entry, full[entry])
     return entries
 
