@@ -31,7 +31,7 @@ from assocmine.plans.materialize import materialize, ship_package
 
 SCALE, TOP = 1024, 10
 #: Vectors of a block, entries of a leaf, children of a node, queries of a query block.
-BLOCK, LEAF, FANOUT, QUERIES = 16_384, 64, 12, 512
+BLOCK, LEAF, FANOUT, QUERIES = 16_384, 1_024, 16, 128
 EXACT = 1 << 52
 
 
@@ -48,7 +48,7 @@ class Tree:
     """M-tree over one block, held as arrays; nodes and entries are numbered so that children lie together."""
 
     def __init__(self, ids: np.ndarray, x: np.ndarray):
-        self.exact = float(np.abs(x).max(initial=0.0)) ** 2 * x.shape[1] < EXACT
+        self.largest = float(np.abs(x).max(initial=0.0))
         norms = np.einsum("ij,ij->i", x, x)
         self.norm2 = float(norms.max(initial=0.0))
         self.lifted = np.column_stack([x, np.sqrt(np.maximum(0.0, self.norm2 - norms))])
@@ -78,14 +78,15 @@ class Tree:
         if len(members) <= LEAF or self.radius[node] == 0.0:
             self.entries[node], self.entry_distance[node] = members, away
             return node
-        pivots, nearest = [members[int(away.argmax())]], None
-        owner = np.zeros(len(members), dtype=np.int64)
-        nearest = self._distance(members, pivots[0])
-        while len(pivots) < FANOUT and nearest.max() > 0.0:  # farthest-first pivots
-            pivots.append(members[int(nearest.argmax())])
-            d = self._distance(members, pivots[-1])
+        # pivots at even distances of rank from the node's own pivot: spread out, and no outliers only
+        order = members[np.argsort(away, kind="stable")]
+        pivots, owner, nearest = [], np.zeros(len(members), dtype=np.int64), np.full(len(members), np.inf)
+        for p in order[np.linspace(0, len(order) - 1, FANOUT).astype(int)].tolist():
+            d = self._distance(members, p)
             closer = d < nearest
-            owner[closer], nearest[closer] = len(pivots) - 1, d[closer]
+            if closer[members == p].any():  # not a copy of a pivot
+                pivots.append(p)
+                owner[closer], nearest[closer] = len(pivots) - 1, d[closer]
         for k, p in enumerate(pivots):
             group = members[owner == k]
             if len(group):
@@ -93,11 +94,12 @@ class Tree:
                 self.children[node].append(child)
         return node
 
-    def scores(self, entries: np.ndarray, query: np.ndarray) -> list[int]:
-        if self.exact and float(np.abs(query).max(initial=0.0)) * float(np.abs(self.x).max(initial=0.0)) * len(query) < EXACT:
-            return (self.x[entries] @ query).astype(np.int64).tolist()
+    def scores(self, entries: np.ndarray, query: np.ndarray) -> np.ndarray:
+        """Exact inner products as 64-bit integers."""
+        if float(np.abs(query).max(initial=0.0)) * self.largest * len(query) < EXACT:
+            return (self.x[entries] @ query).astype(np.int64)
         q = [int(c) for c in query]
-        return [max(-(1 << 63), min((1 << 63) - 1, sum(int(a) * b for a, b in zip(row, q)))) for row in self.x[entries]]
+        return np.array([max(-(1 << 63), min((1 << 63) - 1, sum(int(a) * b for a, b in zip(row, q)))) for row in self.x[entries]], dtype=np.int64)
 
     def search(self, own: int, query: np.ndarray, k: int) -> list[tuple[int, int]]:
         """The k best (score, vec_id) of other ids, ties to the smaller id."""
@@ -128,7 +130,12 @@ class Tree:
             entries = self.entries[node]
             if len(best) == k:
                 entries = entries[most(np.abs(away - self.entry_distance[node])) >= best[0][0]]
-            for score, vec_id in zip(self.scores(entries, query), self.ids[entries].tolist()):
+            scored, names = self.scores(entries, query), self.ids[entries]
+            if len(names) > 2 * k + 2:  # only those that can still be among the k best, equal ones included
+                others = np.where(names == own, np.iinfo(np.int64).min, scored)
+                least = max(int(np.partition(others, -k)[-k]), best[0][0] if len(best) == k else np.iinfo(np.int64).min)
+                scored, names = scored[others >= least], names[others >= least]
+            for score, vec_id in zip(scored.tolist(), names.tolist()):
                 if vec_id == own:
                     continue
                 if len(best) < k:
