@@ -18,6 +18,7 @@ from __future__ import annotations
 
 import math
 import re
+import sys
 from collections import Counter
 from collections.abc import Iterator
 
@@ -109,12 +110,15 @@ def held_out() -> Column:
     return F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4 == 2, F.lit(False))
 
 
-def beginnings(words: set[str]) -> set[str]:
+def beginnings(words: list[str]) -> set[str]:
     return {w[:k] for w in words for k in range(SHORTEST, min(LONGEST, len(w)) + 1)}
 
 
-def learn_entries(samples: list[tuple[set[str], int]]) -> dict[str, float]:
-    """Greedy choice of beginnings of words by log odds; among equally telling ones the longest, then the first by letters."""
+def learn_entries(samples: list[tuple[str, int]]) -> dict[str, float]:
+    """Entries from (distinct words joined by spaces, label) of the samples; words are split one document at a time.
+
+    Greedy choice of beginnings of words by log odds; among equally telling ones the longest, then the first by letters.
+    """
     n_toxic = sum(t for _, t in samples)
     n_clean = len(samples) - n_toxic
     if not n_toxic or not n_clean:
@@ -123,12 +127,12 @@ def learn_entries(samples: list[tuple[set[str], int]]) -> dict[str, float]:
     toxic_sets = []
     for words, toxic in samples:
         if toxic:
-            toxic_sets.append(beginnings(words))
+            toxic_sets.append({sys.intern(b) for b in beginnings(words.split())})
     candidates = Counter(b for s in toxic_sets for b in s)
     candidates = {b for b, n in candidates.items() if n >= MIN_DOCUMENTS}
     for words, toxic in samples:
         if not toxic:
-            clean.update(beginnings(words) & candidates)
+            clean.update(beginnings(words.split()) & candidates)
 
     def weight(entry: str, n: int) -> float:
         return math.log((n + 0.5) / (n_toxic + 1)) - math.log((clean[entry] + 0.5) / (n_clean + 1))
@@ -179,12 +183,13 @@ def fit(docs: DataFrame, labels: DataFrame) -> Lexicon:
 
     def words_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            words = [sorted(set(fold(t.decode("utf-8")).split())) for t in utf8_values(batch.column(1))]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(words, pa.list_(pa.string())), batch.column(2)], names=["doc_id", "words", "toxic"])
+            words = [" ".join(sorted(set(fold(t.decode("utf-8")).split()))) for t in utf8_values(batch.column(1))]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(words, pa.string()), batch.column(2)], names=["doc_id", "words", "toxic"])
 
     doc_type = docs.schema["doc_id"].dataType.simpleString()
-    rows = sample.mapInArrow(words_of, f"doc_id {doc_type}, words array<string>, toxic int").collect()
-    entries = learn_entries([(set(r["words"]), r["toxic"]) for r in sorted(rows, key=lambda r: (r["doc_id"], r["toxic"], r["words"]))])
+    rows = sample.mapInArrow(words_of, f"doc_id {doc_type}, words string, toxic int").toArrow()
+    entries = learn_entries([(w, t) for _, t, w in sorted(zip(*(rows.column(c).to_pylist() for c in ("doc_id", "toxic", "words"))))])
+    del rows
     bare = Lexicon(entries)
 
     def found_in(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
