@@ -92,6 +92,13 @@ class WordTokenizer:
                     ids += self.machine.encode(word.translate(self.bytes_of))
         return packed(ids)
 
+    def forget(self) -> None:
+        """Empty the tables of seen pieces, words and transitions; idle workers of a cluster then hold little."""
+        self.pieces.clear()
+        self.words.clear()
+        self.machine.rows.clear()
+        self.machine.known = 0
+
     def encode(self, text: bytes) -> bytes:
         """Ids of a UTF-8 text as little-endian 32-bit integers."""
         pieces = self.pieces
@@ -108,6 +115,14 @@ def tokenizer(path: str) -> WordTokenizer:
     return WordTokenizer(path)
 
 
+def small(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Batches cut into few rows each, so that texts become Python objects a few at a time; freed memory goes back."""
+    for batch in batches:
+        for start in range(0, batch.num_rows, ROWS_AT_ONCE):
+            yield batch.slice(start, ROWS_AT_ONCE)
+    pa.default_memory_pool().release_unused()
+
+
 def utf8_values(column: pa.Array) -> list[bytes]:
     """The UTF-8 bytes of a string column; null becomes empty."""
     return [b"" if v is None else v for v in column.cast(pa.binary()).to_pylist()]
@@ -120,11 +135,10 @@ def encode(docs: DataFrame, path: str, keys: list[str], text: str | Column = "te
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tool = tokenizer(path)
-        for batch in batches:
-            for start in range(0, batch.num_rows, ROWS_AT_ONCE):
-                part = batch.slice(start, ROWS_AT_ONCE)
-                ids = [tool.encode(t) for t in utf8_values(part.column(len(keys)))]
-                yield pa.RecordBatch.from_arrays([*part.columns[: len(keys)], pa.array(ids, pa.binary())], names=[*keys, "ids"])
+        for part in small(batches):
+            ids = [tool.encode(t) for t in utf8_values(part.column(len(keys)))]
+            yield pa.RecordBatch.from_arrays([*part.columns[: len(keys)], pa.array(ids, pa.binary())], names=[*keys, "ids"])
+        tool.forget()
 
     schema = ", ".join([*(f"`{k}` {narrow.schema[k].dataType.simpleString()}" for k in keys), "ids binary"])
     return narrow.mapInArrow(run, schema)
@@ -137,11 +151,9 @@ def decode(encoded: DataFrame, path: str, keys: list[str]) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         labels = automaton.arc_labels(path)
-        for batch in batches:
-            for start in range(0, batch.num_rows, ROWS_AT_ONCE):
-                part = batch.slice(start, ROWS_AT_ONCE)
-                texts = [spell(v or b"", labels) for v in part.column(len(keys)).to_pylist()]
-                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(texts, pa.string())], names=[*keys, "ids", "decoded"])
+        for part in small(batches):
+            texts = [spell(v or b"", labels) for v in part.column(len(keys)).to_pylist()]
+            yield pa.RecordBatch.from_arrays([*part.columns, pa.array(texts, pa.string())], names=[*keys, "ids", "decoded"])
 
     schema = ", ".join([*(f"`{k}` {narrow.schema[k].dataType.simpleString()}" for k in keys), "ids binary", "decoded string"])
     return narrow.mapInArrow(run, schema)

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from assocmine.llm.bpe import utf8_values
+from assocmine.llm.bpe import small, utf8_values
 from assocmine.plans.materialize import materialize, ship_package
 
 #: Most labelled rows that the list is fitted on, most rules, most conditions of a rule, and thresholds tried for each feature.
@@ -81,7 +81,7 @@ def statistics(docs: DataFrame) -> DataFrame:
     ship_package(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in small(batches):
             rows = [text_stats(t) for t in utf8_values(batch.column(1))]
             columns = zip(*rows) if rows else [[] for _ in STATS]
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, pa.int64()) for c in columns)], names=["doc_id", *STATS])

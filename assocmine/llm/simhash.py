@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from assocmine.llm.bpe import utf8_values
+from assocmine.llm.bpe import small, utf8_values
 from assocmine.llm.components import connected
 from assocmine.plans.materialize import materialize, ship_package
 
@@ -54,7 +54,7 @@ def fingerprints(docs: DataFrame, key: str = "doc_id", text: str = "text", width
     ship_package(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in small(batches):
             found = np.array([fingerprint(t, width) for t in utf8_values(batch.column(1))], dtype=np.uint64).view(np.int64)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found, pa.int64())], names=["doc_id", "fp"])
 

@@ -36,7 +36,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from assocmine.llm import automaton
-from assocmine.llm.bpe import Remembered, packed, utf8_values
+from assocmine.llm.bpe import Remembered, packed, small, utf8_values
 from assocmine.plans.materialize import fresh_path, materialize, ship_package
 
 MAGIC = b"BPLANES1"
@@ -234,9 +234,7 @@ def write(docs: DataFrame, path: str, folder: str, key: str = "doc_id", text: st
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tool, out, sink = tokenizer(path), None, None
         end = packed([end_id])
-        for batch in batches:
-            if batch.num_rows == 0:
-                continue
+        for batch in small(batches):
             if out is None:
                 part, name = batch.column(3)[0].as_py(), f"{folder}/part-{batch.column(3)[0].as_py():06d}-{uuid.uuid4().hex}.bpl"
                 sink = open_uri(name, True)
@@ -246,6 +244,7 @@ def write(docs: DataFrame, path: str, folder: str, key: str = "doc_id", text: st
         if out is not None:
             out.close()
             sink.close()
+            tool.runs.clear()
             yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([name]), pa.array([len(out.docs)], pa.int64()), pa.array([out.n_ids], pa.int64())], names=["part", "file", "n_docs", "n_ids"])
 
     return materialize(ordered.mapInArrow(run, MANIFEST), "token-manifest")

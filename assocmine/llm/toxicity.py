@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from assocmine.llm.bpe import utf8_values
+from assocmine.llm.bpe import small, utf8_values
 from assocmine.plans.materialize import ship_package
 
 SAMPLE_ROWS, MAX_ENTRIES, MIN_DOCUMENTS, MIN_ODDS = 6_000, 400, 3, 8.0
@@ -182,7 +182,7 @@ def fit(docs: DataFrame, labels: DataFrame) -> Lexicon:
     sample = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("doc_id", "text", "toxic")
 
     def words_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in small(batches):
             words = [" ".join(sorted(set(fold(t.decode("utf-8")).split()))) for t in utf8_values(batch.column(1))]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(words, pa.string()), batch.column(2)], names=["doc_id", "words", "toxic"])
 
@@ -193,7 +193,7 @@ def fit(docs: DataFrame, labels: DataFrame) -> Lexicon:
     bare = Lexicon(entries)
 
     def found_in(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in small(batches):
             phrases, n = [], []
             weights = []
             for t in utf8_values(batch.column(1)):
@@ -223,7 +223,7 @@ def score(docs: DataFrame, lexicon: Lexicon) -> DataFrame:
     ship_package(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in small(batches):
             scores = [lexicon.score(t.decode("utf-8")) for t in utf8_values(batch.column(1))]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(scores, pa.float64())], names=["doc_id", "score"])
 
