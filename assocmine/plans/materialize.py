@@ -6,6 +6,9 @@ import os
 import tempfile
 import uuid
 import zipfile
+from collections.abc import Iterator
+from contextlib import contextmanager
+from contextvars import ContextVar
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
@@ -27,10 +30,25 @@ def fresh_path(spark: SparkSession, name: str) -> str:
     return f"{shared_folder(spark)}/assocmine/{name}-{uuid.uuid4().hex}"
 
 
+_collected: ContextVar[list[str] | None] = ContextVar("collected", default=None)
+
+
+@contextmanager
+def collecting(paths: list[str]) -> Iterator[None]:
+    """Note the tables that are written inside, so that a caller who is done with them can drop them."""
+    before = _collected.set(paths)
+    try:
+        yield
+    finally:
+        _collected.reset(before)
+
+
 def materialize(df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` as Parquet in the shared folder and read it back: lineage ends here and survives lost executors."""
     spark = df.sparkSession
     path = fresh_path(spark, name)
+    if (paths := _collected.get()) is not None:
+        paths.append(path)
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
