@@ -76,18 +76,19 @@ def text_stats(text: bytes) -> tuple[int, ...]:
     )
 
 
-def statistics(docs: DataFrame) -> DataFrame:
-    """``doc_id`` and the statistics of every document."""
+def statistics(docs: DataFrame, carry: tuple[str, ...] = ("doc_id",)) -> DataFrame:
+    """The carried columns and the statistics of every document."""
     ship_package(docs.sparkSession)
+    n = len(carry)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in small(batches):
-            rows = [text_stats(t) for t in utf8_values(batch.column(1))]
+            rows = [text_stats(t) for t in utf8_values(batch.column(n))]
             columns = zip(*rows) if rows else [[] for _ in STATS]
-            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, pa.int64()) for c in columns)], names=["doc_id", *STATS])
+            yield pa.RecordBatch.from_arrays([*batch.columns[:n], *(pa.array(c, pa.int64()) for c in columns)], names=[*carry, *STATS])
 
-    narrow = docs.select(F.col("doc_id"), F.col("text"))
-    return narrow.mapInArrow(run, f"doc_id {narrow.schema['doc_id'].dataType.simpleString()}, " + ", ".join(f"{s} long" for s in STATS))
+    narrow = docs.select(*carry, F.col("text").alias("__text"))
+    return narrow.mapInArrow(run, ", ".join([*(f"`{c}` {narrow.schema[c].dataType.simpleString()}" for c in carry), *(f"{s} long" for s in STATS)]))
 
 
 def base_failed() -> Column:

@@ -103,19 +103,23 @@ def _name(data: bytes, seed: int = 0) -> tuple[int, int]:
     return NAME.unpack(xxhash.xxh3_128_digest(data, seed))
 
 
-def pack(docs: DataFrame) -> DataFrame:
-    """``id`` (a number of the row), ``doc_id`` and the compressed UTF-8 text of every row."""
-    doc_type = docs.schema["doc_id"].dataType.simpleString()
+def _types(df: DataFrame, columns: tuple[str, ...]) -> str:
+    return ", ".join(f"`{c}` {df.schema[c].dataType.simpleString()}" for c in columns)
+
+
+def pack(docs: DataFrame, carry: tuple[str, ...]) -> DataFrame:
+    """``id`` (a number of the row), the carried columns and the compressed UTF-8 text of every row."""
+    n = len(carry) + 1
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         packer = zstandard.ZstdCompressor(level=1)
         for batch in batches:
             for start in range(0, batch.num_rows, ROWS_AT_ONCE):
                 part = batch.slice(start, ROWS_AT_ONCE)
-                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array([packer.compress(t) for t in utf8_values(part.column(2))], pa.binary())], names=["id", "doc_id", "packed"])
+                yield pa.RecordBatch.from_arrays([*part.columns[:n], pa.array([packer.compress(t) for t in utf8_values(part.column(n))], pa.binary())], names=["id", *carry, "packed"])
 
-    numbered = docs.select(F.monotonically_increasing_id().alias("id"), "doc_id", "text")
-    return numbered.mapInArrow(run, f"id long, doc_id {doc_type}, packed binary")
+    numbered = docs.select(F.monotonically_increasing_id().alias("id"), *carry, F.col("text").alias("__text"))
+    return numbered.mapInArrow(run, f"id long, {_types(numbered, carry)}, packed binary")
 
 
 def parse(packed: DataFrame, length: int) -> DataFrame:
@@ -202,11 +206,10 @@ def judge(parsed: DataFrame, place: list[str], name: str) -> tuple[DataFrame, Da
     return twice, judged.filter("shared").select("copy.id", *(f"copy.{c}" for c in place))
 
 
-def removed(docs: DataFrame, length: int = LENGTH) -> DataFrame:
-    """``doc_id``, ``n_bytes``, ``n_removed``, ``spans`` (offset, length) and ``kept`` (binary) of every row."""
+def removed(docs: DataFrame, length: int = LENGTH, carry: tuple[str, ...] = ("doc_id",)) -> DataFrame:
+    """The carried columns, ``n_bytes``, ``n_removed``, ``spans`` (offset, length) and ``kept`` (binary) of every row."""
     ship_package(docs.sparkSession)
-    doc_type = docs.schema["doc_id"].dataType.simpleString()
-    packed = materialize(pack(docs), "packed-texts")
+    packed = materialize(pack(docs, carry), "packed-texts")
     whole, copies = judge(parse(packed, length), ["at"], "dictionary")
     marks = whole.withColumn("repeats", F.lit(True)).unionByName(copies.withColumn("repeats", F.lit(False))).groupBy("id").agg(
         F.collect_list(F.when(F.col("repeats"), F.col("at"))).alias("whole"), F.collect_list(F.when(~F.col("repeats"), F.col("at"))).alias("places")
@@ -220,7 +223,7 @@ def removed(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     single = names.join(twice, ["s1", "s2"], "left_semi").groupBy("id").agg(F.collect_list("start").alias("starts"))
     half = half.groupBy("id").agg(F.collect_list(F.struct("at", "j")).alias("parts"))
     found = materialize(marks.select("id", "whole").join(half, "id", "left").join(single, "id", "left"), "found-places")
-    return _cut(packed.join(found, "id", "left"), length, doc_type)
+    return _cut(packed.join(found, "id", "left"), length, carry)
 
 
 def cut(text: bytes, whole: set[int], parts: set[tuple[int, int]], starts: list[int], length: int = LENGTH) -> list[tuple[int, int]]:
@@ -243,14 +246,16 @@ def cut(text: bytes, whole: set[int], parts: set[tuple[int, int]], starts: list[
     return [(int(a), int(b - a)) for a, b in zip(edges[::2], edges[1::2])]
 
 
-def _cut(marked: DataFrame, length: int, doc_type: str) -> DataFrame:
+def _cut(marked: DataFrame, length: int, carry: tuple[str, ...]) -> DataFrame:
+    n = len(carry)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         unpacker = zstandard.ZstdDecompressor()
         for batch in batches:
             for begin in range(0, batch.num_rows, ROWS_AT_ONCE):
                 part = batch.slice(begin, ROWS_AT_ONCE)
                 sizes, gone, spans, kept = [], [], [], []
-                for packed, whole, parts, starts in zip(*(part.column(i).to_pylist() for i in (1, 2, 3, 4))):
+                for packed, whole, parts, starts in zip(*(part.column(n + i).to_pylist() for i in range(4))):
                     text = unpacker.decompress(packed)
                     runs = cut(text, set(whole or ()), {(p["at"], p["j"]) for p in parts or ()}, starts or [], length)
                     rest, at = [], 0
@@ -263,12 +268,12 @@ def _cut(marked: DataFrame, length: int, doc_type: str) -> DataFrame:
                     spans.append([{"offset": o, "length": s} for o, s in runs])
                     kept.append(b"".join(rest))
                 yield pa.RecordBatch.from_arrays(
-                    [part.column(0), pa.array(sizes, pa.int64()), pa.array(gone, pa.int64()), pa.array(spans, pa.list_(pa.struct([("offset", pa.int64()), ("length", pa.int64())]))), pa.array(kept, pa.binary())],
-                    names=["doc_id", "n_bytes", "n_removed", "spans", "kept"],
+                    [*part.columns[:n], pa.array(sizes, pa.int64()), pa.array(gone, pa.int64()), pa.array(spans, pa.list_(pa.struct([("offset", pa.int64()), ("length", pa.int64())]))), pa.array(kept, pa.binary())],
+                    names=[*carry, "n_bytes", "n_removed", "spans", "kept"],
                 )
 
-    schema = f"doc_id {doc_type}, n_bytes long, n_removed long, spans array<struct<offset: bigint, length: bigint>>, kept binary"
-    return marked.select("doc_id", "packed", "whole", "parts", "starts").mapInArrow(run, schema)
+    schema = f"{_types(marked, carry)}, n_bytes long, n_removed long, spans array<struct<offset: bigint, length: bigint>>, kept binary"
+    return marked.select(*carry, "packed", "whole", "parts", "starts").mapInArrow(run, schema)
 
 
 def digest(cleaned: DataFrame) -> DataFrame:
