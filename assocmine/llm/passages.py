@@ -1,0 +1,78 @@
+"""Passages of over 50 words that repeat, besides the byte strings of :mod:`assocmine.llm.repeats`.
+
+Texts are coded as one 32-bit hash a word, and strings of ``WORDS`` words are found in the codes by the same parsing.
+Words are what ASCII white space separates, as their exact bytes. Spans that only begin or end inside a code are
+narrowed to whole words. A text loses the bytes of all repeated strings of either kind, each found in the whole texts.
+"""
+
+from __future__ import annotations
+
+import re
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+import xxhash
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from assocmine.llm import repeats
+from assocmine.llm.bpe import small, utf8_values
+from assocmine.plans.materialize import ship_package
+
+#: Words of the shortest passage, and bytes of a word's code.
+WORDS, CODE = 51, 4
+SPANS = "array<struct<offset: bigint, length: bigint>>"
+
+
+def places(text: bytes) -> list[tuple[int, int]]:
+    """Start and end of every word."""
+    return [m.span() for m in re.finditer(rb"[^ \t\n\r\x0b\x0c]+", text)]
+
+
+def coded(docs: DataFrame) -> DataFrame:
+    """``row`` and the codes of a text's words, as the binary column ``text``."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        code = xxhash.xxh32_intdigest
+        for batch in small(batches):
+            made = [np.array([code(w) for w in t.split()], dtype="<u4").tobytes() for t in utf8_values(batch.column(1))]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(made, pa.binary())], names=["row", "text"])
+
+    return docs.select("row", "text").mapInArrow(run, "row long, text binary")
+
+
+def cut(text: bytes, byte_spans: list[dict], word_spans: list[dict]) -> bytes:
+    """The text without its repeated byte strings and words."""
+    gone = [(s["offset"], s["offset"] + s["length"]) for s in byte_spans]
+    at = places(text) if word_spans else []
+    for s in word_spans:
+        first, last = -(-s["offset"] // CODE), (s["offset"] + s["length"]) // CODE
+        if last - first >= WORDS:
+            gone.append((at[first][0], at[last - 1][1]))
+    rest, upto = [], 0
+    for start, end in sorted(gone):
+        rest.append(text[upto:max(start, upto)])
+        upto = max(end, upto)
+    return b"".join([*rest, text[upto:]])
+
+
+def removed(docs: DataFrame) -> DataFrame:
+    """``row`` and ``cut``, the text that is left, of the rows of a written table (row, text) that lose something.
+
+    Bytes of a character that a cut has parted are dropped.
+    """
+    ship_package(docs.sparkSession)
+    found = [
+        repeats.removed(source, length, carry=("row",)).filter("n_removed > 0").select("row", F.col("spans").alias(name))
+        for source, length, name in ((docs, repeats.LENGTH, "byte_spans"), (coded(docs), WORDS * CODE, "word_spans"))
+    ]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in small(batches):
+            texts = zip(utf8_values(batch.column(1)), batch.column(2).to_pylist(), batch.column(3).to_pylist())
+            left = [cut(t, b or [], w or []).decode("utf-8", "ignore") for t, b, w in texts]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(left, pa.string())], names=["row", "cut"])
+
+    marked = docs.select("row", "text").join(found[0].join(found[1], "row", "full"), "row")
+    return marked.select("row", "text", "byte_spans", "word_spans").mapInArrow(run, "row long, cut string")
