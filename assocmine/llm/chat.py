@@ -2,8 +2,8 @@ r"""Chat formatting by prefix-target expansion, with DataFrame functions only.
 
 Every assistant turn becomes an example of its own: all preceding turns are its context, and only that reply is
 trainable. The turns of a conversation are formatted once, as a stream; an example is a prefix of that stream that ends
-with its target turn, together with the span of the reply. So the output grows with the number of turns, not with its
-square; :func:`render` writes examples out in full.
+with its target turn, together with the span of the reply. :func:`expanded` writes the examples out in full, which
+grows with the square of a conversation's turns, and :func:`digest` reads its columns back from them.
 
 A turn is ``<|role|>``, a line feed, the text, ``<|end|>`` and a line feed. Inside roles and texts a backslash becomes
 ``\b`` and ``<`` becomes ``\l`` (in roles ``|`` also becomes ``\p``), so that no mark can stand in a text, and the
@@ -11,8 +11,8 @@ replacement can be undone.
 
 Turns are ordered by turn number (nulls first), role and text; repeated rows are kept. Null roles and texts count as
 empty. Rows without conv_id form one conversation whose id is null. Positions and offsets come from sums over buckets
-of turns, so a conversation with very many turns is spread over tasks; only the digests gather a conversation, which
-hashing it in order requires. Empty tables give no rows. Extra columns are not read.
+of turns, so a conversation with very many turns is spread over tasks; only the expansion and the digests gather a
+conversation, which hashing it in order requires. Empty tables give no rows. Extra columns are not read.
 """
 
 from __future__ import annotations
@@ -75,30 +75,47 @@ def render(turns: DataFrame) -> DataFrame:
     return gathered.select("conv_id", "target", F.array_join(F.transform("before", lambda t: t["formatted"]), "").alias("context"), "reply")
 
 
+def expanded(turns: DataFrame) -> DataFrame:
+    """Every example in full: conv_id, target, text (all preceding turns, then the reply's turn) and the loss span in it.
+
+    Turns behind a conversation's last reply are nobody's context; they make a row of their own, without target and span.
+    The gathered conversation is expanded inside its row, so only the rows that come out grow with the square.
+    """
+    gathered = turns.groupBy("conv_id").agg(F.sort_array(F.collect_list(F.struct("position", "formatted", "start", "loss_start", "loss_end"))).alias("ts"))
+    goals = F.filter("ts", lambda t: t["loss_start"].isNotNull())
+    upto = F.coalesce(F.array_max(F.transform(goals, lambda t: t["position"])), F.lit(0)).cast("int")
+    rest = F.struct(F.lit(None).cast("long").alias("position"), F.lit(None).cast("string").alias("formatted"), F.lit(None).cast("long").alias("start"), F.lit(None).cast("long").alias("loss_start"), F.lit(None).cast("long").alias("loss_end"))
+    asked = gathered.withColumn("upto", upto).select("conv_id", "ts", "upto", F.explode(F.concat(goals, F.when(F.size("ts") > F.col("upto"), F.array(rest)).otherwise(F.array()))).alias("goal"))
+    first, count = F.when(F.col("goal.position").isNull(), F.col("upto") + 1).otherwise(1), F.coalesce(F.col("goal.position").cast("int"), F.size("ts") - F.col("upto"))
+    text = F.array_join(F.transform(F.slice("ts", first, count), lambda t: t["formatted"]), "")
+    return asked.select("conv_id", F.col("goal.position").alias("target"), text.alias("text"), F.col("goal.loss_start").alias("loss_start"), F.col("goal.loss_end").alias("loss_end"))
+
+
 def digest(turns: DataFrame) -> DataFrame:
-    """What the formatted output holds of each conversation: its turns, its trainable text, and its sizes.
+    """What the expanded examples hold of each conversation: its turns, its trainable text, and its sizes.
 
-    Roles and texts are parsed from the formatted turns; the trainable text is cut from them by the loss spans.
+    Everything is read back from the examples' texts: replies are cut by the loss spans, and roles and texts are parsed
+    from the longest example and the turns behind it.
     """
-    role_mark = F.substring_index(F.substring("formatted", len(OPEN) + 1, 1 << 30), SHUT, 1)
-    head = F.length(role_mark) + len(OPEN) + len(SHUT)
-    body = F.substring(F.col("formatted"), head + 1, F.length("formatted") - head - len(END))
-    reply = F.substring(F.col("formatted"), F.col("loss_start") - F.col("start") + 1, F.col("loss_end") - F.col("loss_start"))
-    parsed = turns.select(
-        "conv_id",
-        F.struct(F.col("position"), F.concat(unescape(role_mark), F.lit("\n"), unescape(body), F.lit("\n")).alias("turn"), F.coalesce(unescape(reply), F.lit("")).alias("loss")).alias("t"),
-        (F.col("end") - F.col("start")).alias("chars"),
-        F.when(F.col("loss_start").isNotNull(), F.col("end")).alias("example"),
+    rows = expanded(turns).withColumn("reply", unescape(F.substring(F.col("text"), F.col("loss_start") + 1, F.col("loss_end") - F.col("loss_start"))))
+    read = rows.groupBy("conv_id").agg(
+        F.max_by(F.when(F.col("target").isNotNull(), F.col("text")), "target").alias("longest"),
+        F.max(F.when(F.col("target").isNull(), F.col("text"))).alias("behind"),
+        F.array_join(F.transform(F.sort_array(F.collect_list(F.when(F.col("target").isNotNull(), F.struct("target", "reply")))), lambda t: t["reply"]), "").alias("loss"),
+        F.count("target").alias("n_examples"),
+        F.coalesce(F.sum(F.when(F.col("target").isNotNull(), F.length("text"))), F.lit(0)).alias("example_chars"),
     )
-    whole = parsed.groupBy("conv_id").agg(F.count("*").alias("n_turns"), F.sort_array(F.collect_list("t")).alias("ts"), F.sum("chars").alias("formatted_chars"), F.count("example").alias("n_examples"), F.coalesce(F.sum("example"), F.lit(0)).alias("example_chars"))
-    loss = F.array_join(F.transform("ts", lambda t: t["loss"]), "")
-    return whole.select(
+    whole = read.withColumn("whole", F.concat(F.coalesce("longest", F.lit("")), F.coalesce("behind", F.lit(""))))
+    split = whole.withColumn("parts", F.split("whole", r"<\|end\|>\n", -1)).withColumn("parts", F.slice("parts", 1, F.size("parts") - 1))
+    mark = lambda t: F.substring_index(F.substring(t, len(OPEN) + 1, 1 << 30), SHUT, 1)
+    turn = lambda t: F.concat(unescape(mark(t)), F.lit("\n"), unescape(F.substring(t, F.length(mark(t)) + len(OPEN) + len(SHUT) + 1, F.length(t))), F.lit("\n"))
+    return split.select(
         "conv_id",
-        "n_turns",
-        F.sha2(F.array_join(F.transform("ts", lambda t: t["turn"]), "").cast("binary"), 256).alias("turns_sha256"),
-        F.length(loss).cast("long").alias("loss_chars"),
-        F.sha2(loss.cast("binary"), 256).alias("loss_sha256"),
-        F.col("formatted_chars").cast("long").alias("formatted_chars"),
+        F.size("parts").cast("long").alias("n_turns"),
+        F.sha2(F.array_join(F.transform("parts", turn), "").cast("binary"), 256).alias("turns_sha256"),
+        F.length("loss").cast("long").alias("loss_chars"),
+        F.sha2(F.col("loss").cast("binary"), 256).alias("loss_sha256"),
+        F.length("whole").cast("long").alias("formatted_chars"),
         "n_examples",
         F.col("example_chars").cast("long").alias("example_chars"),
     )
