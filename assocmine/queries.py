@@ -803,9 +803,9 @@ for _view in ("star", "part", "documents", "events"):
 
 @query("q_embedding_signs")
 def q_embedding_signs(spark, sf):
-    frame = views.embedding_signs(spark, sf)
-    sets = [(i, frame.class_at) for i in range(8)]
-    return named(metrics.mutual_information(counts.entropies(frame, [*[(i,) for i in range(9)], *sets]), metrics.table(frame, sets)), "mi")
+    frame = views.embedding_signs(spark, sf, 58)
+    sets = [(i, frame.class_at) for i in frame.predictors]
+    return named(metrics.mutual_information(counts.entropies(frame, [*[(i,) for i in range(len(frame.names))], *sets]), metrics.table(frame, sets)), "mi")
 
 
 @query(
