@@ -1,6 +1,6 @@
 """Suffix-array dedup by prefix-free parsing: bytes in strings of ``length`` bytes that start twice in the corpus go.
 
-Parsing. A rolling hash of short windows puts triggers into every text: the trigger of a string of ``length`` bytes is the
+Parsing. A hash of every short window puts triggers into every text: the trigger of a string of ``length`` bytes is the
 window with the smallest hash (the first of equal ones) among the windows that begin in its first ``reach`` bytes. It
 depends on the string alone. Strings with the same trigger are neighbours and make up a phrase, which reaches from the
 first of them to the end of the last; phrases overlap by nearly ``length`` bytes, so every string is the beginning of
@@ -14,10 +14,10 @@ dictionary is compared within cores only:
 * a phrase with one place, alone in its core, repeats nowhere;
 * what is left are places where two repeats begin or end differently. One copy of each of these phrases is cut into
   sections of few strings, with long cores, and judged in the same way once more. The suffixes of the sections that are
-  still left are put in corpus order at depth ``length``, and those in a class with another suffix repeat.
+  still left are put in classes of equal ones at depth ``length``, and those in a class with another suffix repeat.
 
-Corpus order is needed only as far as classes at depth ``length``, so the suffix arrays of dictionary and parse are held
-as 128-bit names of suffixes at that depth instead of ranks; names are grouped by hash aggregation, which meets a class
+No suffix array and no corpus order is built: only classes at depth ``length`` are, from
+128-bit names of suffixes at that depth; names are grouped by hash aggregation, which meets a class
 with a third of all rows with partial sums. No suffix, phrase or count reaches the driver, and no group is gathered.
 
 Texts travel compressed, and only texts with phrases that need it travel a second time. Nulls count as empty texts.
