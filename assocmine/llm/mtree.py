@@ -1,19 +1,26 @@
-"""Exact top-k by inner product with M-trees and best-first search.
+"""Exact top-k by inner product with a paged M-tree and best-first search.
 
 Vectors of integers are lifted by one coordinate to a common norm, so that the largest inner products are the smallest
-Euclidean distances, a metric. The table is dealt into blocks of bounded size by a hash of the id; each block becomes an
-M-tree of pages: a node holds a pivot, a covering radius and the distance to its parent's pivot, a leaf entry the
-distance to its leaf's pivot. A query walks the nodes of a block from the most promising on. Stored distances rule out
-children and entries by the triangle inequality before any distance to them is computed; what is left is scored with
-exact integers. Bounds are widened by a rounding slack and compared strictly, so ties are never lost.
+Euclidean distances, a metric. The root of the tree has up to ``ROOTS`` pivots, drawn from a bounded sample of rows
+(``ROOT_SAMPLE``); every row goes to its nearest pivot, and the rows of a pivot are dealt into pages of about ``PAGE``
+rows by a hash, so a pivot with a third of all rows fills many pages. A page is an M-subtree in one row of a table: its
+nodes hold a pivot, a covering radius and the distance to the parent's pivot, its leaves up to ``LEAF`` entries with
+their distances to the leaf's pivot. The page table is written once and never shuffled.
 
-The stated query set meets the index in blocks: every pair of a query block and an index block is one row of work.
-The results of all blocks are ranked by query.
+Queries are asked in waves of bounded size, which are broadcast to the pages. First every query searches one page of its
+own pivot; its k-th score there is a bar that the pages of all pivots must be able to reach. Then the wave walks the page
+table: pages whose root ball stays below a query's bar are ruled out, in the others the query walks the nodes from the
+most promising on. Stored distances rule out children and entries by the triangle inequality before any distance to them
+is computed; what is left is scored with exact integers. Bounds are widened by a rounding slack and compared strictly, so
+ties are never lost. The page table is read once for each wave; what is shuffled are query vectors and scores only.
+
+How much is ruled out depends on the data: :func:`search_cost` counts the scored entries, and the README has figures.
 
 Vectors that are null, empty, or hold null or non-finite components take no part, nor do rows without id. Vectors meet
 queries of their own length only. Rows that share a query's id count as the query's own. Of rows that repeat an id, the
-one with the smallest vector asks. Scores beyond 63 bits are held at the ends of the long range. Empty tables give no
-rows. Extra columns are not read.
+one with the smallest vector asks. Rows equal in id and vector are stored once with their number; k of them at most can
+be among the k best. Scores beyond 63 bits are held at the ends of the long range. Empty tables give no rows. Extra
+columns are not read.
 """
 
 from __future__ import annotations
@@ -30,9 +37,14 @@ from pyspark.sql import functions as F
 from assocmine.plans.materialize import materialize, ship_package
 
 SCALE, TOP = 1024, 10
-#: Vectors of a block, entries of a leaf, children of a node, queries of a query block.
-BLOCK, LEAF, FANOUT, QUERIES = 16_384, 1_024, 16, 128
+#: Rows of a page (on average), entries of a leaf, children of a node.
+PAGE, LEAF, FANOUT = 4_096, 32, 16
+#: Most pivots of the root, and rows that they are chosen from.
+ROOTS, ROOT_SAMPLE = 256, 4_096
+#: Bytes of query vectors in a wave: what is broadcast at once.
+WAVE_BYTES = 16 << 20
 EXACT = 1 << 52
+NOTHING = -(1 << 63)
 
 
 def quantized(vectors: DataFrame, id_column: str = "vec_id", vector_column: str = "embedding") -> DataFrame:
@@ -45,170 +57,312 @@ def quantized(vectors: DataFrame, id_column: str = "vec_id", vector_column: str
 
 
 class Tree:
-    """M-tree over one block, held as arrays; nodes and entries are numbered so that children lie together."""
+    """M-subtree over one page, held as arrays; the entries of a leaf and the children of a node lie together."""
 
-    def __init__(self, ids: np.ndarray, x: np.ndarray):
-        self.largest = float(np.abs(x).max(initial=0.0))
-        norms = np.einsum("ij,ij->i", x, x)
-        self.norm2 = float(norms.max(initial=0.0))
-        self.lifted = np.column_stack([x, np.sqrt(np.maximum(0.0, self.norm2 - norms))])
+    def __init__(self, ids: np.ndarray, x: np.ndarray, leaf: int = LEAF, fanout: int = FANOUT):
+        self.leaf, self.fanout = leaf, fanout
         self.ids, self.x = ids, x
-        self.pivot: list[int] = []  # entry that is the node's pivot
-        self.radius: list[float] = []
-        self.to_parent: list[float] = []
-        self.children: list[list[int]] = []
-        self.entries: list[np.ndarray] = []
-        self.entry_distance: list[np.ndarray] = []
-        self._build(np.arange(len(ids)), 0, 0.0)
-        self.radius_, self.to_parent_ = np.array(self.radius), np.array(self.to_parent)
+        self._lift()
+        self._build()
+
+    def __getstate__(self):
+        small = self.x.astype(np.int16) if self.largest < 1 << 15 else self.x  # components are whole numbers
+        return {**{k: v for k, v in self.__dict__.items() if k not in ("x", "lifted", "pivots", "norms")}, "x": small}
+
+    def __setstate__(self, state):
+        self.__dict__.update(state)
+        self.x = self.x.astype(np.float64)
+        self._lift()
         self.pivots = self.lifted[self.pivot]
 
+    def _lift(self) -> None:
+        self.largest = float(np.abs(self.x).max(initial=0.0))
+        norms = np.einsum("ij,ij->i", self.x, self.x)
+        self.norm2 = float(norms.max(initial=0.0))
+        if np.isfinite(self.norm2):
+            self.lifted = np.column_stack([self.x, np.sqrt(np.maximum(0.0, self.norm2 - norms))])
+        else:  # squares beyond doubles: one leaf, and bounds that rule nothing out
+            self.lifted = np.zeros((self.x.shape[0], self.x.shape[1] + 1))
+
     def _distance(self, of: np.ndarray, to: int) -> np.ndarray:
-        return np.sqrt(np.maximum(0.0, ((self.lifted[of] - self.lifted[to]) ** 2).sum(axis=1)))
-
-    def _build(self, members: np.ndarray, pivot: int, to_parent: float) -> int:
-        node = len(self.pivot)
-        away = self._distance(members, pivot)
-        self.pivot.append(pivot)
-        self.radius.append(float(away.max(initial=0.0)))
-        self.to_parent.append(to_parent)
-        self.children.append([])
-        self.entries.append(np.empty(0, dtype=np.int64))
-        self.entry_distance.append(np.empty(0))
-        if len(members) <= LEAF or self.radius[node] == 0.0:
-            self.entries[node], self.entry_distance[node] = members, away
-            return node
-        # pivots at even distances of rank from the node's own pivot: spread out, and no outliers only
+        return np.sqrt(((self.lifted[of] - self.lifted[to]) ** 2).sum(axis=1))
+
+    def _build(self) -> None:
+        """Nodes breadth first; ``order`` puts the entries of every leaf side by side."""
+        pivot, radius, to_parent, child, entry = [], [], [], [], []
+        order, away_of, filled = [], [], 0
+        waiting = [(np.arange(len(self.ids)), 0, 0.0)]
+        for members, p, up in waiting:  # grows while it is walked
+            away = self._distance(members, p)
+            pivot.append(p)
+            radius.append(float(away.max(initial=0.0)))
+            to_parent.append(up)
+            if len(members) <= self.leaf or radius[-1] == 0.0:
+                order.append(members)
+                away_of.append(away)
+                child.append((0, 0))
+                entry.append((filled, filled + len(members)))
+                filled += len(members)
+                continue
+            groups = self._split(members, away)
+            child.append((len(waiting), len(waiting) + len(groups)))
+            entry.append((0, 0))
+            waiting += [(group, q, float(self._distance(np.array([q]), p)[0])) for group, q in groups]
+        self.pivot, self.radius, self.to_parent = np.array(pivot), np.array(radius), np.array(to_parent)
+        self.child, self.entry = child, entry
+        self.entry_distance = np.concatenate(away_of)
+        order = np.concatenate(order)
+        place = np.empty(len(order), dtype=np.int64)
+        place[order] = np.arange(len(order))
+        self.pivot, self.ids, self.x, self.lifted = place[self.pivot], self.ids[order], self.x[order], self.lifted[order]
+        self.pivots = self.lifted[self.pivot]
+
+    def _split(self, members: np.ndarray, away: np.ndarray) -> list[tuple[np.ndarray, int]]:
+        """Members by their nearest new pivot; pivots lie at even ranks of distance from the node's own pivot."""
         order = members[np.argsort(away, kind="stable")]
         pivots, owner, nearest = [], np.zeros(len(members), dtype=np.int64), np.full(len(members), np.inf)
-        for p in order[np.linspace(0, len(order) - 1, FANOUT).astype(int)].tolist():
+        for p in order[np.linspace(0, len(order) - 1, self.fanout).astype(int)].tolist():
             d = self._distance(members, p)
             closer = d < nearest
             if closer[members == p].any():  # not a copy of a pivot
                 pivots.append(p)
                 owner[closer], nearest[closer] = len(pivots) - 1, d[closer]
-        for k, p in enumerate(pivots):
-            group = members[owner == k]
-            if len(group):
-                child = self._build(group, p, float(self._distance(np.array([p]), pivot)[0]))
-                self.children[node].append(child)
-        return node
-
-    def scores(self, entries: np.ndarray, query: np.ndarray) -> np.ndarray:
+        return [(members[owner == k], p) for k, p in enumerate(pivots) if (owner == k).any()]
+
+    def scores(self, first: int, last: int, keep: np.ndarray | None, query: np.ndarray) -> np.ndarray:
         """Exact inner products as 64-bit integers."""
+        x = self.x[first:last] if keep is None else self.x[first:last][keep]
         if float(np.abs(query).max(initial=0.0)) * self.largest * len(query) < EXACT:
-            return (self.x[entries] @ query).astype(np.int64)
+            return (x @ query).astype(np.int64)
         q = [int(c) for c in query]
-        return np.array([max(-(1 << 63), min((1 << 63) - 1, sum(int(a) * b for a, b in zip(row, q)))) for row in self.x[entries]], dtype=np.int64)
+        return np.array([max(NOTHING, min((1 << 63) - 1, sum(int(a) * b for a, b in zip(row, q)))) for row in x], dtype=np.int64)
 
-    def search(self, own: int, query: np.ndarray, k: int) -> list[tuple[int, int]]:
-        """The k best (score, vec_id) of other ids, ties to the smaller id."""
-        q = np.append(query, 0.0)
-        half = (float(query @ query) + self.norm2) / 2
-        slack = 1e-9 * (abs(half) + 1.0)
+    def root_bounds(self, queries: np.ndarray) -> np.ndarray:
+        """For each query a score that no entry of the page exceeds."""
+        half, slack = self._half(np.einsum("ij,ij->i", queries, queries))
+        asked = np.where(np.isfinite(half)[:, None], queries, 0.0)
+        away = np.sqrt(((asked - self.pivots[0, :-1]) ** 2).sum(axis=1) + self.pivots[0, -1] ** 2)
+        return half - np.maximum(0.0, away - self.radius[0]) ** 2 / 2 + slack
+
+    def _half(self, norm2):
+        half = (norm2 + self.norm2) / 2
+        return half, 1e-9 * (np.abs(half) + 1.0)
+
+    def search(self, own: int, query: np.ndarray, k: int, bar: int = NOTHING) -> tuple[list[tuple[int, int]], int]:
+        """Of the entries with other ids that score ``bar`` or more the k best (score, vec_id), ties to the smaller id; and how many were scored."""
+        half, slack = self._half(float(query @ query))
+        q = np.append(query, 0.0) if np.isfinite(half) else np.zeros(len(query) + 1)
 
         def most(distance):
             return half - np.maximum(0.0, distance) ** 2 / 2 + slack
 
         best: list[tuple[int, int]] = []  # min-heap of (score, -vec_id)
+        scored = 0
         first = float(np.sqrt(((self.pivots[0] - q) ** 2).sum()))
         queue = [(-float(most(first - self.radius[0])), 0, first)]
         while queue:
             bound, node, away = heapq.heappop(queue)
-            if len(best) == k and -bound < best[0][0]:
+            if -bound < bar:
                 break
-            if kids := self.children[node]:
-                at = np.array(kids)
-                if len(best) == k:  # stored distances to the parent rule children out before theirs are computed
-                    at = at[most(np.abs(away - self.to_parent_[at]) - self.radius_[at]) >= best[0][0]]
+            lo, hi = self.child[node]
+            if hi > lo:  # stored distances to the parent rule children out before theirs are computed
+                at = lo + np.flatnonzero(most(np.abs(away - self.to_parent[lo:hi]) - self.radius[lo:hi]) >= bar)
                 if len(at):
                     d = np.sqrt(((self.pivots[at] - q) ** 2).sum(axis=1))
-                    for child, dist, ub in zip(at.tolist(), d.tolist(), most(d - self.radius_[at]).tolist()):
-                        if len(best) < k or ub >= best[0][0]:
+                    bounds = most(d - self.radius[at])
+                    for child, dist, ub in zip(at.tolist(), d.tolist(), bounds.tolist()):
+                        if ub >= bar:
                             heapq.heappush(queue, (-ub, child, dist))
                 continue
-            entries = self.entries[node]
-            if len(best) == k:
-                entries = entries[most(np.abs(away - self.entry_distance[node])) >= best[0][0]]
-            scored, names = self.scores(entries, query), self.ids[entries]
-            if len(names) > 2 * k + 2:  # only those that can still be among the k best, equal ones included
-                others = np.where(names == own, np.iinfo(np.int64).min, scored)
-                least = max(int(np.partition(others, -k)[-k]), best[0][0] if len(best) == k else np.iinfo(np.int64).min)
-                scored, names = scored[others >= least], names[others >= least]
-            for score, vec_id in zip(scored.tolist(), names.tolist()):
-                if vec_id == own:
-                    continue
+            lo, hi = self.entry[node]
+            keep = most(np.abs(away - self.entry_distance[lo:hi])) >= bar
+            if not keep.any():
+                continue
+            found, names = self.scores(lo, hi, keep, query), self.ids[lo:hi][keep]
+            scored += len(names)
+            good = (found >= bar) & (names != own)
+            for score, vec_id in zip(found[good].tolist(), names[good].tolist()):
                 if len(best) < k:
                     heapq.heappush(best, (score, -vec_id))
                 elif (score, -vec_id) > best[0]:
                     heapq.heapreplace(best, (score, -vec_id))
-        return [(score, -minus) for score, minus in sorted(best, reverse=True)]
+                if len(best) == k:
+                    bar = max(bar, best[0][0])
+        return [(score, -minus) for score, minus in sorted(best, reverse=True)], scored
+
+
+class Root:
+    """Pivots of the root by the length of their vectors, and the norm that all vectors are lifted to."""
+
+    def __init__(self, sample: list[tuple[int, list[float]]], norm2: float, most: int):
+        self.norm2 = norm2
+        self.pivots: dict[int, np.ndarray] = {}
+        by_dim: dict[int, list[list[float]]] = {}
+        for _, v in sample:
+            by_dim.setdefault(len(v), []).append(v)
+        for dim, rows in by_dim.items():
+            lifted = self.lift(np.array(rows, dtype=np.float64))
+            share = max(1, most * len(rows) // len(sample))
+            chosen, nearest = [0], ((lifted - lifted[0]) ** 2).sum(axis=1)
+            while len(chosen) < share and nearest.max() > 0:  # each time the row farthest from those chosen
+                chosen.append(int(nearest.argmax()))
+                nearest = np.minimum(nearest, ((lifted - lifted[chosen[-1]]) ** 2).sum(axis=1))
+            self.pivots[dim] = lifted[chosen]
+
+    def lift(self, x: np.ndarray) -> np.ndarray:
+        return np.column_stack([x, np.sqrt(np.maximum(0.0, self.norm2 - np.einsum("ij,ij->i", x, x)))])
+
+    def nearest(self, x: np.ndarray) -> np.ndarray:
+        """Number of the nearest pivot of every row; 0 where the sample has no vector of this length."""
+        pivots = self.pivots.get(x.shape[1])
+        if pivots is None:
+            return np.zeros(len(x), dtype=np.int64)
+        lifted = self.lift(x)
+        return ((pivots**2).sum(axis=1) - 2 * (lifted @ pivots.T)).argmin(axis=1)
 
 
-def _matrix(table: pa.Table) -> tuple[np.ndarray, np.ndarray]:
-    column = table.column("v").combine_chunks()
-    flat = np.asarray(column.flatten(), dtype=np.float64)
-    return np.asarray(table.column("vec_id"), dtype=np.int64), flat.reshape(table.num_rows, -1)
+def _vectors(column: pa.Array) -> list[np.ndarray]:
+    return [np.array(v, dtype=np.float64) for v in column.to_pylist()]
 
 
-def index(vectors: DataFrame, n: int) -> DataFrame:
-    """One row per block: its number, the length of its vectors, and its M-tree."""
+def routed(rows: DataFrame, root: Root) -> DataFrame:
+    """``vec_id``, ``v``, ``dim`` and ``cell``, the number of the nearest pivot."""
+    ship_package(rows.sparkSession)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            found, vectors = np.zeros(batch.num_rows, dtype=np.int64), _vectors(batch.column(1))
+            dims = np.array([len(v) for v in vectors], dtype=np.int32)
+            for dim in np.unique(dims).tolist():
+                at = np.flatnonzero(dims == dim)
+                found[at] = root.nearest(np.stack([vectors[i] for i in at]))
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(dims, pa.int32()), pa.array(found, pa.int64())], names=["vec_id", "v", "copies", "dim", "cell"])
+
+    return rows.select("vec_id", "v", "copies").mapInArrow(run, "vec_id long, v array<double>, copies long, dim int, cell long")
+
+
+def index(vectors: DataFrame, k: int = TOP, page: int = PAGE, leaf: int = LEAF, fanout: int = FANOUT) -> tuple[DataFrame, DataFrame, Root | None]:
+    """The page table (dim, cell, part, tree), the numbers of pages of each cell, and the root, of a written table (vec_id, v)."""
     ship_package(vectors.sparkSession)
-    blocks = max(1, -(-n // BLOCK))
+    distinct = materialize(vectors.groupBy("vec_id", "v").agg(F.least(F.count("*"), F.lit(k)).alias("copies")), "mtree-rows")
+    square = F.aggregate("v", F.lit(0.0), lambda acc, x: acc + x * x)
+    n, norm2 = distinct.agg(F.count("*"), F.max(square)).first()
+    if not n:
+        return None, None, None
+    sample = distinct.orderBy(F.xxhash64("vec_id", "v")).select("vec_id", "v").limit(ROOT_SAMPLE).collect()
+    root = Root([(r[0], r[1]) for r in sample], float(norm2), max(1, min(ROOTS, -(-n // page))))
+    dealt = materialize(routed(distinct, root), "mtree-cells")
+    parts = materialize(dealt.groupBy("dim", "cell").agg(F.ceil(F.count("*") / page).cast("long").alias("parts")), "mtree-parts")
 
     def build(table: pa.Table) -> pa.Table:
-        ids, x = _matrix(table)
+        copies = np.asarray(table.column("copies"), dtype=np.int64)
+        ids, x = np.asarray(table.column("vec_id"), dtype=np.int64), np.asarray(table.column("v").combine_chunks().flatten(), dtype=np.float64).reshape(table.num_rows, -1)
         order = np.lexsort((ids,))
-        tree = Tree(ids[order], x[order])
-        return pa.table({"block": [table.column("block")[0].as_py()], "dim": [x.shape[1]], "tree": pa.array([pickle.dumps(tree)], pa.binary())}, schema=pa.schema([("block", pa.int64()), ("dim", pa.int32()), ("tree", pa.binary())]))
+        order = np.repeat(order, copies[order])
+        tree = Tree(ids[order], x[order], leaf, fanout)
+        key = [[table.column(c)[0].as_py()] for c in ("dim", "cell", "part")]
+        return pa.table([pa.array(key[0], pa.int32()), pa.array(key[1], pa.int64()), pa.array(key[2], pa.int64()), pa.array([pickle.dumps(tree)], pa.binary())], names=["dim", "cell", "part", "tree"])
 
-    dealt = vectors.withColumn("block", F.pmod(F.xxhash64("vec_id", "v"), F.lit(blocks))).withColumn("dim", F.size("v"))
-    return dealt.groupBy("block", "dim").applyInArrow(build, "block long, dim int, tree binary")
+    placed = dealt.join(F.broadcast(parts), ["dim", "cell"]).withColumn("part", F.pmod(F.xxhash64("vec_id", "v"), F.col("parts")))
+    pages = placed.select("dim", "cell", "part", "vec_id", "v", "copies").groupBy("dim", "cell", "part").applyInArrow(build, "dim int, cell long, part long, tree binary")
+    return materialize(pages, "mtree-pages"), parts, root
 
 
-def query_blocks(queries: DataFrame, n: int) -> DataFrame:
-    """One row per block of queries: its number, the length of its vectors, ids and matrix."""
-    ship_package(queries.sparkSession)
-    blocks = max(1, -(-n // QUERIES))
+FOUND = "query_id long, vec_id long, score long, scored long"
 
-    def pack(table: pa.Table) -> pa.Table:
-        ids, x = _matrix(table)
-        return pa.table({"query_block": [table.column("query_block")[0].as_py()], "dim": [x.shape[1]], "queries": pa.array([pickle.dumps((ids, x))], pa.binary())}, schema=pa.schema([("query_block", pa.int64()), ("dim", pa.int32()), ("queries", pa.binary())]))
 
-    dealt = queries.withColumn("query_block", F.pmod(F.xxhash64("vec_id"), F.lit(blocks))).withColumn("dim", F.size("v"))
-    return dealt.groupBy("query_block", "dim").applyInArrow(pack, "query_block long, dim int, queries binary")
+def _found(rows: list[tuple[int, int, int, int]]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in (list(zip(*rows)) or [[]] * 4)], names=["query_id", "vec_id", "score", "scored"])
 
 
-def search(vectors: DataFrame, queries: DataFrame, k: int = TOP) -> DataFrame:
-    """``query_id``, ``rank``, ``vec_id`` and ``score`` of the k best rows of ``vectors`` for each row of ``queries``.
+def bars(pages: DataFrame, parts: DataFrame, asked: DataFrame, root: Root, k: int) -> DataFrame:
+    """``query_id`` and ``bar``: the k-th score that a query finds in one page of its own cell (none: no row)."""
+    routed_queries = routed(asked.withColumn("copies", F.lit(1).cast("long")), root).join(F.broadcast(parts), ["dim", "cell"]).withColumn("part", F.pmod(F.xxhash64("vec_id"), F.col("parts")))
+    packs = routed_queries.groupBy("dim", "cell", "part").agg(F.collect_list(F.struct("vec_id", "v")).alias("queries"))
 
-    Both have columns ``vec_id`` and ``v`` (see :func:`quantized`) and must be written tables.
-    """
-    n, m = vectors.count(), queries.count()
-    trees = materialize(index(vectors, n), "mtree-index")
-    asked = materialize(query_blocks(queries, m), "mtree-queries")
-    numbers = trees.select("block", "dim")
-    work = asked.join(numbers, "dim").join(trees, ["block", "dim"]).select("tree", "queries")
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = []
+            for tree_bytes, queries in zip(batch.column(0), batch.column(1).to_pylist()):
+                tree = pickle.loads(tree_bytes.as_py())
+                for q in queries:
+                    best, scored = tree.search(q["vec_id"], np.array(q["v"], dtype=np.float64), k)
+                    rows.append((q["vec_id"], 0, best[-1][0] if len(best) == k else NOTHING, scored))
+            yield _found(rows)
+
+    return pages.join(packs, ["dim", "cell", "part"]).select("tree", "queries").mapInArrow(run, FOUND).select("query_id", F.col("score").alias("bar"), "scored")
+
+
+def _wave(pages: DataFrame, asked: list[tuple[int, list[float], int]], k: int) -> DataFrame:
+    """What the queries of one wave find in every page."""
+    spark = pages.sparkSession
+    by_dim: dict[int, list[tuple[int, list[float], int]]] = {}
+    for q in asked:
+        by_dim.setdefault(len(q[1]), []).append(q)
+    sent = spark.sparkContext.broadcast({d: (np.array([q[0] for q in qs]), np.array([q[1] for q in qs], dtype=np.float64), np.array([q[2] for q in qs])) for d, qs in by_dim.items()})
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = sent.value
+        reached = {d: bar.copy() for d, (_, _, bar) in known.items()}  # rises from page to page of a task
         for batch in batches:
-            for tree_bytes, query_bytes in zip(batch.column(0), batch.column(1)):
-                tree, (ids, x) = pickle.loads(tree_bytes.as_py()), pickle.loads(query_bytes.as_py())
-                out = [(q, v, s) for q, vector in zip(ids.tolist(), x) for s, v in tree.search(q, vector, k)]
-                columns = list(zip(*out)) or [[], [], []]
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], names=["query_id", "vec_id", "score"])
-
-    parts = int(vectors.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    found = work.repartition(parts).mapInArrow(run, "query_id long, vec_id long, score long")
+            for dim, tree_bytes in zip(batch.column(0).to_pylist(), batch.column(1)):
+                if dim not in known:
+                    continue
+                ids, x, _ = known[dim]
+                bar, tree, rows = reached[dim], pickle.loads(tree_bytes.as_py()), []
+                for i in np.flatnonzero(tree.root_bounds(x) >= bar).tolist():
+                    best, scored = tree.search(int(ids[i]), x[i], k, int(bar[i]))
+                    rows += [(int(ids[i]), v, s, 0) for s, v in best]
+                    rows.append((int(ids[i]), None, None, scored))
+                    if len(best) == k:
+                        bar[i] = max(bar[i], best[-1][0])
+                yield _found(rows)
+
+    return pages.select("dim", "tree").mapInArrow(run, FOUND)
+
+
+def _search(vectors: DataFrame, queries: DataFrame, k: int, wave_bytes: int, **options) -> tuple[DataFrame, DataFrame]:
+    spark = vectors.sparkSession
+    pages, parts, root = index(vectors, k, **options)
+    if pages is None:
+        empty = spark.createDataFrame([], FOUND)
+        return empty, empty.select("query_id", "scored")
+    first = materialize(bars(pages, parts, queries, root, k), "mtree-bars")
+    known = first.groupBy("query_id").agg(F.max("bar").alias("bar"))
+    asked = materialize(queries.join(known, F.col("vec_id") == F.col("query_id"), "left").select("vec_id", "v", F.coalesce("bar", F.lit(NOTHING)).alias("bar")), "mtree-asked")
+    size = asked.agg(F.sum(8 * F.size("v") + 64)).first()[0] or 0
+    waves = max(1, -(-int(size) // wave_bytes))
+    found = None
+    for wave in range(waves):
+        mine = asked.filter(F.pmod(F.xxhash64("vec_id"), F.lit(waves)) == wave).collect()
+        if mine:
+            one = materialize(_wave(pages, [tuple(r) for r in mine], k), "mtree-found")
+            found = one if found is None else found.unionByName(one)
+    found = found if found is not None else spark.createDataFrame([], FOUND)
+    return found, first.select("query_id", "scored").unionByName(found.filter("vec_id is null").select("query_id", "scored"))
+
+
+def search(vectors: DataFrame, queries: DataFrame, k: int = TOP, wave_bytes: int = WAVE_BYTES, **options) -> DataFrame:
+    """``query_id``, ``rank``, ``vec_id`` and ``score`` of the k best rows of ``vectors`` for each row of ``queries``.
+
+    Both have columns ``vec_id`` and ``v`` (see :func:`quantized`) and must be written tables; ids of queries differ.
+    Options are those of :func:`index`.
+    """
+    found, _ = _search(vectors, queries, k, wave_bytes, **options)
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
-    return found.withColumn("rank", rank).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    return found.filter("vec_id is not null").withColumn("rank", rank).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+
+
+def search_cost(vectors: DataFrame, queries: DataFrame, k: int = TOP, wave_bytes: int = WAVE_BYTES, **options) -> DataFrame:
+    """``query_id`` and ``scored``: how many entries the search has scored for each query."""
+    return _search(vectors, queries, k, wave_bytes, **options)[1].groupBy("query_id").agg(F.sum("scored").alias("scored"))
 
 
 def top_of_every_hundredth(vectors: DataFrame, step: int = 100) -> DataFrame:
     """The stated query set, rows whose id is divisible by ``step``, against all rows."""
     rows = materialize(quantized(vectors), "mtree-vectors")
     queries = rows.filter(F.col("vec_id") % step == 0).groupBy("vec_id").agg(F.min("v").alias("v"))
-    return search(rows, materialize(queries, "mtree-asked"))
+    return search(rows, materialize(queries, "mtree-queries"))
 
 
 ORACLE = """
