@@ -4,25 +4,27 @@ from __future__ import annotations
 
 from itertools import combinations
 
+import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from assocmine.operators.mining import Search
+from assocmine.operators.mining import Search, check_local, counter, in_memory
 from assocmine.operators.significance import ALPHA_HIGH, ALPHA_LOW
 from assocmine.plans import counts
+from assocmine.plans.materialize import ship_package
 from assocmine.sources.frame import Frame
 
 
-def hard_threshold(frame: Frame, alpha: float = 0.2, beta: float = 0.8, max_order: int = 4, min_ratio: float = 5.0, max_sets: int = 3_000_000) -> DataFrame:
-    """Sets with TC of ``beta`` bits or more whose proper subsets have ``alpha`` bits or less. Supersets of a strong set,
-    and of a set between the cut-offs, are not explored. A class counts as one more attribute."""
-    plain = Frame(frame.rows, frame.names, frame.states, frame.n)
-    run = Search(plain, "tc", ALPHA_HIGH, ALPHA_LOW, "product", min_ratio, max_sets)
+SETS_SCHEMA = "g long, members array<int>, names array<string>, bits double"
+
+
+def _hard_threshold(run: Search, alpha: float, beta: float, max_order: int) -> list[tuple]:
+    names = run.frame.names
     weak = {g: {(i,) for i in run.attributes} for g in run.groups}
     run.evaluate({g: set(s) for g, s in weak.items()})
     found = []
     for order in range(2, max_order + 1):
         children = {
-            g: {s for p in sets for j in range(p[-1] + 1, len(plain.names)) if run.enough(s := (*p, j)) and all(t in weak[g] for t in combinations(s, order - 1))} for g, sets in ((g, [s for s in weak[g] if len(s) == order - 1]) for g in run.groups)
+            g: {s for p in sets for j in range(p[-1] + 1, len(names)) if run.enough(s := (*p, j)) and all(t in weak[g] for t in combinations(s, order - 1))} for g, sets in ((g, [s for s in weak[g] if len(s) == order - 1]) for g in run.groups)
         }
         run.evaluate(children)
         if not any(children.values()):
@@ -31,10 +33,32 @@ def hard_threshold(frame: Frame, alpha: float = 0.2, beta: float = 0.8, max_orde
             for s in sets:
                 bits = run.bits(g, s)
                 if bits >= beta:
-                    found.append((g, list(s), [plain.names[i] for i in s], bits))
+                    found.append((g, list(s), [names[i] for i in s], bits))
                 elif bits <= alpha:
                     weak[g].add(s)
-    return frame.spark.createDataFrame(found, "g long, members array<int>, names array<string>, bits double")
+    return found
+
+
+def hard_threshold(frame: Frame, alpha: float = 0.2, beta: float = 0.8, max_order: int = 4, min_ratio: float = 5.0, max_sets: int = 3_000_000) -> DataFrame:
+    """Sets with TC of ``beta`` bits or more whose proper subsets have ``alpha`` bits or less. Supersets of a strong set,
+    and of a set between the cut-offs, are not explored. A class counts as one more attribute."""
+    plain = Frame(frame.rows, frame.names, frame.states, frame.n)
+    return frame.spark.createDataFrame(_hard_threshold(Search(plain, "tc", ALPHA_HIGH, ALPHA_LOW, "product", min_ratio, max_sets), alpha, beta, max_order), SETS_SCHEMA)
+
+
+def hard_threshold_each(frame: Frame, alpha: float = 0.2, beta: float = 0.8, max_order: int = 4, min_ratio: float = 5.0, max_sets: int = 3_000_000) -> DataFrame:
+    """The same, one task a data set."""
+    check_local(frame)
+    ship_package(frame.spark)
+    shape = Frame(None, frame.names, frame.states, frame.n)
+    schema = pa.schema([("g", pa.int64()), ("members", pa.list_(pa.int32())), ("names", pa.list_(pa.string())), ("bits", pa.float64())])
+
+    def one(table: pa.Table) -> pa.Table:
+        g, x, w = in_memory(table)
+        rows = _hard_threshold(Search(shape, "tc", ALPHA_HIGH, ALPHA_LOW, "product", min_ratio, max_sets, groups=[g], count=counter(g, x, w, shape.states)), alpha, beta, max_order)
+        return pa.table([pa.array(c, f.type) for c, f in zip(list(zip(*rows)) or [()] * len(schema), schema)], schema=schema)
+
+    return frame.rows.select("g", "a", "w").groupBy("g").applyInArrow(one, SETS_SCHEMA)
 
 
 def pair_information(frame: Frame) -> dict[int, dict[tuple[int, int], float]]:

@@ -2,25 +2,37 @@
 
 The data are touched by one counting pass a level (and a small one for subsets that the tree never visited), for all data
 sets of the frame at once. Between the passes the lattice is attribute metadata: its size depends on the number of
-attributes, never on the number of rows, and is guarded by ``max_sets``.
+attributes, never on the number of rows, and is guarded by ``max_sets``. Beyond that :mod:`assocmine.operators.lattice`
+keeps the lattice in tables.
+
+An experiment's many small data sets are mined by :func:`mine_each`, one task a data set, with the same code.
 """
 
 from __future__ import annotations
 
 import math
 from collections import defaultdict
+from collections.abc import Callable, Iterable
 from dataclasses import dataclass, field
 from itertools import combinations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from assocmine.functions.gamma import critical_bits, log_p
 from assocmine.operators import bounds as B
+from assocmine.operators import redundancy
 from assocmine.operators.significance import ALPHA_HIGH, ALPHA_LOW, SLACK, check_alphas
 from assocmine.plans import counts
+from assocmine.plans.materialize import ship_package
 from assocmine.sources.frame import Frame
 
 Members = tuple[int, ...]
+#: Counts the sets wanted in each data set: (data set, set, entropy in bits, cells).
+Count = Callable[[dict[int, list[Members]]], Iterable[tuple[int, Members, float, int]]]
+#: Most rows of a data set that one task mines.
+LOCAL_ROWS = 1_000_000
 STRONG, MIDDLE, WEAK = "STRONG", "MIDDLE", "WEAK"
 RESULT_SCHEMA = "g long, members array<int>, names array<string>, metric string, bits double, df double, p double, neg_log10_p double, zone string, kind string"
 REPORT_SCHEMA = "level int, children long, cut_samples long, decided_by_bound map<string,long>, exact long, side_exact long, kept long, frontier long"
@@ -53,23 +65,28 @@ class Mined:
     result: dict[int, dict[Members, Found]]
     levels: list[Level]
 
-    def table(self) -> DataFrame:
+    def rows(self) -> list[tuple]:
         rows = []
         for g, sets in self.result.items():
             for s, f in sets.items():
                 lp = log_p(f.bits, f.df, self.frame.n)
                 rows.append((g, list(s), [self.frame.names[i] for i in s], self.metric, f.bits, f.df, math.exp(lp), -lp / math.log(10.0), STRONG, f.kind))
-        return self.frame.spark.createDataFrame(rows, RESULT_SCHEMA)
+        return rows
+
+    def table(self) -> DataFrame:
+        return self.frame.spark.createDataFrame(self.rows(), RESULT_SCHEMA)
+
+    def level_rows(self) -> list[tuple]:
+        return [(v.order, v.children, v.cut_samples, {k: int(n) for k, n in v.decided.items()}, v.exact, v.side_exact, v.kept, v.frontier) for v in self.levels]
 
     def report(self) -> DataFrame:
-        rows = [(v.order, v.children, v.cut_samples, {k: int(n) for k, n in v.decided.items()}, v.exact, v.side_exact, v.kept, v.frontier) for v in self.levels]
-        return self.frame.spark.createDataFrame(rows, REPORT_SCHEMA)
+        return self.frame.spark.createDataFrame(self.level_rows(), REPORT_SCHEMA)
 
 
 class Search:
     """Shared state of one run: exact entropies by data set, zones, and counting passes."""
 
-    def __init__(self, frame: Frame, mode: str, alpha_high: float, alpha_low: float, v_mode: str, min_ratio: float, max_sets: int, tight: bool = True):
+    def __init__(self, frame: Frame, mode: str, alpha_high: float, alpha_low: float, v_mode: str, min_ratio: float, max_sets: int, tight: bool = True, groups: list[int] | None = None, count: Count | None = None):
         check_alphas(alpha_high, alpha_low)
         if mode == "cac" and frame.class_at is None:
             raise ValueError("class-associated search needs a class attribute")
@@ -77,7 +94,8 @@ class Search:
         self.v_mode, self.min_ratio, self.max_sets = v_mode, min_ratio, max_sets
         self.c = frame.class_at if mode == "cac" else None
         self.attributes = [i for i in range(len(frame.names)) if i != self.c]
-        self.groups = [r[0] for r in frame.rows.select("g").distinct().orderBy("g").collect()]
+        self.groups = groups if groups is not None else [r[0] for r in frame.rows.select("g").distinct().orderBy("g").collect()]
+        self.count = count or self._pass
         self.ent = {g: B.Entropies({}, tight) for g in self.groups}
         self.cells: dict[tuple[int, Members], int] = {}
         self.zones: dict[int, dict[Members, str]] = {g: {} for g in self.groups}
@@ -99,17 +117,19 @@ class Search:
                 wanted[g] = sorted(more)
         total = sum(map(len, wanted.values()))
         if total > self.max_sets:
-            raise RuntimeError(f"{total} candidate sets exceed max_sets = {self.max_sets}; lower max_order or remove redundant attributes")
+            raise RuntimeError(f"{total} candidate sets exceed max_sets = {self.max_sets}; lower max_order, remove redundant attributes, or mine with lattice.mine")
         if not wanted:
             return
         self.passes += 1
+        for g, s, h, cells in self.count(wanted):
+            self.ent[g].exact[s] = h
+            self.cells[g, s] = cells
+
+    def _pass(self, wanted: dict[int, list[Members]]) -> Iterable[tuple[int, Members, float, int]]:
         lists = list(wanted.values())
         same = len(wanted) == len(self.groups) and all(x == lists[0] for x in lists)
-        cells = counts.count_cells(self.frame, {None: lists[0]} if same else wanted)
-        for r in counts._from_cells(cells).collect():
-            s = tuple(r["s"])
-            self.ent[r["g"]].exact[s] = r["h"]
-            self.cells[r["g"], s] = r["cells"]
+        for r in counts.entropies_by_group(self.frame, {None: lists[0]} if same else wanted).collect():
+            yield r["g"], tuple(r["s"]), r["h"], r["cells"]
 
     def is_exact(self, g: int, s: Members) -> bool:
         return self.full(s) in self.ent[g].exact and s in self.ent[g].exact
@@ -187,13 +207,16 @@ def mine(
     min_bits: float = 0.0,
     max_sets: int = 3_000_000,
     tight: bool = True,
+    groups: list[int] | None = None,
+    count: Count | None = None,
 ) -> Mined:
     """Core and extension sets. ``rule`` "tree" tests a set by what its tree parent is; "definition" tests every set.
 
     ``subset_check`` "immediate" looks at subsets with one member fewer, "all" at every subset of two or more (or, with
     a class, of one or more). ``first_order`` holds with a class: 1 begins with single predictors, 2 with pairs.
+    ``groups`` and ``count`` replace the frame's rows by another way to count.
     """
-    run = Search(frame, mode, alpha_high, alpha_low, v_mode, min_ratio, max_sets, tight)
+    run = Search(frame, mode, alpha_high, alpha_low, v_mode, min_ratio, max_sets, tight, groups, count)
     start = first_order if mode == "cac" else 2
     top = max_order if max_order is not None else len(run.attributes)
     result: dict[int, dict[Members, Found]] = {g: {} for g in run.groups}
@@ -334,6 +357,55 @@ def judge(run: Search, g: int, s: Members, parent_kept: bool | None, subset_chec
     return None
 
 
+_ARROW = pa.schema(
+    [("g", pa.int64()), ("members", pa.list_(pa.int32())), ("names", pa.list_(pa.string())), ("metric", pa.string()), ("bits", pa.float64()), ("df", pa.float64()), ("p", pa.float64()), ("neg_log10_p", pa.float64()), ("zone", pa.string()), ("kind", pa.string())]
+)
+
+
+def in_memory(table: pa.Table) -> tuple[int, np.ndarray, np.ndarray]:
+    """Number, codes (a row an attribute) and weights of one data set of a frame's rows."""
+    w = np.asarray(table.column("w").combine_chunks(), dtype=np.int64)
+    codes = np.asarray(table.column("a").combine_chunks().flatten(), dtype=np.int64).reshape(len(w), -1)
+    return table.column("g")[0].as_py(), codes.T.copy(), w
+
+
+def counter(g: int, x: np.ndarray, w: np.ndarray, states: tuple[int, ...]) -> Count:
+    return lambda wanted: ((g, s, h, cells) for s, h, cells in counts.entropies_of(x, w, states, wanted[g]))
+
+
+def shape_of(frame: Frame) -> Frame:
+    """The frame without its rows, for tasks."""
+    return Frame(None, frame.names, frame.states, frame.n, frame.class_at, frame.dropped)
+
+
+def check_local(frame: Frame) -> None:
+    if frame.n > LOCAL_ROWS:
+        raise ValueError(f"data sets of {frame.n} rows are mined by passes over the frame, not by one task each")
+
+
+def mine_each(frame: Frame, mode: str = "tc", delta: float | None = None, greedy: str = "residual", **options) -> DataFrame:
+    """Results (as :meth:`Mined.table`) of every data set of the frame, each mined by one task.
+
+    With ``delta`` each data set is first reduced by its own redundant attributes; members are indexes of the given frame.
+    """
+    check_local(frame)
+    ship_package(frame.spark)
+    shape = shape_of(frame)
+
+    def run(table: pa.Table) -> pa.Table:
+        g, x, w = in_memory(table)
+        own, kept = shape, list(range(len(shape.names)))
+        if delta is not None:
+            reps = redundancy.representatives_of(shape, x, w, delta, greedy)
+            kept = sorted([*reps, *([shape.class_at] if shape.class_at is not None else [])])
+            own = Frame(None, tuple(shape.names[i] for i in kept), tuple(shape.states[i] for i in kept), shape.n, kept.index(shape.class_at) if shape.class_at is not None else None)
+        found = mine(own, mode, groups=[g], count=counter(g, x[kept], w, own.states), **options)
+        rows = [(g_, [kept[i] for i in s], *rest) for g_, s, *rest in found.rows()]
+        return pa.table([pa.array(c, f.type) for c, f in zip(list(zip(*rows)) or [()] * len(_ARROW), _ARROW)], schema=_ARROW)
+
+    return frame.rows.select("g", "a", "w").groupBy("g").applyInArrow(run, RESULT_SCHEMA)
+
+
 def mine_correlation(frame: Frame, **options) -> Mined:
     return mine(frame, "tc", **options)
 

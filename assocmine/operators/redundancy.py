@@ -6,11 +6,14 @@ import warnings
 from collections import defaultdict
 from itertools import combinations, product
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from assocmine.operators.metrics import _singles, interaction_info
 from assocmine.plans import counts
+from assocmine.plans.materialize import materialize, ship_package
 from assocmine.sources.frame import Frame
 
 DELTA = 0.75
@@ -67,17 +70,43 @@ def reduce(groups: dict[int, set[int]], greedy: str = "residual") -> dict[int, l
     return chosen
 
 
-def representatives(frame: Frame, delta: float = DELTA, context: str = "none", greedy: str = "residual") -> dict[int, list[int]]:
-    """Cover groups of the frame's representatives. A frame with several data sets is reduced by its first one."""
-    ent = pair_entropies(frame, context)
-    scored = scores(frame, ent, context)
+def representatives_each(frame: Frame, delta: float = DELTA, context: str = "none", greedy: str = "residual") -> DataFrame:
+    """``g``, ``nth``, ``rep``, ``covered``: the representatives of every data set in order of choice. A task holds one entry an attribute."""
+    ship_package(frame.spark)
+    scored = materialize(scores(frame, pair_entropies(frame, context), context), "redundancy-scores")
     if context == "class":
         least = scored.agg(F.min("score")).first()[0]
         if least is not None and least > -delta:
             warnings.warn(f"no pair reaches the threshold {-delta} in the class context (least score {least:.4f})", stacklevel=2)
-    rows = covers(frame, scored, delta).collect()  # one row an attribute and data set
-    g = min(r["g"] for r in rows)
-    return reduce({r["rep"]: set(r["covered"]) for r in rows if r["g"] == g}, greedy)
+
+    def choose(table: pa.Table) -> pa.Table:
+        chosen = reduce({r["rep"]: set(r["covered"]) for r in table.to_pylist()}, greedy)
+        return pa.table([pa.array([table.column("g")[0].as_py()] * len(chosen), pa.int64()), pa.array(range(len(chosen)), pa.int32()), pa.array(list(chosen), pa.int32()), pa.array(list(chosen.values()), pa.list_(pa.int32()))], names=["g", "nth", "rep", "covered"])
+
+    return covers(frame, scored, delta).groupBy("g").applyInArrow(choose, "g long, nth int, rep int, covered array<int>")
+
+
+def representatives(frame: Frame, delta: float = DELTA, context: str = "none", greedy: str = "residual") -> dict[int, list[int]]:
+    """Cover groups of the representatives of a frame. Data sets whose representatives differ have to be reduced each by itself."""
+    by_group: dict[int, dict[int, list[int]]] = defaultdict(dict)
+    for r in representatives_each(frame, delta, context, greedy).orderBy("g", "nth").collect():  # one row an attribute and data set
+        by_group[r["g"]][r["rep"]] = list(r["covered"])
+    found = list(by_group.values())
+    if any(set(x) != set(found[0]) for x in found):
+        raise ValueError("the data sets of this frame have different representatives; use representatives_each or mine_each")
+    return found[0] if found else {}
+
+
+def representatives_of(frame: Frame, x: np.ndarray, w: np.ndarray, delta: float = DELTA, greedy: str = "residual") -> dict[int, list[int]]:
+    """The same for one data set in memory, without class context."""
+    p = frame.predictors
+    h = {s: bits for s, bits, _ in counts.entropies_of(x, w, frame.states, [*((i,) for i in p), *combinations(p, 2)])}
+    groups = {i: {i} for i in p}
+    for i, j in combinations(p, 2):
+        if -(h[i,] + h[j,] - h[i, j]) / min(h[i,], h[j,]) <= -delta:
+            groups[i].add(j)
+            groups[j].add(i)
+    return reduce(groups, greedy)
 
 
 def apply(frame: Frame, reps: dict[int, list[int]] | list[int]) -> Frame:

@@ -15,6 +15,7 @@ from pyspark.sql import types as T
 
 from assocmine.functions.expressions import product, zone_of
 from assocmine.functions.gamma import critical_bits, log_p
+from assocmine.plans.materialize import ship_package
 from assocmine.sources.frame import Frame
 
 ALPHA_HIGH, ALPHA_LOW = 1e-8, 1e-2
@@ -73,11 +74,22 @@ def thresholds(spark: SparkSession, dfs: Iterable[float], n: int, high: float =
     return spark.createDataFrame(rows, "df double, strong_at double, weak_at double")
 
 
+def critical_values(df: Column, n: int, high: float = ALPHA_HIGH, low: float = ALPHA_LOW) -> Column:
+    """``strong_at`` and ``weak_at`` of each row's degrees of freedom, in Arrow batches over candidate rows; each distinct one is computed once a worker."""
+    check_alphas(high, low)
+
+    @F.pandas_udf("strong_at double, weak_at double")
+    def cuts(d: pd.Series) -> pd.DataFrame:
+        return pd.DataFrame([(critical_bits(x, n, high) + SLACK, critical_bits(x, n, low) + SLACK) for x in d], columns=["strong_at", "weak_at"], dtype="float64")
+
+    return cuts(df.cast("double"))
+
+
 def with_zone(rows: DataFrame, bits: str, n: int, high: float = ALPHA_HIGH, low: float = ALPHA_LOW, out: str = "zone") -> DataFrame:
-    """Adds a zone to rows with ``df`` and the metric; distinct degrees of freedom are fetched, one threshold row each."""
-    dfs = [r[0] for r in rows.select("df").distinct().collect()]
-    cuts = F.broadcast(thresholds(rows.sparkSession, dfs, n, high, low))
-    return rows.join(cuts, "df").withColumn(out, zone_of(F.col(bits), F.col("strong_at"), F.col("weak_at"))).drop("strong_at", "weak_at")
+    """Adds a zone to rows with ``df`` and the metric, without a job of its own."""
+    ship_package(rows.sparkSession)
+    cut = rows.withColumn("__cut", critical_values(F.col("df"), n, high, low))
+    return cut.withColumn(out, zone_of(F.col(bits), F.col("__cut.strong_at"), F.col("__cut.weak_at"))).drop("__cut")
 
 
 def p_even_df(bits: float, df: int, n: float) -> float:

@@ -53,7 +53,7 @@ class Frame:
 
 
 def encode(df: DataFrame, names: list[str], class_name: str | None = None, group: Column | None = None, weight: Column | None = None, keep: list[str] | None = None, max_states: int = MAX_STATES) -> Frame:
-    """Dense codes by value order; attributes with one value are dropped and reported.
+    """Dense codes by value order; attributes with one value are dropped and reported. The coded rows are written once.
 
     Nulls must have been treated (see ``discretize``); a null that is left becomes a value of its own, code 0.
     """
@@ -81,6 +81,7 @@ def encode(df: DataFrame, names: list[str], class_name: str | None = None, group
         states.append(len(known) + gap)
         used.append(name)
     rows = base.select("g", *(keep or []), F.array(*codes).alias("a") if codes else F.array().cast("array<int>").alias("a"), "w")
+    rows = materialize(rows, "frame")
     size = rows.groupBy("g").agg(F.sum("w").alias("n")).agg(F.min("n"), F.max("n")).first()
     if size[0] != size[1]:
         raise ValueError(f"data sets of one frame differ in size: {size[0]} to {size[1]} rows")

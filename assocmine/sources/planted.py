@@ -6,16 +6,40 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from assocmine.functions.expressions import genotype, uniform
+from assocmine.plans.materialize import materialize
 from assocmine.sources import discretize
 from assocmine.sources.frame import Frame, encode
 
 NOISE = (0.0, 0.1, 0.15, 0.2, 0.25, 0.3)
 
 
-def _keys(spark: SparkSession, sf_dir: str, table: str, column: str, most: int | None, reps: list[int]) -> DataFrame:
+#: Number of a data set: LEVEL * noise level + REPEAT * repeat + number of its key range.
+LEVEL, REPEAT = 10**12, 10**9
+#: Consecutive keys that give one data set of 300 + 300 or 800 + 800 rows.
+GAIN_KEYS, COPY_KEYS = 700, 1_900
+
+
+def _keys(spark: SparkSession, sf_dir: str, table: str, column: str, size: int | None, reps: list[int] | None) -> DataFrame:
+    """``key``, ``rep`` and ``g``. With repeats given, the first key range only, g being the repeat. Without, the whole
+    table: every range of ``size`` keys is a data set, in as many repeats as it takes to have ``REPEATS`` of them."""
     keys = spark.read.parquet(f"{sf_dir}/{table}.parquet").select(F.col(column).alias("key"))
-    keys = keys.filter(F.col("key") < most) if most is not None else keys
-    return keys.withColumn("rep", F.explode(F.array(*[F.lit(r) for r in reps])))
+    if reps is not None:
+        keys = keys.filter(F.col("key") < size) if size is not None else keys
+        return keys.withColumn("rep", F.explode(F.array(*[F.lit(r) for r in reps]))).withColumn("g", F.col("rep").cast("long"))
+    keys = keys.withColumn("part", F.floor(F.col("key") / size))
+    full = keys.groupBy("part").agg(F.count("*").alias("n")).filter(F.col("n") == size)
+    times = repeats(full.count())
+    whole = keys.join(full.select("part"), "part", "left_semi").withColumn("rep", F.explode(F.sequence(F.lit(0), F.lit(times - 1))))
+    return whole.withColumn("g", F.col("rep") * F.lit(REPEAT) + F.col("part")).drop("part")
+
+
+#: Data sets of an experiment, at least.
+REPEATS = 100
+
+
+def repeats(parts: int) -> int:
+    """How often the key ranges of a table are used, each time with other draws."""
+    return -(-REPEATS // parts) if parts else 1
 
 
 def _u(tag: str) -> Column:
@@ -26,7 +50,7 @@ def _attributes(n: int = 15) -> list[str]:
     return [f"a{i}" for i in range(1, n + 1)]
 
 
-def noisy_xor_table(spark: SparkSession, sf_dir: str, reps: list[int], noise: float) -> DataFrame:
+def noisy_xor_table(spark: SparkSession, sf_dir: str, reps: list[int] | None, noise: float) -> DataFrame:
     """three exclusive-or relations among 15 binary attributes, their targets flipped with probability ``noise``."""
     df = _keys(spark, sf_dir, "orders", "o_orderkey", 200, reps)
     df = df.withColumns({c: (_u(c) < 0.5).cast("int") for c in _attributes()})
@@ -38,20 +62,25 @@ def noisy_xor_table(spark: SparkSession, sf_dir: str, reps: list[int], noise: fl
     return df
 
 
-def noisy_xor(spark: SparkSession, sf_dir: str, reps: list[int], noise: tuple[float, ...] = (0.1,)) -> Frame:
-    """F1 for all repeats and noise levels at once: data set g = 1000 * (index of the noise level) + repeat."""
+def noisy_xor(spark: SparkSession, sf_dir: str, reps: list[int] | None, noise: tuple[float, ...] = (0.1,)) -> Frame:
+    """F1 for all noise levels at once: data set g = 1000 * (index of the noise level) + repeat, or of the whole table (no
+    repeats given) LEVEL * (index) + the number of the data set."""
     df = None
     for i, p in enumerate(noise):
-        one = noisy_xor_table(spark, sf_dir, reps, p).withColumn("g", F.lit(1000 * i) + F.col("rep"))
+        one = noisy_xor_table(spark, sf_dir, reps, p).withColumn("g", F.lit((LEVEL if reps is None else 1000) * i) + F.col("g"))
         df = one if df is None else df.unionByName(one)
-    return encode(df, _attributes(), group=F.col("g"), keep=["key"])
+    return _coded(df, _attributes())
+
+
+def _coded(df: DataFrame, names: list[str], class_name: str | None = None) -> Frame:
+    return encode(materialize(df.select("g", "key", *names, *([class_name] if class_name else [])), "planted"), names, class_name, F.col("g"), keep=["key"])
 
 
 #: Sets of attribute indexes (from 0) that F1 plants.
 XOR_TRUTH = ((0, 1, 2), (5, 6, 7, 8), (10, 11, 12, 13))
 
 
-def epistasis_table(spark: SparkSession, sf_dir: str, reps: list[int], strong: bool = False) -> DataFrame:
+def epistasis_table(spark: SparkSession, sf_dir: str, reps: list[int] | None, strong: bool = False) -> DataFrame:
     """F2 and (strong) F2b: a pair of ternary attributes that tells a binary trait only together."""
     df = _keys(spark, sf_dir, "orders", "o_orderkey", 200, reps)
     df = df.withColumns({c: genotype(_u(c)) for c in _attributes()}).withColumn("t", (F.col("key") % 2).cast("int"))
@@ -63,37 +92,43 @@ def epistasis_table(spark: SparkSession, sf_dir: str, reps: list[int], strong: b
     return df.withColumns({"a1": F.when(F.col("t") == 1, first[pick]).otherwise(F.col("a1")), "a2": F.when(F.col("t") == 1, second[pick]).otherwise(F.col("a2"))})
 
 
-def epistasis(spark: SparkSession, sf_dir: str, reps: list[int], strong: bool = False) -> Frame:
-    return encode(epistasis_table(spark, sf_dir, reps, strong), [*_attributes(), "t"], group=F.col("rep"), keep=["key"])
+def epistasis(spark: SparkSession, sf_dir: str, reps: list[int] | None, strong: bool = False) -> Frame:
+    return _coded(epistasis_table(spark, sf_dir, reps, strong), [*_attributes(), "t"])
 
 
-def class_gain_table(spark: SparkSession, sf_dir: str, reps: list[int]) -> DataFrame:
+def class_gain_table(spark: SparkSession, sf_dir: str, reps: list[int] | None) -> DataFrame:
     """attribute 1 tells the class alone, attribute 2 only together with it; 300 rows of each class."""
-    df = _keys(spark, sf_dir, "orders", "o_orderkey", None, reps)
+    df = _keys(spark, sf_dir, "orders", "o_orderkey", GAIN_KEYS, reps)
     df = df.withColumns({c: genotype(_u(c)) for c in _attributes()})
     even = F.when((F.col("a1") + F.col("a2")) % 2 == 0, 0.25).otherwise(-0.25)
     df = df.withColumn("c", (_u("c") < F.array(*map(F.lit, (0.25, 0.5, 0.75)))[F.col("a1")] + even).cast("int"))
-    return discretize.balanced(df, ["rep"], "c", "key", 300)
+    return _complete(discretize.balanced(df, ["g"], "c", "key", 300), 600)
 
 
-def class_gain(spark: SparkSession, sf_dir: str, reps: list[int]) -> Frame:
-    return encode(class_gain_table(spark, sf_dir, reps), _attributes(), "c", F.col("rep"), keep=["key"])
+def class_gain(spark: SparkSession, sf_dir: str, reps: list[int] | None) -> Frame:
+    return _coded(class_gain_table(spark, sf_dir, reps), _attributes(), "c")
 
 
-def class_copies_table(spark: SparkSession, sf_dir: str, reps: list[int]) -> DataFrame:
+def class_copies_table(spark: SparkSession, sf_dir: str, reps: list[int] | None) -> DataFrame:
     """three attributes act on the class together, and copies of them have 5% errors; 800 rows of each class."""
-    df = _keys(spark, sf_dir, "orders", "o_orderkey", None, reps)
+    df = _keys(spark, sf_dir, "orders", "o_orderkey", COPY_KEYS, reps)
     df = df.withColumns({c: genotype(_u(c)) for c in _attributes()})
     for i in (1, 2, 3):
         copy = F.when(_u(f"e{i + 5}") < 0.05, (F.col(f"a{i}") + 1) % 3).otherwise(F.col(f"a{i}"))
         df = df.withColumn(f"a{i + 5}", copy.cast("int"))
     two, three = (F.col("a1") + F.col("a2")) % 2, (F.col("a1") + F.col("a2") + F.col("a3")) % 2
     chance = 0.05 + F.when((F.col("a1") == 2) | (F.col("a3") == 2), 0.3).otherwise(0.0) + 0.3 * two + 0.3 * three
-    return discretize.balanced(df.withColumn("c", (_u("c") < chance).cast("int")), ["rep"], "c", "key", 800)
+    return _complete(discretize.balanced(df.withColumn("c", (_u("c") < chance).cast("int")), ["g"], "c", "key", 800), 1_600)
+
+
+def _complete(df: DataFrame, size: int) -> DataFrame:
+    """The data sets that have got all their rows; a key range with too few rows of a class makes none."""
+    full = df.groupBy("g").agg(F.count("*").alias("n")).filter(F.col("n") == size)
+    return df.join(full.select("g"), "g", "left_semi")
 
 
-def class_copies(spark: SparkSession, sf_dir: str, reps: list[int]) -> Frame:
-    return encode(class_copies_table(spark, sf_dir, reps), _attributes(), "c", F.col("rep"), keep=["key"])
+def class_copies(spark: SparkSession, sf_dir: str, reps: list[int] | None) -> Frame:
+    return _coded(class_copies_table(spark, sf_dir, reps), _attributes(), "c")
 
 
 def block_table(spark: SparkSession, sf_dir: str, reps: list[int], n_attributes: int, cases: int, controls: int, gaps: float = 0.0) -> DataFrame:

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import DataFrame, SparkSession
 
 from assocmine.sources.frame import Frame, encode
@@ -51,9 +53,12 @@ def view_sql(name: str) -> str:
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    for t in tables_of(name):
-        spark.read.parquet(f"{sf_dir}/{t}.parquet").createOrReplaceTempView(t)
-    return spark.sql(view_sql(name))
+    """The view as a DataFrame; no view of the session is created or replaced."""
+    used = tables_of(name)
+    source = re.sub(r"^(\w+)|(?<=join )(\w+)", lambda m: f"{{{m[0]}}} as {m[0]}", VIEWS[name][1])
+    names, _, expressions = VIEWS[name]
+    listed = ", ".join(f"{e} as {n}" for n, e in zip(names, expressions))
+    return spark.sql(f"select {listed} from {source}", **{t: spark.read.parquet(f"{sf_dir}/{t}.parquet") for t in used})
 
 
 def frame(spark: SparkSession, sf_dir: str, name: str, class_name: str | None = None) -> Frame:
