@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import os
 import tempfile
 import uuid
@@ -17,9 +18,11 @@ PACKAGE = Path(__file__).resolve().parents[1]
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """URI of ``spark.checkpoint.dir``; a temporary folder is set only where none is configured (tests)."""
+    """URI of ``spark.checkpoint.dir``; a temporary folder is set only where none is configured and all tasks run in this process's machine (tests)."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that the whole cluster shares")
         found = "file://" + tempfile.mkdtemp(prefix="assocmine-shared-")
         spark.sparkContext.setCheckpointDir(found)
     return found.rstrip("/")
@@ -43,12 +46,17 @@ def collecting(paths: list[str]) -> Iterator[None]:
         _collected.reset(before)
 
 
+def note(path: str) -> None:
+    """Leave a table to whoever collects here."""
+    if (paths := _collected.get()) is not None:
+        paths.append(path)
+
+
 def materialize(df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` as Parquet in the shared folder and read it back: lineage ends here and survives lost executors."""
     spark = df.sparkSession
     path = fresh_path(spark, name)
-    if (paths := _collected.get()) is not None:
-        paths.append(path)
+    note(path)
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
@@ -60,6 +68,14 @@ def drop_path(spark: SparkSession, path: str) -> None:
     target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
 
 
+def release(spark: SparkSession, paths: list[str]) -> None:
+    """Drop tables whose readers are done, and let the driver's collectors find the shuffles behind them, which go with them."""
+    while paths:
+        drop_path(spark, paths.pop())
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def ship_package(spark: SparkSession) -> None:
     """Send this package to the executors' Python workers, once for each Spark context."""
     sc = spark.sparkContext
