@@ -67,7 +67,8 @@ def links(distinct: DataFrame, radius: int = 2) -> DataFrame:
     if radius != 2:
         raise ValueError("variants within half the radius are built for a radius of 2")
     flips = F.array(F.lit(0).cast("long"), *[F.lit(1 << b if b < 63 else -(1 << 63)).cast("long") for b in range(64)])
-    variants = distinct.select("fp", F.explode(F.transform(flips, lambda f: F.col("fp").bitwiseXOR(f))).alias("v"))
+    tasks = int(distinct.sparkSession.conf.get("spark.sql.shuffle.partitions"))  # every row becomes 65: tasks are not coalesced by the size of what they read
+    variants = distinct.repartition(tasks, "fp").select("fp", F.explode(F.transform(flips, lambda f: F.col("fp").bitwiseXOR(f))).alias("v"))
     least = variants.groupBy("v").agg(F.min("fp").alias("a"), F.collect_list("fp").alias("all")).filter(F.size("all") > 1)
     pairs = least.select("a", F.explode("all").alias("b")).filter("a <> b and bit_count(a ^ b) <= 2")
     return pairs.distinct()
