@@ -24,7 +24,7 @@ WEIGHTS, SHARE, MOST_TIMES = (3, 1, 2), 1.5, 2
 #: A mix has about this many slots, or slots of so many words if those are fewer.
 SLOTS, MOST_WORDS = 1 << 15, 256
 #: Documents of a bucket, slots of a run, and cells of the scale on which slots meet sources.
-BUCKET_ROWS, RUN, CELLS = 4096, 1 << 16, 1 << 12
+BUCKET_ROWS, RUN, CELLS = 1024, 1 << 16, 1 << 12
 GOLDEN = 0.6180339887498949
 #: Fixed value: the fractional part of 2**20 times the golden ratio's.
 GOLDEN_20 = 0.6077874097403509
