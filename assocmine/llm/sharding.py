@@ -1,7 +1,8 @@
 """Sharding by histogram sort, with DataFrame functions only.
 
-Rows get a 62-bit sort key: a hash of the text above a hash of the doc_id, so equal texts lie together and yet have
-keys of their own. The splitters between shards are found by counting: each round counts the exact bytes of the key
+Rows get a 62-bit sort key: a hash of the text above hashes of the doc_id and of the row's number in the written table,
+so equal texts lie together and yet have keys of their own: a group of copies that is larger than a shard is split, and
+one that lies at a splitter may be, as the law is about bytes. The splitters between shards are found by counting: each round counts the exact bytes of the key
 ranges that still hold a wanted splitter, ranges 512 times finer than the round before, until the bytes below every
 splitter are within tolerance of its quota or the key has no more digits. Then rows are exchanged once.
 
@@ -9,8 +10,8 @@ The driver holds the counts of the probed ranges only: 512 for each of the shard
 gapless numbers inside a shard: sums over cells of hashed keys first, ranks inside cells then.
 
 The law is ``bytes``: shards hold nearly equal bytes. A null text has no bytes and the checksum of the empty text. A
-null doc_id is hashed like any other value. Rows that are equal in all of doc_id and text share a key and stay in one
-shard. An empty table gives no rows. Extra columns are not read.
+null doc_id is hashed like any other value. Rows that are equal in all of doc_id and text are told apart by their number.
+An empty table gives no rows. Extra columns are not read.
 """
 
 from __future__ import annotations
@@ -21,16 +22,16 @@ from pyspark.sql import functions as F
 from assocmine.plans.materialize import materialize
 
 SHARDS, OVERHEAD = 24, 8
-KEY_BITS, LOW_BITS, DIGIT = 62, 24, 9
+KEY_BITS, LOW_BITS, ROW_BITS, DIGIT = 62, 24, 8, 9
 #: Bytes by which a splitter may miss its quota, as a share of a shard's bytes; and rows of a cell, about.
 TOLERANCE, CELL_ROWS = 1e-4, 4096
 
 
 def keyed(docs: DataFrame) -> DataFrame:
-    """``doc_id``, ``size``, ``text_crc32`` and the sort ``key`` of every row."""
+    """``doc_id``, ``size``, ``text_crc32`` and the sort ``key`` of every row; to be written before it is read twice."""
     text = F.coalesce(F.col("text"), F.lit(""))
     high = F.shiftleft(F.pmod(F.xxhash64("text"), F.lit(1 << (KEY_BITS - LOW_BITS))), LOW_BITS)
-    return docs.select("doc_id", (F.octet_length(text) + OVERHEAD).cast("long").alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), (high + F.pmod(F.xxhash64("doc_id"), F.lit(1 << LOW_BITS))).alias("key"))
+    return docs.select("doc_id", (F.octet_length(text) + OVERHEAD).cast("long").alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), (high + F.shiftleft(F.pmod(F.xxhash64("doc_id"), F.lit(1 << (LOW_BITS - ROW_BITS))), ROW_BITS) + F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(1 << ROW_BITS))).alias("key"))
 
 
 def splitters(rows: DataFrame, shards: int = SHARDS, tolerance: float = TOLERANCE) -> tuple[list[int], int]:
