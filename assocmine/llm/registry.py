@@ -28,7 +28,7 @@ def op3_bit_plane_files(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_prefix_free_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return repeats.digest(repeats.removed(documents(spark, sf_dir)))
+    return repeats.digest(repeats.removed(documents(spark, sf_dir), words=repeats.WORDS))
 
 
 def op5_prefix_target_chat(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,57 +1,98 @@
-"""Suffix-array dedup by prefix-free parsing: bytes in strings of ``length`` bytes that start twice in the corpus go.
+"""Suffix-array dedup by prefix-free parsing: what lies in strings of a fixed length that start twice in the corpus goes.
 
-Parsing. A hash of every short window puts triggers into every text: the trigger of a string of ``length`` bytes is the
-window with the smallest hash (the first of equal ones) among the windows that begin in its first ``reach`` bytes. It
+Views. A text is read as a sequence of units: its UTF-8 bytes, and, where asked for, a 32-bit hash of each of its words.
+Strings of ``length`` units are looked for in each view by itself, in the same passes.
+
+Parsing. A rolling hash of every window of a few units puts triggers into every text: the trigger of a string is the
+window with the smallest hash (the first of equal ones) among the windows that begin in its first ``reach`` units. It
 depends on the string alone. Strings with the same trigger are neighbours and make up a phrase, which reaches from the
-first of them to the end of the last; phrases overlap by nearly ``length`` bytes, so every string is the beginning of
+first of them to the end of the last; phrases overlap by nearly ``length`` units, so every string is the beginning of
 exactly one phrase suffix, and no such suffix is a prefix of another at that depth.
 
-Dictionary and parse. The dictionary holds the distinct phrases with the number of their places in the parse. Two equal
-strings lie in phrases with the same *core* (the bytes behind the trigger that every string of the phrase holds), so the
-dictionary is compared within cores only:
+Dictionary and parse. The parse is one narrow row a phrase, and is written once. Two equal strings lie in phrases with
+the same *core* (the units behind the trigger that every string of the phrase holds), so rows whose core has one place
+in the parse are done with. The dictionary holds the distinct phrases of the others with the number of their places:
 
 * a phrase with two places repeats with all its suffixes;
 * a phrase with one place, alone in its core, repeats nowhere;
 * what is left are places where two repeats begin or end differently. One copy of each of these phrases is cut into
-  sections of few strings, with long cores, and judged in the same way once more. The suffixes of the sections that are
-  still left are put in classes of equal ones at depth ``length``, and those in a class with another suffix repeat.
+  sections of few strings, with long cores, and judged in the same way once more.
+
+Suffix order. The sections that are still left are the dictionary whose suffixes are sorted. Their distinct cores get
+ranks by content. A suffix that begins i units before its core is ordered by these i units, the rank of the core that
+follows, and the units behind it: the end of a phrase and the rank of what comes after it in the parse, which is the
+order of the suffixes at depth ``length``. Equal strings have the same i, so the order is kept for each i by itself. It
+is spread over range partitions, ties broken by place, so a class with a third of all suffixes spans many tasks; equal
+neighbours repeat, and neighbours across tasks are compared by the tasks' first and last suffixes.
 
-No suffix array and no corpus order is built: only classes at depth ``length`` are, from
-128-bit names of suffixes at that depth; names are grouped by hash aggregation, which meets a class
-with a third of all rows with partial sums. No suffix, phrase or count reaches the driver, and no group is gathered.
+Phrases are compared by two 64-bit hashes (of the core and of the whole), suffixes and cores by their bytes, words by 32
+bits each. No suffix, phrase or count reaches the driver, and no group is gathered. Tables are dropped as soon as their
+last reader is done.
 
 Texts travel compressed, and only texts with phrases that need it travel a second time. Nulls count as empty texts.
-Equal rows count each. Texts shorter than ``length`` lose nothing.
-Empty tables give no rows. Extra columns are not read.
+Equal rows count each. Texts shorter than ``length`` lose nothing. Words are what ASCII white space separates, as their
+exact bytes. Empty tables give no rows. Extra columns are not read.
 """
 
 from __future__ import annotations
 
 import hashlib
-import struct
+import re
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 import xxhash
 import zstandard
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from assocmine.llm.bpe import utf8_values
-from assocmine.plans.materialize import materialize, ship_package
+from assocmine.plans.materialize import collecting, materialize, note, release, ship_package
 
 LENGTH = 400
-#: Bytes of a trigger window, an odd multiplier that mixes them, and bits of a packed value that hold the place.
-TRIGGER, MIXER, PLACE_BITS = 8, np.uint64(0x9E3779B97F4A7C15), 24
-#: Bytes of a text parsed at once, and rows and names handed back at once.
-PIECE, ROWS_AT_ONCE, NAMES_AT_ONCE = 1 << 22, 500, 50_000
-NAME = struct.Struct("<qq")
+#: Words of the shortest passage that the word view looks for.
+WORDS = 51
+#: The base of the rolling hash, an odd multiplier that mixes it, and bits of a packed value that hold the place.
+BASE, MIXER, PLACE_BITS = 0x100000001B3, np.uint64(0x9E3779B97F4A7C15), 24
+#: Units of a text parsed at once, and rows handed back at once: texts, and small rows.
+PIECE, ROWS_AT_ONCE, SMALL_ROWS = 1 << 22, 500, 50_000
 #: Strings of a section of a phrase.
 SECTION = 16
-PHRASES = ("id", "at", "core", "p1", "p2")
-SECTIONS = ("id", "at", "j", "core", "p1", "p2")
-NAMES = ("id", "start", "s1", "s2")
+PHRASES = ("id", "view", "at", "core", "p")
+SECTIONS = ("id", "view", "at", "j", "core", "p")
+#: Of a suffix: units before its core, these units, rank of the core, and units behind it.
+SUFFIX = ("i", "before", "rank", "behind")
+WORD = re.compile(rb"[^ \t\n\r\x0b\x0c]+")
+
+
+@dataclass(frozen=True)
+class View:
+    """How a text is read: its number, the length of its strings and of trigger windows in units, and bytes of a unit."""
+
+    number: int
+    length: int
+    trigger: int
+    unit: int
+
+    def __post_init__(self):
+        if self.length < max(2 * self.trigger, SECTION + 1):
+            raise ValueError(f"strings need {max(2 * self.trigger, SECTION + 1)} units at least")
+
+    def units(self, text: bytes) -> np.ndarray:
+        if self.unit == 1:
+            return np.frombuffer(text, dtype=np.uint8)
+        code = xxhash.xxh32_intdigest
+        return np.array([code(w) for w in text.split()], dtype="<u4")
+
+
+def byte_view(length: int = LENGTH) -> View:
+    return View(0, length, 8, 1)
+
+
+def word_view(words: int = WORDS) -> View:
+    return View(1, words, 2, 4)
 
 
 def reach_of(length: int) -> int:
@@ -60,28 +101,33 @@ def reach_of(length: int) -> int:
 
 
 def core_of(length: int) -> int:
-    """Bytes behind a trigger's start that every string with this trigger holds."""
+    """Units behind a trigger's start that every string with this trigger holds."""
     return length - reach_of(length)
 
 
-def phrases(text: bytes, length: int = LENGTH) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Of every phrase: its trigger's start, and the starts of its first and last string of ``length`` bytes."""
-    if length < 2 * TRIGGER:
-        raise ValueError(f"strings need {2 * TRIGGER} bytes at least")
-    found = [_phrases(text[start : start + PIECE + length - 1], length, start) for start in range(0, max(0, len(text) - length + 1), PIECE)]
+def phrases(units: np.ndarray, view: View) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Of every phrase: its trigger's start, and the starts of its first and last string."""
+    step = max(PIECE, view.length)
+    found = [_phrases(units[start : start + step + view.length - 1], view, start) for start in range(0, max(0, len(units) - view.length + 1), step)]
     if not found:
         return (np.empty(0, dtype=np.int64),) * 3
     return tuple(np.concatenate(x) for x in zip(*found))
 
 
-def _phrases(text: bytes, length: int, offset: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def rolling(units: np.ndarray, window: int) -> np.ndarray:
+    """Rolling hash of every window (a power of two): the value at BASE of the polynomial of its units, modulo 2 ** 64, by doubling windows."""
+    h, size = units.astype(np.uint64), 1
+    while size < window:
+        h = h[:-size] * np.uint64(pow(BASE, size, 1 << 64)) + h[size:]
+        size *= 2
+    return h
+
+
+def _phrases(units: np.ndarray, view: View, offset: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """The phrases of a piece of text; memory is bounded by the piece."""
-    width, strings = reach_of(length), len(text) - length + 1
+    width, strings = reach_of(view.length), len(units) - view.length + 1
     n = strings + width - 1
-    data = np.frombuffer(text, dtype=np.uint8)
-    h = np.ndarray((n,), dtype="<u8", buffer=text, strides=(1,)) * MIXER if len(data) >= n + TRIGGER - 1 else None
-    if h is None:
-        raise ValueError("trigger windows must lie inside strings")
+    h = rolling(units, view.trigger)[:n] * MIXER
     h ^= h >> np.uint64(31)
     h *= MIXER
     h &= ~np.uint64((1 << PLACE_BITS) - 1)
@@ -99,8 +145,8 @@ def _phrases(text: bytes, length: int, offset: int) -> tuple[np.ndarray, np.ndar
     return at[last] + offset, first + offset, last + offset
 
 
-def _name(data: bytes, seed: int = 0) -> tuple[int, int]:
-    return NAME.unpack(xxhash.xxh3_128_digest(data, seed))
+def _hash(units: np.ndarray, seed: int) -> int:
+    return xxhash.xxh3_64_intdigest(units.tobytes(), seed) - (1 << 63)
 
 
 def _types(df: DataFrame, columns: tuple[str, ...]) -> str:
@@ -112,7 +158,7 @@ def pack(docs: DataFrame, carry: tuple[str, ...]) -> DataFrame:
     n = len(carry) + 1
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        packer = zstandard.ZstdCompressor(level=1)
+        packer = zstandard.ZstdCompressor(level=3)
         for batch in batches:
             for start in range(0, batch.num_rows, ROWS_AT_ONCE):
                 part = batch.slice(start, ROWS_AT_ONCE)
@@ -122,9 +168,8 @@ def pack(docs: DataFrame, carry: tuple[str, ...]) -> DataFrame:
     return numbered.mapInArrow(run, f"id long, {_types(numbered, carry)}, packed binary")
 
 
-def parse(packed: DataFrame, length: int) -> DataFrame:
-    """One row per phrase of the parse: row ``id``, trigger's place ``at``, ``core``, and name (``p1``, ``p2``)."""
-    behind = core_of(length)
+def parse(packed: DataFrame, views: tuple[View, ...]) -> DataFrame:
+    """One row per phrase of the parse: row ``id``, ``view``, trigger's place ``at``, and hashes of its ``core`` and of all of it (``p``)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         unpacker = zstandard.ZstdDecompressor()
@@ -134,29 +179,43 @@ def parse(packed: DataFrame, length: int) -> DataFrame:
                 rows: list[tuple] = []
                 for number, data in zip(part.column(0).to_pylist(), part.column(1).to_pylist()):
                     text = unpacker.decompress(data)
-                    for at, first, last in zip(*(x.tolist() for x in phrases(text, length))):
-                        rows.append((number, at, xxhash.xxh64_intdigest(text[at : at + behind]) - (1 << 63), *_name(text[first : last + length], at - first)))
+                    for view in views:
+                        rows += _parsed(number, view.units(text), view)
                 yield _records(rows, PHRASES)
 
     return packed.select("id", "packed").mapInArrow(run, ", ".join(f"{c} long" for c in PHRASES))
 
 
+def _parsed(number: int, units: np.ndarray, view: View) -> list[tuple]:
+    data, u, length, behind, v = units.tobytes(), view.unit, view.length, core_of(view.length), view.number
+    digest, low = xxhash.xxh3_64_intdigest, 1 << 63
+    return [
+        (number, v, at, digest(data[at * u : (at + behind) * u], v) - low, digest(data[first * u : (last + length) * u], at - first) - low)
+        for at, first, last in zip(*(x.tolist() for x in phrases(units, view)))
+    ]
+
+
 def _records(rows: list[tuple], names: tuple[str, ...]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in (list(zip(*rows)) or [()] * len(names))], names=list(names))
 
 
-def sections(text: bytes, wanted: set[int], length: int) -> Iterator[tuple[int, int, int, int]]:
+def sections(units: np.ndarray, wanted: set[int], view: View) -> Iterator[tuple[int, int, int, int]]:
     """The phrases at the wanted places in sections: (trigger's place, number of the section, first and last string's start).
 
-    Section j holds the strings that begin SECTION * j to SECTION * (j + 1) - 1 bytes before the trigger.
+    Section j holds the strings that begin SECTION * j to SECTION * (j + 1) - 1 units before the trigger.
     """
-    for at, first, last in zip(*(x.tolist() for x in phrases(text, length))):
+    for at, first, last in zip(*(x.tolist() for x in phrases(units, view))):
         if at in wanted:
             for j in range((at - last) // SECTION, (at - first) // SECTION + 1):
                 yield at, j, max(first, at - SECTION * j - SECTION + 1), min(last, at - SECTION * j)
 
 
-def parse_sections(placed: DataFrame, length: int) -> DataFrame:
+def _places(marked: list[dict], view: View, *keys: str) -> set:
+    found = [tuple(m[k] for k in keys) for m in marked or () if m["view"] == view.number]
+    return {f[0] for f in found} if len(keys) == 1 else set(found)
+
+
+def parse_sections(placed: DataFrame, views: tuple[View, ...]) -> DataFrame:
     """As :func:`parse`, for sections of the phrases at ``places``: their cores are nearly as long as their strings."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -165,10 +224,13 @@ def parse_sections(placed: DataFrame, length: int) -> DataFrame:
             rows: list[tuple] = []
             for number, data, places in zip(*(c.to_pylist() for c in batch.columns)):
                 text = unpacker.decompress(data)
-                for at, j, first, last in sections(text, set(places), length):
-                    core = text[at - SECTION * j : at - SECTION * j + length - SECTION + 1]
-                    rows.append((number, at, j, xxhash.xxh64_intdigest(core, j) - (1 << 63), *_name(text[first : last + length], at - first)))
-                if len(rows) >= NAMES_AT_ONCE:
+                for view in views:
+                    if wanted := _places(places, view, "at"):
+                        units = view.units(text)
+                        for at, j, first, last in sections(units, wanted, view):
+                            base = at - SECTION * j
+                            rows.append((number, view.number, at, j, _hash(units[base : base + view.length - SECTION + 1], 2 * j + view.number), _hash(units[first : last + view.length], at - first)))
+                if len(rows) >= SMALL_ROWS:
                     yield _records(rows, SECTIONS)
                     rows = []
             yield _records(rows, SECTIONS)
@@ -176,109 +238,201 @@ def parse_sections(placed: DataFrame, length: int) -> DataFrame:
     return placed.select("id", "packed", "places").mapInArrow(run, ", ".join(f"{c} long" for c in SECTIONS))
 
 
-def suffix_names(placed: DataFrame, length: int) -> DataFrame:
-    """Names, at depth ``length``, of all suffixes of the sections ``parts`` (place, number) of each packed text."""
+def section_parts(placed: DataFrame, views: tuple[View, ...]) -> DataFrame:
+    """Of each section in ``parts`` (view, place, number): its ``core`` and where that starts (``base``), how many units before it the last and first string begin, and the bytes around it."""
+    schema = pa.schema([("id", pa.int64()), ("view", pa.int64()), ("base", pa.int64()), ("least", pa.int32()), ("most", pa.int32()), ("core", pa.binary()), ("before", pa.binary()), ("behind", pa.binary())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         unpacker = zstandard.ZstdDecompressor()
         for batch in batches:
             rows: list[tuple] = []
             for number, data, parts in zip(*(c.to_pylist() for c in batch.columns)):
-                text, wanted = unpacker.decompress(data), {(p["at"], p["j"]) for p in parts}
-                for at, j, first, last in sections(text, {at for at, _ in wanted}, length):
-                    if (at, j) in wanted:
-                        rows += [(number, start, *_name(text[start : start + length])) for start in range(first, last + 1)]
-                if len(rows) >= NAMES_AT_ONCE:
-                    yield _records(rows, NAMES)
+                text = unpacker.decompress(data)
+                for view in views:
+                    wanted = _places(parts, view, "at", "j")
+                    if not wanted:
+                        continue
+                    units, width = view.units(text), view.length - SECTION + 1
+                    for at, j, first, last in sections(units, {at for at, _ in wanted}, view):
+                        if (at, j) in wanted:
+                            base = at - SECTION * j
+                            rows.append((number, view.number, base, base - last, base - first, units[base : base + width].tobytes(), units[first:base].tobytes(), units[base + width : last + view.length].tobytes()))
+                if len(rows) >= SMALL_ROWS // SECTION:
+                    yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows), schema)], schema=schema)
                     rows = []
-            yield _records(rows, NAMES)
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows), schema)], schema=schema)
 
-    return placed.select("id", "packed", "parts").mapInArrow(run, ", ".join(f"{c} long" for c in NAMES))
+    return placed.select("id", "packed", "parts").mapInArrow(run, "id long, view long, base long, least int, most int, core binary, before binary, behind binary")
+
+
+def suffix_order(parts: DataFrame, unit: dict[int, int]) -> DataFrame:
+    """All suffixes of rows of :func:`section_parts` (a written table) in their order: ``id``, ``view``, ``start``, the columns of SUFFIX, and the range partition ``task``. ``unit`` has the bytes of each view's units."""
+    tasks = int(parts.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    cores = parts.groupBy("core").agg(F.count("*").alias("m")).filter("m > 1").select("core")
+    ranks = materialize(cores.repartitionByRange(tasks, "core").sortWithinPartitions("core").withColumn("rank", F.monotonically_increasing_id()), "core-ranks")
+    each = parts.join(ranks, "core").select("id", "view", "base", "rank", "before", "behind", "most", F.explode(F.sequence("least", "most")).alias("i"))
+    wide = F.element_at(F.create_map(*[F.lit(x) for pair in unit.items() for x in pair]), F.col("view").cast("int"))
+    before = F.substring(F.col("before"), (F.col("most") - F.col("i")) * wide + 1, F.col("i") * wide)
+    behind = F.substring(F.col("behind"), F.lit(1), (F.lit(SECTION - 1) - F.col("i")) * wide)
+    suffixes = each.select("id", "view", (F.col("base") - F.col("i")).alias("start"), "i", before.alias("before"), "rank", behind.alias("behind"))
+    place = [*SUFFIX, "id", "view", "start"]
+    return materialize(suffixes, "suffixes").repartitionByRange(tasks, *place).sortWithinPartitions(*place).withColumn("task", F.spark_partition_id())
+
+
+PLACE = ("id", "view", "start")
+_NEAR = pa.schema([("id", pa.int64()), ("view", pa.int64()), ("start", pa.int64()), ("i", pa.int32()), ("before", pa.binary()), ("rank", pa.int64()), ("behind", pa.binary()), ("task", pa.int32()), ("twice", pa.bool_()), ("edge", pa.bool_())])
+
+
+def equal_neighbours(ordered: DataFrame) -> DataFrame:
+    """``id``, ``view`` and ``start`` of the suffixes that equal a neighbour in their order."""
+
+    def near(rows: list[tuple]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(list(zip(*rows)) or [()] * len(_NEAR), _NEAR)], schema=_NEAR)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        out: list[tuple] = []
+        before, was = None, False  # the suffix before this one, and whether it equals the one before it
+        for batch in batches:
+            for row in zip(*(c.to_pylist() for c in batch.columns)):
+                if before is None:
+                    out.append((*row, False, True))
+                    same = False
+                else:
+                    same = before[3:7] == row[3:7]
+                    if same or was:
+                        out.append((*before, True, False))
+                before, was = row, same
+                if len(out) >= SMALL_ROWS:
+                    yield near(out)
+                    out = []
+        if before is not None:
+            out.append((*before, was, True))
+        yield near(out)
+
+    fields = "id long, view long, start long, i int, before binary, rank long, behind binary, task int, twice boolean, edge boolean"
+    found = materialize(ordered.select(*PLACE, *SUFFIX, "task").mapInArrow(run, fields), "neighbours")
+    # the first and last suffix of every task, in order of tasks: two rows a task
+    beside = Window.orderBy("task", *SUFFIX, *PLACE)
+    key = F.struct(*SUFFIX)
+    edges = found.filter("edge").withColumn("up", F.lag(key).over(beside)).withColumn("up_task", F.lag("task").over(beside)).withColumn("down", F.lead(key).over(beside)).withColumn("down_task", F.lead("task").over(beside))
+    met = ((F.col("up_task") != F.col("task")) & (F.col("up") == key)) | ((F.col("down_task") != F.col("task")) & (F.col("down") == key))
+    return found.filter("twice").select(*PLACE).unionByName(edges.filter(met).select(*PLACE)).distinct()
 
 
 def judge(parsed: DataFrame, place: list[str], name: str) -> tuple[DataFrame, DataFrame]:
-    """Places whose phrase has two places, and one copy of every phrase that shares its core with another phrase."""
-    phrase = ["core", "p1", "p2"]
-    dictionary = parsed.groupBy(*phrase).agg(F.count("*").alias("n"), F.min(F.struct("id", *place)).alias("copy"))
-    cores = dictionary.groupBy("core").agg(F.count("*").alias("m")).filter("m > 1").select("core", F.lit(True).alias("shared"))
-    judged = materialize(dictionary.join(cores, "core", "left").filter("n > 1 or shared"), name)
-    twice = parsed.join(judged.filter("n > 1").select(*phrase), phrase, "left_semi").select("id", *place)
-    return twice, judged.filter("shared").select("copy.id", *(f"copy.{c}" for c in place))
+    """Places whose phrase has two places, and one copy of every phrase that shares its core with another phrase.
+
+    Only rows whose core has two places or more are compared; the others go before any phrase is looked at.
+    """
+    cores = materialize(parsed.groupBy("core").agg(F.count("*").alias("m")).filter("m > 1").select("core"), f"{name}-cores")
+    open_rows = materialize(parsed.join(cores, "core", "left_semi"), f"{name}-rows")
+    dictionary = materialize(open_rows.groupBy("core", "p").agg(F.count("*").alias("n"), F.min(F.struct("id", *place)).alias("copy")), name)
+    twice = open_rows.join(dictionary.filter("n > 1").select("core", "p"), ["core", "p"], "left_semi").select("id", *place)
+    shared = dictionary.groupBy("core").agg(F.count("*").alias("m")).filter("m > 1").select("core")
+    return twice, dictionary.join(shared, "core", "left_semi").select("copy.id", *(f"copy.{c}" for c in place))
+
 
+def removed(docs: DataFrame, length: int = LENGTH, carry: tuple[str, ...] = ("doc_id",), words: int | None = None, keep: str = "bytes") -> DataFrame:
+    """The carried columns, ``n_bytes``, ``n_removed``, ``spans`` (offset, length) and ``kept`` (binary) of every row.
 
-def removed(docs: DataFrame, length: int = LENGTH, carry: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """The carried columns, ``n_bytes``, ``n_removed``, ``spans`` (offset, length) and ``kept`` (binary) of every row."""
+    With ``words`` passages of that many words are looked for too: ``passages`` has their spans in bytes, from the first
+    byte of their first word to the last of their last, and ``n_passage_words`` their words. With ``keep`` "text" they
+    are cut out like the byte strings, and ``kept`` is a string, without characters that a cut has parted; with "bytes"
+    it lacks the byte strings only.
+    """
     ship_package(docs.sparkSession)
+    spark, views = docs.sparkSession, (byte_view(length), *([word_view(words)] if words else []))
     packed = materialize(pack(docs, carry), "packed-texts")
-    whole, copies = judge(parse(packed, length), ["at"], "dictionary")
-    marks = whole.withColumn("repeats", F.lit(True)).unionByName(copies.withColumn("repeats", F.lit(False))).groupBy("id").agg(
-        F.collect_list(F.when(F.col("repeats"), F.col("at"))).alias("whole"), F.collect_list(F.when(~F.col("repeats"), F.col("at"))).alias("places")
-    )
-    marks = materialize(marks, "marked-places")
-    open_texts = materialize(packed.select("id", "packed").join(marks.filter(F.size("places") > 0).select("id", "places"), "id"), "open-texts")
-    half, ends = judge(materialize(parse_sections(open_texts, length), "sections"), ["at", "j"], "section-dictionary")
-    parts = ends.groupBy("id").agg(F.collect_list(F.struct("at", "j")).alias("parts"))
-    names = materialize(suffix_names(open_texts.select("id", "packed").join(parts, "id"), length), "suffix-names")
-    twice = names.groupBy("s1", "s2").agg(F.count("*").alias("n")).filter("n > 1").select("s1", "s2")
-    single = names.join(twice, ["s1", "s2"], "left_semi").groupBy("id").agg(F.collect_list("start").alias("starts"))
-    half = half.groupBy("id").agg(F.collect_list(F.struct("at", "j")).alias("parts"))
-    found = materialize(marks.select("id", "whole").join(half, "id", "left").join(single, "id", "left"), "found-places")
-    return _cut(packed.join(found, "id", "left"), length, carry)
-
-
-def cut(text: bytes, whole: set[int], parts: set[tuple[int, int]], starts: list[int], length: int = LENGTH) -> list[tuple[int, int]]:
-    """Maximal runs (offset, length) of the bytes covered by strings that repeat."""
-    change = np.zeros(len(text) + 1, dtype=np.int32)
+    scratch: list[str] = []
+    with collecting(scratch):
+        whole, copies = judge(materialize(parse(packed, views), "parse"), ["view", "at"], "dictionary")
+        where = F.struct("view", "at")
+        marks = whole.withColumn("repeats", F.lit(True)).unionByName(copies.withColumn("repeats", F.lit(False))).groupBy("id").agg(
+            F.collect_list(F.when(F.col("repeats"), where)).alias("whole"), F.collect_list(F.when(~F.col("repeats"), where)).alias("places")
+        )
+        marks = materialize(marks, "marked-places")
+    kept_tables = [scratch.pop()]
+    release(spark, scratch)
+    with collecting(scratch):
+        open_texts = materialize(packed.select("id", "packed").join(marks.filter(F.size("places") > 0).select("id", "places"), "id"), "open-texts")
+        half, ends = judge(materialize(parse_sections(open_texts, views), "sections"), ["view", "at", "j"], "section-dictionary")
+        parts = ends.groupBy("id").agg(F.collect_list(F.struct("view", "at", "j")).alias("parts"))
+        left = materialize(section_parts(open_texts.select("id", "packed").join(parts, "id"), views), "section-parts")
+        single = equal_neighbours(suffix_order(left, {v.number: v.unit for v in views})).groupBy("id").agg(F.collect_list(F.struct("view", "start")).alias("starts"))
+        half = half.groupBy("id").agg(F.collect_list(F.struct("view", "at", "j")).alias("parts"))
+        found = materialize(marks.select("id", "whole").join(half, "id", "left").join(single, "id", "left"), "found-places")
+    note(scratch.pop())
+    release(spark, scratch + kept_tables)
+    return _cut(packed.join(found, "id", "left"), views, carry, keep)
+
+
+def runs(units: np.ndarray, view: View, whole: set[int], parts: set[tuple[int, int]], starts: list[int]) -> list[tuple[int, int]]:
+    """Maximal runs (first, end) of the units covered by strings that repeat."""
+    if not whole and not parts and not starts:
+        return []
+    change = np.zeros(len(units) + 1, dtype=np.int32)
     if whole:
-        for at, first, last in zip(*(x.tolist() for x in phrases(text, length))):
+        for at, first, last in zip(*(x.tolist() for x in phrases(units, view))):
             if at in whole:
                 change[first] += 1
-                change[last + length] -= 1
-    for at, j, first, last in sections(text, {at for at, _ in parts}, length) if parts else ():
+                change[last + view.length] -= 1
+    for at, j, first, last in sections(units, {at for at, _ in parts}, view) if parts else ():
         if (at, j) in parts:
             change[first] += 1
-            change[last + length] -= 1
+            change[last + view.length] -= 1
     for start in starts:
         change[start] += 1
-        change[start + length] -= 1
+        change[start + view.length] -= 1
     covered = np.cumsum(change[:-1]) > 0
     edges = np.flatnonzero(np.diff(np.concatenate([[False], covered, [False]]).astype(np.int8)))
-    return [(int(a), int(b - a)) for a, b in zip(edges[::2], edges[1::2])]
+    return list(zip(edges[::2].tolist(), edges[1::2].tolist()))
+
+
+def without(text: bytes, spans: list[tuple[int, int]]) -> bytes:
+    """The text without spans (first, end), which may overlap."""
+    rest, upto = [], 0
+    for first, end in sorted(spans):
+        rest.append(text[upto : max(first, upto)])
+        upto = max(end, upto)
+    return b"".join([*rest, text[upto:]])
+
 
+def _cut(marked: DataFrame, views: tuple[View, ...], carry: tuple[str, ...], keep: str) -> DataFrame:
+    n, worded, as_text = len(carry), len(views) > 1, keep == "text"
+    spans = pa.list_(pa.struct([("offset", pa.int64()), ("length", pa.int64())]))
+    fields = [("n_bytes", pa.int64()), ("n_removed", pa.int64()), ("spans", spans), ("kept", pa.string() if as_text else pa.binary()), *([("n_passage_words", pa.int64()), ("passages", spans)] if worded else [])]
 
-def _cut(marked: DataFrame, length: int, carry: tuple[str, ...]) -> DataFrame:
-    n = len(carry)
+    def told(pairs: list[tuple[int, int]]) -> list[dict]:
+        return [{"offset": a, "length": b - a} for a, b in pairs]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         unpacker = zstandard.ZstdDecompressor()
         for batch in batches:
             for begin in range(0, batch.num_rows, ROWS_AT_ONCE):
                 part = batch.slice(begin, ROWS_AT_ONCE)
-                sizes, gone, spans, kept = [], [], [], []
+                rows = []
                 for packed, whole, parts, starts in zip(*(part.column(n + i).to_pylist() for i in range(4))):
                     text = unpacker.decompress(packed)
-                    runs = cut(text, set(whole or ()), {(p["at"], p["j"]) for p in parts or ()}, starts or [], length)
-                    rest, at = [], 0
-                    for offset, size in runs:
-                        rest.append(text[at:offset])
-                        at = offset + size
-                    rest.append(text[at:])
-                    sizes.append(len(text))
-                    gone.append(sum(size for _, size in runs))
-                    spans.append([{"offset": o, "length": s} for o, s in runs])
-                    kept.append(b"".join(rest))
-                yield pa.RecordBatch.from_arrays(
-                    [*part.columns[:n], pa.array(sizes, pa.int64()), pa.array(gone, pa.int64()), pa.array(spans, pa.list_(pa.struct([("offset", pa.int64()), ("length", pa.int64())]))), pa.array(kept, pa.binary())],
-                    names=[*carry, "n_bytes", "n_removed", "spans", "kept"],
-                )
-
-    schema = f"{_types(marked, carry)}, n_bytes long, n_removed long, spans array<struct<offset: bigint, length: bigint>>, kept binary"
+                    gone = [runs(v.units(text), v, _places(whole, v, "at"), _places(parts, v, "at", "j"), sorted(_places(starts, v, "start"))) if whole or parts or starts else [] for v in views]
+                    said = []
+                    if worded:
+                        at = [m.span() for m in WORD.finditer(text)] if gone[1] else []
+                        said = [(at[a][0], at[b - 1][1]) for a, b in gone[1]]
+                    left = without(text, gone[0] + said).decode("utf-8", "ignore") if as_text else without(text, gone[0])
+                    rows.append((len(text), sum(b - a for a, b in gone[0]), told(gone[0]), left, *([sum(b - a for a, b in gone[1]), told(said)] if worded else [])))
+                columns = list(zip(*rows)) or [()] * len(fields)
+                yield pa.RecordBatch.from_arrays([*part.columns[:n], *(pa.array(c, t) for c, (_, t) in zip(columns, fields))], names=[*carry, *(f for f, _ in fields)])
+
+    listed = "array<struct<offset: bigint, length: bigint>>"
+    schema = f"{_types(marked, carry)}, n_bytes long, n_removed long, spans {listed}, kept {'string' if as_text else 'binary'}" + (f", n_passage_words long, passages {listed}" if worded else "")
     return marked.select(*carry, "packed", "whole", "parts", "starts").mapInArrow(run, schema)
 
 
 def digest(cleaned: DataFrame) -> DataFrame:
-    """Counts and the hash of what is left of every document."""
-    return cleaned.select("doc_id", "n_bytes", "n_removed", F.size("spans").cast("long").alias("n_spans"), F.sha2("kept", 256).alias("kept_sha256"))
+    """Counts and the hash of what is left of every document; with passages, their number and words."""
+    more = ["n_passage_words", F.size("passages").cast("long").alias("n_passages")] if "passages" in cleaned.columns else []
+    return cleaned.select("doc_id", "n_bytes", "n_removed", F.size("spans").cast("long").alias("n_spans"), F.sha2("kept", 256).alias("kept_sha256"), *more)
 
 
 def plain(texts: list[bytes], length: int = LENGTH) -> list[tuple[int, int, int, str]]:
