@@ -1,9 +1,10 @@
 """Repeated passages of over 50 words, most of them shorter than 400 bytes, against brute force."""
 
 import random
+import re
 
 import corpus_pipeline as cp
-from assocmine.llm import passages, repeats
+from assocmine.llm import repeats
 from tests.llm.fixtures import SF, frame, mixed_documents
 
 
@@ -15,7 +16,7 @@ def plain(texts):
             for i in range(len(t) - n + 1):
                 seen.setdefault((n, t[i : i + n] if n > 51 else b" ".join(t[i : i + n])), []).append((k, i))
     keep = [[True] * len(t) for t in texts]
-    at = [passages.places(t) for t in texts]
+    at = [[m.span() for m in re.finditer(rb"[^ \t\n\r\x0b\x0c]+", t)] for t in texts]
     for (n, _), found in seen.items():
         for k, i in found if len(found) > 1 else ():
             start, end = (i, i + n) if n > 51 else (at[k][i][0], at[k][i + n - 1][1])
