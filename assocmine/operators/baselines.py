@@ -71,25 +71,31 @@ def pair_information(frame: Frame) -> dict[int, dict[tuple[int, int], float]]:
     return {g: {(i, j): t[(i,)] + t[(j,)] - t[(i, j)] for i, j in combinations(range(n), 2)} for g, t in h.items()}
 
 
-def relevance_redundancy(frame: Frame, class_at: int | None = None, n_select: int = 3, form: str = "difference") -> DataFrame:
-    """``g``, ``rank``, ``attribute``, ``relevance``, ``score``: greedy choice by information with the class, less (or over)
-    the mean information with what is chosen already. Ties go to the smallest index."""
-    c = frame.class_at if class_at is None else class_at
+def relevance_targets(frame: Frame, targets: dict[int, int], form: str = "difference") -> DataFrame:
+    """``g``, ``target``, ``rank``, ``attribute``, ``idx``, ``relevance``, ``score``: for each target as the class, with the number
+    of attributes to choose, greedy choice by information with it, less (or over) the mean information with what is
+    chosen already. Ties go to the smallest index. One pass over the data serves all targets."""
     if form not in ("difference", "quotient"):
         raise ValueError("form is difference or quotient")
     rows = []
     for g, mi in sorted(pair_information(frame).items()):
         of = lambda i, j: mi[(min(i, j), max(i, j))]  # noqa: B023, E731
-        chosen: list[int] = []
-        while len(chosen) < min(n_select, len(frame.names) - 1):
-            best = None
-            for i in range(len(frame.names)):
-                if i == c or i in chosen:
-                    continue
-                mean = sum(of(i, j) for j in chosen) / len(chosen) if chosen else 0.0
-                score = of(i, c) - mean if form == "difference" else of(i, c) / (mean + 1e-12) if chosen else of(i, c)
-                if best is None or score > best[0] + 1e-12:
-                    best = (score, i)
-            chosen.append(best[1])
-            rows.append((g, len(chosen), frame.names[best[1]], best[1], of(best[1], c), best[0]))
-    return frame.spark.createDataFrame(rows, "g long, rank int, attribute string, idx int, relevance double, score double")
+        for c, most in targets.items():
+            chosen: list[int] = []
+            while len(chosen) < min(most, len(frame.names) - 1):
+                best = None
+                for i in range(len(frame.names)):
+                    if i == c or i in chosen:
+                        continue
+                    mean = sum(of(i, j) for j in chosen) / len(chosen) if chosen else 0.0
+                    score = of(i, c) - mean if form == "difference" else of(i, c) / (mean + 1e-12) if chosen else of(i, c)
+                    if best is None or score > best[0] + 1e-12:
+                        best = (score, i)
+                chosen.append(best[1])
+                rows.append((g, frame.names[c], len(chosen), frame.names[best[1]], best[1], of(best[1], c), best[0]))
+    return frame.spark.createDataFrame(rows, "g long, target string, rank int, attribute string, idx int, relevance double, score double")
+
+
+def relevance_redundancy(frame: Frame, class_at: int | None = None, n_select: int = 3, form: str = "difference") -> DataFrame:
+    """The selector with one class: ``g``, ``rank``, ``attribute``, ``idx``, ``relevance``, ``score``."""
+    return relevance_targets(frame, {frame.class_at if class_at is None else class_at: n_select}, form).drop("target")

@@ -5,13 +5,16 @@ from __future__ import annotations
 import math
 from itertools import combinations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from assocmine.operators import metrics, permutation, redundancy
-from assocmine.operators.mining import Mined, mine as search
+from assocmine.operators.mining import Mined, check_local, counter, in_memory, shape_of, sub_frame
+from assocmine.operators.mining import mine as search
 from assocmine.plans import counts
-from assocmine.plans.materialize import materialize
+from assocmine.plans.materialize import materialize, ship_package
 from assocmine.sources.frame import Frame
 
 
@@ -55,11 +58,11 @@ def mine(frame: Frame, attributes: list[int], order: int, method: str = "signs",
 def significant(frame: Frame, mined: DataFrame, nperm: int = permutation.NPERM, alpha_ii: float = permutation.ALPHA_II, seed: int = 0, tail: str = "upper") -> DataFrame:
     """II with permutation p below a level; ``relation`` names its sign."""
     sets = [tuple(r[0]) for r in mined.select("s").distinct().collect()]
-    tested = permutation.fast(frame, sets, nperm, seed, tail=tail)
+    tested = permutation.fast(frame, sets, nperm, seed, tail=tail, early_stop=alpha_ii)
     return tested.withColumn("relation", metrics.ii_kind(F.col("ii"))).filter(F.col("p") < alpha_ii)
 
 
-def pipeline(frame: Frame, mode: str = "tc", delta: float | None = redundancy.DELTA, nperm: int = 1_000, alpha_ii: float = 1e-3, **options) -> tuple[Mined, DataFrame, dict[int, list[int]]]:
+def pipeline(frame: Frame, mode: str = "tc", delta: float | None = redundancy.DELTA, nperm: int = permutation.NPERM, alpha_ii: float = permutation.ALPHA_II, **options) -> tuple[Mined, DataFrame, dict[int, list[int]]]:
     """Redundancy removal, search, then II of the mined attributes only: result, significant II, and cover groups.
 
     Members of result and II are indexes of the reduced frame; cover groups are indexes of the given one.
@@ -76,14 +79,64 @@ def pipeline(frame: Frame, mode: str = "tc", delta: float | None = redundancy.DE
     return found, significant(reduced, mine(reduced, attributes, order), nperm, alpha_ii), groups
 
 
-def recover(frame: Frame, reduced: Frame, sets: list[tuple[int, ...]], groups: dict[int, list[int]], nperm: int = 1_000, alpha_ii: float = 1e-3) -> DataFrame:
+def recover(frame: Frame, reduced: Frame, sets: list[tuple[int, ...]], groups: dict[int, list[int]], nperm: int = permutation.NPERM, alpha_ii: float = permutation.ALPHA_II) -> DataFrame:
     """II of the sets that covered attributes form in place of their representatives, tested again."""
     index = [frame.names.index(n) for n in reduced.names]
     original = [tuple(sorted(index[i] for i in s)) for s in sets]
     again = [s for s in redundancy.expand(original, groups) if allowed(frame, s)]
     if not again:
         return frame.spark.createDataFrame([], "g long, s array<int>, ii double, p double, nperm int, cells_touched long")
-    return permutation.fast(frame, again, nperm).filter(F.col("p") < alpha_ii)
+    return permutation.fast(frame, again, nperm, early_stop=alpha_ii).filter(F.col("p") < alpha_ii)
+
+
+def mine_in_memory(x: np.ndarray, w: np.ndarray, frame: Frame, attributes: list[int], order: int, min_ratio: float = 5.0) -> dict[tuple[int, ...], float]:
+    """II as :func:`mine`, of one small data set: the sweep over the array of entropies, in place."""
+    c = frame.class_at if frame.class_at in attributes else None
+    predictors = [i for i in attributes if i != c]
+    sets = [s for s in metrics.all_sets(predictors, 1, order)]
+    if c is not None:
+        sets = [*sets, (c,), *(tuple(sorted((*s, c))) for s in sets)]
+    held = {s: h for s, h, _ in counts.entropies_of(x, w, frame.states, [s for s in sets if len(s) == 1 or allowed(frame, s, min_ratio)])}
+    for i in attributes:
+        for s in held:
+            if i in s and len(s) > 1:
+                held[s] -= held[tuple(j for j in s if j != i)]
+    return {s: -v for s, v in held.items() if len(s) > 1 and (c is None or c in s)}
+
+
+II_SCHEMA = "g long, s array<int>, ii double, p double, nperm int, relation string"
+
+
+def pipeline_each(frame: Frame, mode: str = "tc", delta: float | None = redundancy.DELTA, nperm: int = permutation.NPERM, alpha_ii: float = permutation.ALPHA_II, seed: int = 0, **options) -> DataFrame:
+    """Significant II of the two-step strategy for every data set, one task each; members are indexes of the given frame.
+
+    Draws for a set end when p cannot fall below the level any more.
+    """
+    check_local(frame)
+    ship_package(frame.spark)
+    shape, stop = shape_of(frame), int(alpha_ii * nperm) + 1
+    schema = pa.schema([("g", pa.int64()), ("s", pa.list_(pa.int32())), ("ii", pa.float64()), ("p", pa.float64()), ("nperm", pa.int32()), ("relation", pa.string())])
+
+    def run(table: pa.Table) -> pa.Table:
+        g, x, w = in_memory(table)
+        kept = list(range(len(shape.names)))
+        if delta is not None:
+            reps = redundancy.representatives_of(shape, x, w, delta)
+            kept = sorted([*reps, *([shape.class_at] if shape.class_at is not None else [])])
+        own = sub_frame(shape, kept)
+        x = x[kept]
+        attributes, order = universe(search(own, mode, groups=[g], count=counter(g, x, w, own.states), **options))
+        rows = []
+        for s, ii in mine_in_memory(x, w, own, attributes, order).items() if attributes else ():
+            cube = np.zeros(tuple(own.states[i] for i in s), dtype=np.int64)
+            np.add.at(cube, tuple(x[i] for i in s), w)
+            rng = np.random.default_rng([seed, g & 0x7FFFFFFF, *s])
+            _, hits, done = permutation.count_hits(cube, s.index(permutation.pick_shuffle_attr(own, s)), nperm, rng, stop=stop)
+            if hits / done < alpha_ii:
+                rows.append((g, [kept[i] for i in s], ii, hits / done, done, "synergy" if ii > 1e-9 else "redundancy" if ii < -1e-9 else "none"))
+        return pa.table([pa.array(c, f.type) for c, f in zip(list(zip(*rows)) or [()] * len(schema), schema)], schema=schema)
+
+    return frame.rows.select("g", "a", "w").groupBy("g").applyInArrow(run, II_SCHEMA)
 
 
 def cumulative_spectrum(mined: DataFrame) -> DataFrame:

@@ -378,6 +378,11 @@ def shape_of(frame: Frame) -> Frame:
     return Frame(None, frame.names, frame.states, frame.n, frame.class_at, frame.dropped)
 
 
+def sub_frame(shape: Frame, kept: list[int]) -> Frame:
+    """Some attributes of a frame without rows, in ascending order."""
+    return Frame(None, tuple(shape.names[i] for i in kept), tuple(shape.states[i] for i in kept), shape.n, kept.index(shape.class_at) if shape.class_at in kept else None)
+
+
 def check_local(frame: Frame) -> None:
     if frame.n > LOCAL_ROWS:
         raise ValueError(f"data sets of {frame.n} rows are mined by passes over the frame, not by one task each")
@@ -394,11 +399,11 @@ def mine_each(frame: Frame, mode: str = "tc", delta: float | None = None, greedy
 
     def run(table: pa.Table) -> pa.Table:
         g, x, w = in_memory(table)
-        own, kept = shape, list(range(len(shape.names)))
+        kept = list(range(len(shape.names)))
         if delta is not None:
             reps = redundancy.representatives_of(shape, x, w, delta, greedy)
             kept = sorted([*reps, *([shape.class_at] if shape.class_at is not None else [])])
-            own = Frame(None, tuple(shape.names[i] for i in kept), tuple(shape.states[i] for i in kept), shape.n, kept.index(shape.class_at) if shape.class_at is not None else None)
+        own = sub_frame(shape, kept)
         found = mine(own, mode, groups=[g], count=counter(g, x[kept], w, own.states), **options)
         rows = [(g_, [kept[i] for i in s], *rest) for g_, s, *rest in found.rows()]
         return pa.table([pa.array(c, f.type) for c, f in zip(list(zip(*rows)) or [()] * len(_ARROW), _ARROW)], schema=_ARROW)

@@ -2,7 +2,8 @@
 
 ``naive`` shuffles the attribute over all rows; the shuffle is the order of md5 hashes, so SQL can repeat it. ``fast``
 counts the contingency table once and redraws it with both margins fixed, so the cost of a permutation depends on the
-number of cells and not on the number of rows. Only subsets that hold the shuffled attribute change.
+number of cells and not on the number of rows. Only subsets that hold the shuffled attribute change. ``naive`` is the
+baseline: its rank of all rows is one window, and so one task, a data set; at scale ``fast`` is the way.
 """
 
 from __future__ import annotations
@@ -11,9 +12,10 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from assocmine.functions.expressions import plogp
 from assocmine.operators.metrics import all_sets, interaction_info, table
 from assocmine.plans import counts
 from assocmine.plans.materialize import materialize, ship_package
@@ -93,16 +95,47 @@ def table_ii(tables: np.ndarray, shape: tuple[int, ...]) -> np.ndarray:
     return ii
 
 
+#: Tables drawn at once: few at first, as hopeless sets stop early, then more.
+FIRST_DRAW, MOST_DRAWN = 16, 250
+
+
+def count_hits(cube: np.ndarray, x: int, todo: int, rng: np.random.Generator, tail: str = "upper", stop: int | None = None) -> tuple[float, int, int]:
+    """II of a count table, how many of the random tables with its margins reach it, and how many were drawn; ``x`` is the
+    shuffled member's axis. Drawing ends when there are ``stop`` hits."""
+    cube = np.moveaxis(cube, x, -1)
+    wide = cube.reshape(-1, cube.shape[-1])
+    used = wide.sum(axis=1) > 0
+    actual = float(table_ii(cube.reshape(1, -1), cube.shape)[0])
+    hits = done = 0
+    while done < todo and (stop is None or hits < stop):
+        m = min(FIRST_DRAW if not done and stop is not None else MOST_DRAWN, todo - done)
+        full = np.zeros((m, *wide.shape), dtype=np.int64)
+        full[:, used, :] = resample(wide[used], m, rng)
+        values = table_ii(full.reshape(m, -1), cube.shape)
+        hits += int((values >= actual - 1e-12).sum() if tail == "upper" else (values <= actual + 1e-12).sum())
+        done += m
+    return actual, hits, done
+
+
 def fast(frame: Frame, sets: list[tuple[int, ...]], nperm: int = NPERM, seed: int = 0, add_one: bool = False, tail: str = "upper", early_stop: float | None = None) -> DataFrame:
     """``g``, ``s``, ``ii``, ``p``, ``nperm``, ``cells_touched`` for every set of order 2 or more.
 
     The data are scanned once. Each task gets the table of one set and a block of permutations with a seed of its own.
-    ``early_stop``: a block ends when its hits alone put p above this level.
+    ``early_stop``: a block ends when its hits alone put p above this level. Tables have a cell for each combination of
+    values, so sets with more than ``counts.CELL_BUDGET`` combinations are refused.
     """
     ship_package(frame.spark)
     wanted = sorted({tuple(sorted(s)) for s in sets if len(s) > 1})
-    cells = counts.count_cells(frame, {None: wanted})
+    large = [s for s in wanted if counts.cells_of(frame, s) > counts.CELL_BUDGET]
+    if large:
+        raise ValueError(f"tables of more than {counts.CELL_BUDGET} cells: {large[:3]}")
     states, shuffled = frame.states, {s: pick_shuffle_attr(frame, s) for s in wanted}
+    cells = None
+    for start in range(0, len(wanted), counts.CHUNK_SETS):
+        part = counts.count_cells(frame, {None: wanted[start : start + counts.CHUNK_SETS]})
+        cells = part if cells is None else cells.unionByName(part)
+    if cells is None:
+        return frame.spark.createDataFrame([], "g long, s array<int>, ii double, p double, nperm int, cells_touched long")
     tables = cells.groupBy("g", "s").agg(F.collect_list(F.struct("cell", "n")).alias("t"))
     blocks = tables.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(max(0, -(-nperm // BLOCK) - 1)))))
     stop = None if early_stop is None else int(early_stop * nperm) + 1
@@ -112,28 +145,13 @@ def fast(frame: Frame, sets: list[tuple[int, ...]], nperm: int = NPERM, seed: in
             out = []
             for g, s, t, block in zip(batch["g"], batch["s"], batch["t"], batch["block"]):
                 s = tuple(int(i) for i in s)
-                x = s.index(shuffled[s])
                 shape = tuple(states[i] for i in s)
                 flat = np.zeros(int(np.prod(shape)), dtype=np.int64)
                 for cell in t:
                     flat[cell["cell"]] = cell["n"]
-                cube = np.moveaxis(flat.reshape(shape), x, -1)
-                actual = table_ii(cube.reshape(1, -1), cube.shape)[0]
-                plane = cube.reshape(-1, shape[x])
-                plane = plane[plane.sum(axis=1) > 0]
-                full = np.zeros((0,))
                 rng = np.random.default_rng([seed, int(g) & 0x7FFFFFFF, int(block), *s])
-                todo, hits, done = min(BLOCK, nperm - int(block) * BLOCK), 0, 0
-                used = cube.reshape(-1, shape[x]).sum(axis=1) > 0
-                while done < todo and (stop is None or hits < stop):
-                    m = min(250, todo - done)
-                    drawn = resample(plane, m, rng)
-                    full = np.zeros((m, len(used), shape[x]), dtype=np.int64)
-                    full[:, used, :] = drawn
-                    values = table_ii(full.reshape(m, -1), cube.shape)
-                    hits += int((values >= actual - 1e-12).sum() if tail == "upper" else (values <= actual + 1e-12).sum())
-                    done += m
-                out.append((int(g), list(s), float(actual), hits, done, done * int(flat.size)))
+                actual, hits, done = count_hits(flat.reshape(shape), s.index(shuffled[s]), min(BLOCK, nperm - int(block) * BLOCK), rng, tail, stop)
+                out.append((int(g), list(s), actual, hits, done, done * int(flat.size)))
             yield pd.DataFrame(out, columns=["g", "s", "ii", "hits", "done", "cells_touched"])
 
     parts = int(frame.spark.conf.get("spark.sql.shuffle.partitions"))
@@ -143,6 +161,38 @@ def fast(frame: Frame, sets: list[tuple[int, ...]], nperm: int = NPERM, seed: in
     return summed.select("g", "s", "ii", p.alias("p"), F.col("m").cast("int").alias("nperm"), "cells_touched")
 
 
+def exact_pairs(frame: Frame, pairs: list[tuple[int, int]]) -> DataFrame:
+    """``g``, ``s``, ``ii``, ``p`` for pairs of binary attributes: all tables with the margins are enumerated, so p is what the draws approach."""
+    if any(frame.states[i] != 2 for s in pairs for i in s):
+        raise ValueError("exact p-values are for pairs of binary attributes")
+    cells = materialize(counts.count_cells(frame, {None: sorted(pairs)}), "pair-cells")
+    n = F.lit(float(frame.n))
+    known = cells.groupBy("g", "s").agg(*(F.sum(F.when(F.col("cell") == k, F.col("n")).otherwise(0)).cast("double").alias(f"n{k}") for k in range(4)))
+    known = known.withColumn("r", F.col("n2") + F.col("n3")).withColumn("c", F.col("n1") + F.col("n3"))
+
+    def bits(k: Column) -> Column:
+        inside = sum((plogp(x) for x in (k, F.col("r") - k, F.col("c") - k, n - F.col("r") - F.col("c") + k)), F.lit(0.0))
+        margins = sum((plogp(x) for x in (F.col("r"), n - F.col("r"), F.col("c"), n - F.col("c"))), F.lit(0.0))
+        return (inside - margins) / n + F.log2(n)
+
+    def choose(a: Column, b: Column) -> Column:
+        return _log_factorial(a) - _log_factorial(b) - _log_factorial(a - b)
+
+    low, high = F.greatest(F.lit(0.0), F.col("r") + F.col("c") - n), F.least("r", "c")
+    each = known.withColumn("k", F.explode(F.sequence(low.cast("int"), high.cast("int")))).withColumn("k", F.col("k").cast("double"))
+    chance = F.exp(choose(F.col("r"), F.col("k")) + choose(n - F.col("r"), F.col("c") - F.col("k")) - choose(n, F.col("c")))
+    reached = F.when(bits(F.col("k")) >= bits(F.col("n3")) - 1e-12, chance).otherwise(0.0)
+    return each.groupBy("g", "s", bits(F.col("n3")).alias("ii")).agg(F.sum(reached).alias("p"))
+
+
+def _log_factorial(x: Column) -> Column:
+    """ln x! by Stirling's series above 20, by the product up to there."""
+    small = F.aggregate(F.sequence(F.lit(1), F.greatest(F.lit(1), F.least(x, F.lit(20.0)).cast("int"))), F.lit(0.0), lambda acc, i: acc + F.log(i.cast("double")))
+    y = F.greatest(x, F.lit(20.0))
+    stirling = (y + 0.5) * F.log(y) - y + 0.9189385332046727 + 1 / (12 * y) - 1 / (360 * y * y * y) + 1 / (1260 * F.pow(y, F.lit(5.0)))
+    return F.when(x > 20, stirling).otherwise(small)
+
+
 def naive(frame: Frame, s: tuple[int, ...], nperm: int, seed: int = 0, **options) -> DataFrame:
     return share(materialize(naive_values(frame, s, nperm, seed), "naive-permutations"), **options)
 

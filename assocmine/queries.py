@@ -11,6 +11,8 @@ from itertools import combinations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from assocmine import experiments
+from assocmine import oracle as o
 from assocmine.functions.expressions import immediate_subsets, rounded, set_id, subsets, zone_of
 from assocmine.functions.gamma import critical_bits
 from assocmine.operators import baselines, bounds, evaluation, interactions, metrics, mining, permutation, redundancy, significance
@@ -365,50 +367,6 @@ def q_redundancy_class(spark, sf):
     return redundancy.scores(frame, redundancy.pair_entropies(frame, "class"), "class").select("i", "j", rounded(F.col("score")).alias("score"))
 
 
-def u_sql(tag: str, rep: str = "rep", key: str = "key") -> str:
-    return f"(('0x' || substr(md5('{tag}:' || {rep} || ':' || {key}), 1, 8))::bigint / 4294967296.0)"
-
-
-def geno_sql(tag: str) -> str:
-    return f"(case when {u_sql(tag)} < 0.25 then 0 when {u_sql(tag)} < 0.75 then 1 else 2 end)"
-
-
-def f4_sql(reps) -> str:
-    """F4 rows in SQL: rep, key, a1..a15, c."""
-    base = ", ".join(f"{geno_sql(f'a{i}')} as a{i}" for i in (1, 2, 3, 4, 5, 9, 10, 11, 12, 13, 14, 15))
-    copies = ", ".join(f"case when {u_sql(f'e{i + 5}')} < 0.05 then (a{i} + 1) % 3 else a{i} end as a{i + 5}" for i in (1, 2, 3))
-    return f"""f4 as (select * from (select *, row_number() over (partition by rep, c order by key) as nth from (
- select *, case when {u_sql('c')} < 0.05 + case when a1 = 2 or a3 = 2 then 0.3 else 0 end + 0.3 * ((a1 + a2) % 2) + 0.3 * ((a1 + a2 + a3) % 2) then 1 else 0 end as c
- from (select *, {copies} from (select rep, o_orderkey as key, {base.replace(' as key', '')} from (select o_orderkey, o_orderkey as key from orders) cross join (values {", ".join(f"({r})" for r in reps)}) r(rep))))) where nth <= 800)"""
-
-
-def f4_pairs_sql() -> str:
-    """h1(rep, i, h) and h2(rep, i, j, h) of F4's predictors."""
-    one = " union all ".join(f"select rep, {i} as i, a{i + 1} as x, count(*) as n from f4 group by 1, 2, 3" for i in range(15))
-    two = " union all ".join(f"select rep, {i} as i, {j} as j, a{i + 1} * 3 + a{j + 1} as x, count(*) as n from f4 group by 1, 2, 3, 4" for i, j in combinations(range(15), 2))
-    return f"""h1 as (select rep, i, log2(sum(n)) - sum(n * log2(n)) / sum(n) as h from ({one}) group by rep, i),
- h2 as (select rep, i, j, log2(sum(n)) - sum(n * log2(n)) / sum(n) as h from ({two}) group by rep, i, j)"""
-
-
-COVERS_SQL = f"""with {f4_sql([0])}, {f4_pairs_sql()},
- s as (select h2.i, h2.j, -(x.h + y.h - h2.h) / least(x.h, y.h) as score from h2 join h1 x on x.i = h2.i join h1 y on y.i = h2.j),
- b as (select i as rep, j as x from s where score <= -0.75 union select j, i from s where score <= -0.75 union select i, i from h1)
-select cast(rep as int) as rep, string_agg(cast(x as varchar), ',' order by x) as covered from b group by rep"""
-
-
-@query("q_cover_groups", COVERS_SQL)
-def q_cover_groups(spark, sf):
-    frame = planted.class_copies(spark, sf, [0])
-    scored = redundancy.scores(frame, redundancy.pair_entropies(frame))
-    return redundancy.covers(frame, scored).select("rep", set_id(F.col("covered")).alias("covered"))
-
-
-@query("q_reduce", "select * from (values (0, '0,5'), (1, '1,6'), (2, '2,7'), " + ", ".join(f"({i}, '{i}')" for i in (3, 4, 8, 9, 10, 11, 12, 13, 14)) + ") t(rep, covered)")
-def q_reduce(spark, sf):
-    reps = redundancy.representatives(planted.class_copies(spark, sf, [0]))
-    return spark.createDataFrame([(r, name_of(x)) for r, x in reps.items()], "rep int, covered string")
-
-
 # --- bounds ----------------------------------------------------------------------------------------------------
 
 
@@ -539,11 +497,6 @@ def q_core_sets(spark, sf):
     return _kept(mining.exhaustive(v1(spark, sf), max_order=3), "core")
 
 
-@query("q_extension_sets", definition_sql("extension"))
-def q_extension_sets(spark, sf):
-    return _kept(mining.exhaustive(v1(spark, sf), max_order=3), "extension")
-
-
 @query("q_mine_definition", definition_sql("core"))
 def q_mine_definition(spark, sf):
     return _kept(mining.mine_correlation(v1(spark, sf), max_order=3, rule="definition"), "core")
@@ -559,37 +512,6 @@ def q_mine_report(spark, sf):
     return mining.mine_correlation(v1(spark, sf), max_order=3).report().withColumn("decided_by_bound", F.to_json("decided_by_bound"))
 
 
-TRUTH_XOR = ["0,1,2", "5,6,7,8", "10,11,12,13"]
-
-
-@query("q_mine_tree", "select set_id, 'core' as kind from (values " + ", ".join(f"('{t}')" for t in TRUTH_XOR) + ") t(set_id)")
-def q_mine_tree(spark, sf):
-    """Noisy XOR at p = 0.1, repeat 0: exactly the three planted sets."""
-    return mining.mine_correlation(planted.noisy_xor(spark, sf, [0])).table().select(set_id(F.col("members")).alias("set_id"), "kind")
-
-
-@query("q_mine_epistasis", "select * from (values ('0,1', 'core'), ('0,1,15', 'extension')) t(set_id, kind)")
-def q_mine_epistasis(spark, sf):
-    return mining.mine_correlation(planted.epistasis(spark, sf, [0])).table().select(set_id(F.col("members")).alias("set_id"), "kind")
-
-
-@query("q_class_mine", "select * from (values ('0', 'core'), ('0,1', 'extension')) t(set_id, kind)")
-def q_class_mine(spark, sf):
-    return mining.mine_class_correlation(planted.class_gain(spark, sf, [0])).table().select(set_id(F.col("members")).alias("set_id"), "kind")
-
-
-@query("q_class_mine_copies", "select * from (values ('0', 'core'), ('2', 'core'), ('0,1', 'extension')) t(set_id, kind)")
-def q_class_mine_copies(spark, sf):
-    frame = planted.class_copies(spark, sf, [1])
-    return mining.mine_class_correlation(redundancy.apply(frame, redundancy.representatives(frame))).table().select(set_id(F.col("members")).alias("set_id"), "kind")
-
-
-@query("q_class_mine_pairs_first")
-def q_class_mine_pairs_first(spark, sf):
-    """The literal variant, which begins with two predictors and the class."""
-    return mining.mine_class_correlation(planted.class_gain(spark, sf, [0]), first_order=2).table().select(set_id(F.col("members")).alias("set_id"), "kind")
-
-
 @query("q_tree_vs_definition")
 def q_tree_vs_definition(spark, sf):
     frame = planted.epistasis(spark, sf, [0, 1])
@@ -620,39 +542,6 @@ def q_ii_mine_class(spark, sf):
     return named(interactions.mine(v1_class(spark, sf), [0, 1, 7, 8], 2), "ii")
 
 
-def naive_sql(nperm: int) -> str:
-    parts = {"a1": 1, "a2": 1, "x": 1, "a1 * 3 + a2": -1, "a1 * 3 + x": -1, "a2 * 3 + x": -1, "(a1 * 3 + a2) * 3 + x": 1}
-    union = " union all ".join(f"select perm, {k} as part, {sign} as sign, {expr} as v, count(*) as n from m group by 1, 2, 3, 4" for k, (expr, sign) in enumerate(parts.items()))
-    return f"""with {f4_sql([0])}, b as (select key, a1, a2, c, row_number() over (order by key) as rank from f4),
- p as (select b.*, perm from b cross join range(0, {nperm + 1}) r(perm)),
- q as (select perm, c as x, row_number() over (partition by perm order by case when perm = 0 then '' else md5('0:' || perm || ':' || key) end, key) as rank from p),
- m as (select p.perm, a1, a2, x from p join q using (perm, rank)),
- h as (select perm, part, sign, log2(sum(n)) - sum(n * log2(n)) / sum(n) as h from ({union}) group by 1, 2, 3)
-select cast(perm as int) as perm, {r6('-sum(sign * h)')} as ii from h group by perm"""
-
-
-@query("q_perm_naive", naive_sql(4))
-def q_perm_naive(spark, sf):
-    frame = planted.class_copies(spark, sf, [0])
-    return permutation.naive_values(frame, (0, 1, frame.class_at), 4).select("perm", rounded(F.col("ii")).alias("ii"))
-
-
-@query("q_perm_fast")
-def q_perm_fast(spark, sf):
-    frame = planted.class_copies(spark, sf, [0])
-    c = frame.class_at
-    out = permutation.fast(frame, [(0, c), (1, c), (0, 1, c), (0, 1, 2, c)], 10_000)
-    return out.select(set_id(F.col("s")).alias("set_id"), rounded(F.col("ii")).alias("ii"), rounded(F.col("p"), 2).alias("p"), "nperm", "cells_touched")
-
-
-@query("q_ii_significant", "select set_id from (values " + ", ".join(f"('{t}')" for t in TRUTH_XOR) + ") t(set_id)")
-def q_ii_significant(spark, sf):
-    """The two-step strategy on noisy XOR: the three planted sets lead the significant II."""
-    frame = planted.noisy_xor(spark, sf, [0])
-    found, significant, _ = interactions.pipeline(frame, delta=None)
-    return significant.filter("ii > 0.2").select(set_id(F.col("s")).alias("set_id"))
-
-
 # --- baselines and measures ------------------------------------------------------------------------------------
 
 
@@ -662,90 +551,6 @@ def q_hard_threshold(spark, sf):
     return baselines.hard_threshold(v1(spark, sf), alpha=0.0049, beta=0.005, max_order=2).select(set_id(F.col("members")).alias("set_id"), rounded(F.col("bits")).alias("bits"))
 
 
-@query("q_hard_threshold_xor", "select set_id from (values " + ", ".join(f"('{t}')" for t in TRUTH_XOR) + ") t(set_id)")
-def q_hard_threshold_xor(spark, sf):
-    """Without noise the fixed cut-offs find the planted sets."""
-    return baselines.hard_threshold(planted.noisy_xor(spark, sf, [0], (0.0,))).select(set_id(F.col("members")).alias("set_id"))
-
-
-@query("q_hard_threshold_noise", "select set_id from (values ('none')) t(set_id) where 1 = 0")
-def q_hard_threshold_noise(spark, sf):
-    """With noise 0.1 they find none."""
-    return baselines.hard_threshold(planted.noisy_xor(spark, sf, [0])).select(set_id(F.col("members")).alias("set_id"))
-
-
-@query("q_hard_threshold_strong_pair", "select '0,1' as set_id")
-def q_hard_threshold_strong_pair(spark, sf):
-    """The strong pair without its extension, which the miners find."""
-    return baselines.hard_threshold(planted.epistasis(spark, sf, [0], strong=True)).select(set_id(F.col("members")).alias("set_id"))
-
-
-@query("q_mine_strong_pair", "select * from (values ('0,1', 'core'), ('0,1,15', 'extension')) t(set_id, kind)")
-def q_mine_strong_pair(spark, sf):
-    return mining.mine_correlation(planted.epistasis(spark, sf, [0], strong=True)).table().select(set_id(F.col("members")).alias("set_id"), "kind")
-
-
-RELEVANCE_SQL = f"""with {f4_sql([0, 1])}, {f4_pairs_sql()}, hc as (select rep, log2(sum(n)) - sum(n * log2(n)) / sum(n) as h from (select rep, c, count(*) as n from f4 group by 1, 2) group by rep),
- hic as (select rep, i, log2(sum(n)) - sum(n * log2(n)) / sum(n) as h from ({" union all ".join(f"select rep, {i} as i, a{i + 1} * 2 + c as x, count(*) as n from f4 group by 1, 2, 3" for i in range(15))}) group by rep, i),
- r as (select h1.rep, h1.i, h1.h + hc.h - hic.h as mi from h1 join hc using (rep) join hic using (rep, i)),
- m as (select h2.rep, h2.i, h2.j, x.h + y.h - h2.h as mi from h2 join h1 x on x.rep = h2.rep and x.i = h2.i join h1 y on y.rep = h2.rep and y.i = h2.j),
- b as (select rep, i, j, mi from m union all select rep, j, i, mi from m),
- s1 as (select rep, i, mi as score from r qualify row_number() over (partition by rep order by mi desc, i) = 1),
- s2 as (select r.rep, r.i, r.mi - b.mi as score from r join s1 on s1.rep = r.rep and s1.i <> r.i join b on b.rep = r.rep and b.i = r.i and b.j = s1.i qualify row_number() over (partition by r.rep order by r.mi - b.mi desc, r.i) = 1),
- s3 as (select r.rep, r.i, r.mi - (b.mi + d.mi) / 2 as score from r join s1 on s1.rep = r.rep and s1.i <> r.i join s2 on s2.rep = r.rep and s2.i <> r.i join b on b.rep = r.rep and b.i = r.i and b.j = s1.i join b d on d.rep = r.rep and d.i = r.i and d.j = s2.i
-  qualify row_number() over (partition by r.rep order by r.mi - (b.mi + d.mi) / 2 desc, r.i) = 1)
-select cast(rep as bigint) as g, rank, 'a' || (i + 1) as attribute, {r6('score')} as score from (select *, 1 as rank from s1 union all select *, 2 from s2 union all select *, 3 from s3)"""
-
-
-@query("q_relevance_redundancy", RELEVANCE_SQL)
-def q_relevance_redundancy(spark, sf):
-    return baselines.relevance_redundancy(planted.class_copies(spark, sf, [0, 1])).select("g", "rank", "attribute", rounded(F.col("score")).alias("score"))
-
-
-@query("q_relevance_redundancy_quotient")
-def q_relevance_redundancy_quotient(spark, sf):
-    return baselines.relevance_redundancy(planted.class_copies(spark, sf, [0]), form="quotient").select("g", "rank", "attribute", rounded(F.col("score")).alias("score"))
-
-
-@query("q_relevance_targets")
-def q_relevance_targets(spark, sf):
-    """One run for each planted target of noisy XOR as the class."""
-    frame = planted.noisy_xor(spark, sf, [0], (0.0,))
-    runs = [baselines.relevance_redundancy(frame, t, 2).withColumn("target", F.lit(frame.names[t])) for t in (0, 5, 10)]
-    return runs[0].unionByName(runs[1]).unionByName(runs[2]).select("target", "rank", "attribute", rounded(F.col("relevance")).alias("relevance"))
-
-
-@query("q_detection_rate", "select g, 1e0 as detected, 0e0 as false_rate from (values (cast(0 as bigint)), (1), (2)) t(g)")
-def q_detection_rate(spark, sf):
-    frame = planted.noisy_xor(spark, sf, [0, 1, 2])
-    result, groups = mining.mine_correlation(frame).table(), frame.rows.select("g").distinct()
-    return evaluation.detection_rate(result, planted.XOR_TRUTH, groups).join(evaluation.false_rate(result, planted.XOR_TRUTH, groups), "g")
-
-
-@query("q_noise_curve")
-def q_noise_curve(spark, sf):
-    frame = planted.noisy_xor(spark, sf, list(range(4)), planted.NOISE)
-    result = mining.mine_correlation(frame, max_order=4).table()
-    return evaluation.noise_curve(result, planted.XOR_TRUTH, frame.rows.select("g").distinct(), planted.NOISE)
-
-
-@query("q_spectrum")
-def q_spectrum(spark, sf):
-    return evaluation.spectrum(mining.exhaustive(planted.noisy_xor(spark, sf, [0]), max_order=3).table()).select("g", set_id(F.col("members")).alias("set_id"), rounded(F.col("bits")).alias("bits"))
-
-
-@query("q_planted_information")
-def q_planted_information(spark, sf):
-    """Mutual information of the planted attributes with the trait or class: weak, as the experiments need."""
-    out = None
-    for name, frame, c in (("epistasis", planted.epistasis(spark, sf, [0, 1, 2]), 15), ("class_gain", planted.class_gain(spark, sf, [0, 1, 2]), 15), ("copies", planted.class_copies(spark, sf, [0, 1, 2]), 15)):
-        sets = [(i, c) for i in (0, 1, 2)]
-        mi = metrics.mutual_information(counts.entropies(frame, [(0,), (1,), (2,), (c,), *sets]), metrics.table(frame, sets))
-        one = mi.select(F.lit(name).alias("workload"), "g", set_id(F.col("s")).alias("set_id"), rounded(F.col("mi")).alias("mi"))
-        out = one if out is None else out.unionByName(one)
-    return out
-
-
 @query("q_pruning_modes")
 def q_pruning_modes(spark, sf):
     """Search cost of the four choices of prunings on the small runtime workload with 40 attributes removed."""
@@ -869,9 +674,6 @@ def q_association_scan(spark, sf):
     return out.select(real[F.col("set_id")].alias("set_id"), rounded(F.col("tc")).alias("tc"))
 
 
-def flagship(spark: SparkSession, sf: str) -> DataFrame:
-    """Two-step strategy on the epistasis workload: sets found, with their zones and kinds."""
-    return mining.mine_correlation(planted.epistasis(spark, sf, [0])).table().select("g", set_id(F.col("members")).alias("set_id"), "metric", rounded(F.col("bits")).alias("bits"), "df", rounded(F.col("neg_log10_p")).alias("neg_log10_p"), "zone", "kind")
-
-
-QUERIES["q_flagship"] = flagship
+QUERIES |= experiments.QUERIES
+ORACLES |= experiments.ORACLES
+flagship = experiments.flagship

@@ -82,7 +82,29 @@ def encode(df: DataFrame, names: list[str], class_name: str | None = None, group
         used.append(name)
     rows = base.select("g", *(keep or []), F.array(*codes).alias("a") if codes else F.array().cast("array<int>").alias("a"), "w")
     rows = materialize(rows, "frame")
+    return Frame(rows, tuple(used), tuple(states), _size(rows), used.index(class_name) if class_name in used else None, tuple(dropped))
+
+
+def _size(rows: DataFrame) -> int:
     size = rows.groupBy("g").agg(F.sum("w").alias("n")).agg(F.min("n"), F.max("n")).first()
     if size[0] != size[1]:
         raise ValueError(f"data sets of one frame differ in size: {size[0]} to {size[1]} rows")
-    return Frame(rows, tuple(used), tuple(states), int(size[0] or 0), used.index(class_name) if class_name in used else None, tuple(dropped))
+    return int(size[0] or 0)
+
+
+def dense(df: DataFrame, names: list[str], class_name: str | None = None, group: Column | None = None, keep: list[str] | None = None) -> Frame:
+    """A frame of columns that hold dense codes already, without nulls; an attribute has as many states as its largest code tells.
+
+    Attributes with one value are dropped and reported.
+    """
+    names = [*names, class_name] if class_name is not None and class_name not in names else names
+    group = group if group is not None else F.lit(0)
+    rows = df.select(group.cast("long").alias("g"), *(keep or []), F.array(*[F.col(c).cast("int") for c in names]).alias("a"), F.lit(1).cast("long").alias("w"))
+    rows = materialize(rows, "frame")
+    most = rows.agg(*(F.max(F.col("a")[i]).alias(f"m{i}") for i in range(len(names)))).first()
+    states = tuple(int(m or 0) + 1 for m in most)
+    frame = Frame(rows, tuple(names), states, _size(rows), names.index(class_name) if class_name is not None else None)
+    single = [i for i, k in enumerate(states) if k < 2]
+    if not single:
+        return frame
+    return dataclasses.replace(frame.select([i for i in range(len(names)) if i not in single]), dropped=tuple(names[i] for i in single))

@@ -6,9 +6,8 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from assocmine.functions.expressions import genotype, uniform
-from assocmine.plans.materialize import materialize
 from assocmine.sources import discretize
-from assocmine.sources.frame import Frame, encode
+from assocmine.sources.frame import Frame, dense, encode
 
 NOISE = (0.0, 0.1, 0.15, 0.2, 0.25, 0.3)
 
@@ -30,7 +29,7 @@ def _keys(spark: SparkSession, sf_dir: str, table: str, column: str, size: int |
     full = keys.groupBy("part").agg(F.count("*").alias("n")).filter(F.col("n") == size)
     times = repeats(full.count())
     whole = keys.join(full.select("part"), "part", "left_semi").withColumn("rep", F.explode(F.sequence(F.lit(0), F.lit(times - 1))))
-    return whole.withColumn("g", F.col("rep") * F.lit(REPEAT) + F.col("part")).drop("part")
+    return whole.withColumn("g", F.col("rep").cast("long") * F.lit(REPEAT) + F.col("part")).drop("part")
 
 
 #: Data sets of an experiment, at least.
@@ -73,7 +72,7 @@ def noisy_xor(spark: SparkSession, sf_dir: str, reps: list[int] | None, noise: t
 
 
 def _coded(df: DataFrame, names: list[str], class_name: str | None = None) -> Frame:
-    return encode(materialize(df.select("g", "key", *names, *([class_name] if class_name else [])), "planted"), names, class_name, F.col("g"), keep=["key"])
+    return dense(df, names, class_name, F.col("g"), keep=["key"])
 
 
 #: Sets of attribute indexes (from 0) that F1 plants.
