@@ -7,7 +7,9 @@ phrases are a match with a neighbouring word that occurs in clean training docum
 A document's score is a logistic function of the weight of its matches, normalised by its length.
 
 The lexicon is fitted on a documented, bounded sample: the ``SAMPLE_ROWS`` labelled training rows with the smallest hash
-of their id. Rows whose crc32(doc_id as text) mod 4 is 2 are held out and never seen in training; labels, language,
+of their id. The share of toxic documents that an entry must be in is one of ``SUPPORTS``, chosen by cross-validation
+inside the sample: the largest one that is within a standard error of the best, so that fragments of words that explain
+mislabelled documents are left out. Rows whose crc32(doc_id as text) mod 4 is 2 are held out and never seen in training; labels, language,
 source and doc_id are no inputs of a score. Every whole text of the table is scored.
 
 Nulls count as empty texts and get the score of a text without matches. A null doc_id is not held out and has no label.
@@ -29,12 +31,12 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from assocmine.llm.bpe import small, utf8_values
-from assocmine.plans.materialize import ship_package
+from assocmine.plans.materialize import materialize, ship_package
 
 SAMPLE_ROWS, MAX_ENTRIES, MIN_DOCUMENTS, MIN_ODDS = 6_000, 400, 3, 8.0
 SHORTEST, LONGEST = 3, 12
-#: Share of toxic training documents that an entry must be in if others explain them already.
-MIN_SUPPORT = 0.02
+#: Shares of toxic training documents that an entry must be in, of which cross-validation takes one; and its folds.
+SUPPORTS, FOLDS = (0.01, 0.02, 0.05, 0.1, 0.15), 3
 THRESHOLD = 0.3
 
 #: Characters that are drawn like a Latin letter, by code point, and the letters.
@@ -114,49 +116,71 @@ def beginnings(words: list[str]) -> set[str]:
     return {w[:k] for w in words for k in range(SHORTEST, min(LONGEST, len(w)) + 1)}
 
 
-def learn_entries(samples: list[tuple[str, int]]) -> dict[str, float]:
-    """Entries from (distinct words joined by spaces, label) of the samples; words are split one document at a time.
-
-    Greedy choice of beginnings of words by log odds; among equally telling ones the longest, then the first by letters.
-    """
+class Tally:
+    """Counts of the beginnings of words in toxic and clean samples (distinct words joined by spaces, label); words are split one document at a time."""
+
+    def __init__(self, samples: list[tuple[str, int]]):
+        self.n_toxic = sum(t for _, t in samples)
+        self.n_clean = len(samples) - self.n_toxic
+        self.toxic_sets = [{sys.intern(b) for b in beginnings(words.split())} for words, toxic in samples if toxic]
+        every = Counter(b for s in self.toxic_sets for b in s)
+        self.full = {b: n for b, n in every.items() if n >= MIN_DOCUMENTS}
+        self.clean: Counter[str] = Counter()
+        for words, toxic in samples:
+            if not toxic:
+                self.clean.update(beginnings(words.split()) & self.full.keys())
+
+    def entries(self, support: float) -> dict[str, float]:
+        """Greedy choice of beginnings of words by log odds; among equally telling ones the longest, then the first by letters."""
+        if not self.n_toxic or not self.n_clean:
+            return {}
+        full, clean, least = self.full, self.clean, support * self.n_toxic
+
+        def odds(b: str) -> float:
+            return (full[b] + 0.5) / (self.n_toxic + 1) / ((clean[b] + 0.5) / (self.n_clean + 1))
+
+        usable = {b for b, n in full.items() if n >= least and odds(b) >= MIN_ODDS and clean[b] <= 0.02 * n}
+        entries: dict[str, float] = {}
+        left = [s & usable for s in self.toxic_sets]
+        while len(entries) < MAX_ENTRIES:
+            counts = Counter(b for s in left for b in s)
+            if not counts:
+                break
+            entry = min(counts, key=lambda b: (-(counts[b] - 5 * clean[b]), -len(b), b))
+            if counts[entry] < MIN_DOCUMENTS:
+                break
+            entries[entry] = math.log(odds(entry))
+            left = [s for s in left if entry not in s]
+        # further entries explain the same documents; they catch other documents that hold only one of them
+        for entry in sorted(usable, key=lambda b: (-full[b], -len(b), b)):
+            if len(entries) >= MAX_ENTRIES:
+                break
+            if clean[entry] == 0 and not any(entry.startswith(e) or e.startswith(entry) for e in entries):
+                entries[entry] = math.log(odds(entry))
+        return entries
+
+
+def choose_support(samples: list[tuple[str, int]]) -> float:
+    """The largest support whose entries do, on the folds that did not give them, as well as the best but for one standard
+    error of a share (measured: F1 of documents that hold any entry)."""
+    hits = {support: [0, 0] for support in SUPPORTS}
     n_toxic = sum(t for _, t in samples)
-    n_clean = len(samples) - n_toxic
-    if not n_toxic or not n_clean:
-        return {}
-    clean: Counter[str] = Counter()
-    toxic_sets = []
-    for words, toxic in samples:
-        if toxic:
-            toxic_sets.append({sys.intern(b) for b in beginnings(words.split())})
-    candidates = Counter(b for s in toxic_sets for b in s)
-    candidates = {b for b, n in candidates.items() if n >= MIN_DOCUMENTS}
-    for words, toxic in samples:
-        if not toxic:
-            clean.update(beginnings(words.split()) & candidates)
-
-    def weight(entry: str, n: int) -> float:
-        return math.log((n + 0.5) / (n_toxic + 1)) - math.log((clean[entry] + 0.5) / (n_clean + 1))
-
-    full = Counter(b for s in toxic_sets for b in s if b in candidates)
-    usable = {b for b, n in full.items() if (n + 0.5) / (n_toxic + 1) >= MIN_ODDS * (clean[b] + 0.5) / (n_clean + 1) and clean[b] <= 0.02 * n}
-    entries: dict[str, float] = {}
-    left = [s & usable for s in toxic_sets]
-    while len(entries) < MAX_ENTRIES:
-        counts = Counter(b for s in left for b in s)
-        if not counts:
-            break
-        entry = min(counts, key=lambda b: (-(counts[b] - 5 * clean[b]), -len(b), b))
-        if counts[entry] < MIN_DOCUMENTS:
-            break
-        entries[entry] = weight(entry, full[entry])
-        left = [s for s in left if entry not in s]
-    # further entries explain the same documents; they catch other documents that hold only one of them
-    for entry in sorted(usable, key=lambda b: (-full[b], -len(b), b)):
-        if len(entries) >= MAX_ENTRIES:
-            break
-        if full[entry] >= max(MIN_DOCUMENTS, MIN_SUPPORT * n_toxic) and clean[entry] == 0 and not any(entry.startswith(e) or e.startswith(entry) for e in entries):
-            entries[entry] = weight(entry, full[entry])
-    return entries
+    for fold in range(FOLDS):
+        tally = Tally([x for i, x in enumerate(samples) if i % FOLDS != fold])
+        for support in SUPPORTS:
+            found = tuple(" " + e for e in tally.entries(support))
+            for words, toxic in samples[fold::FOLDS]:
+                if any(e in " " + words for e in found):
+                    hits[support][toxic] += 1
+    f1 = {x: 2 * right / max(1, wrong + right + n_toxic) for x, (wrong, right) in hits.items()}
+    best = max(f1.values())
+    error = math.sqrt(best * (1 - best) / max(1, n_toxic))
+    return max(x for x in SUPPORTS if f1[x] >= best - error)
+
+
+def learn_entries(samples: list[tuple[str, int]]) -> dict[str, float]:
+    """Entries of the samples with the support that cross-validation chooses."""
+    return Tally(samples).entries(choose_support(samples))
 
 
 def learn_curve(inputs: np.ndarray, toxic: np.ndarray) -> tuple[float, float, float]:
@@ -174,12 +198,15 @@ def learn_curve(inputs: np.ndarray, toxic: np.ndarray) -> tuple[float, float, fl
 
 
 def fit(docs: DataFrame, labels: DataFrame) -> Lexicon:
-    """The lexicon from at most ``SAMPLE_ROWS`` labelled rows that are not held out."""
+    """The lexicon from at most ``SAMPLE_ROWS`` labelled rows that are not held out; rows equal in doc_id, text and label count once."""
     spark = docs.sparkSession
     ship_package(spark)
     usable = labels.select("doc_id", F.col("toxic").cast("int").alias("toxic")).filter("doc_id is not null and toxic in (0, 1)").filter(~held_out())
     chosen = usable.distinct().orderBy(F.xxhash64("doc_id"), "doc_id", "toxic").limit(SAMPLE_ROWS)
-    sample = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("doc_id", "text", "toxic")
+    hashed = docs.select("doc_id", "text", F.xxhash64("text").alias("h"))
+    keys = hashed.join(F.broadcast(chosen), "doc_id").select("doc_id", "h", "toxic").distinct().orderBy(F.xxhash64("doc_id"), "doc_id", "toxic", "h").limit(SAMPLE_ROWS)
+    keys = materialize(keys, "toxicity-sample")
+    sample = hashed.join(F.broadcast(keys), ["doc_id", "h"]).dropDuplicates(["doc_id", "h", "toxic"]).select("doc_id", "text", "toxic")
 
     def words_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in small(batches):
@@ -188,8 +215,9 @@ def fit(docs: DataFrame, labels: DataFrame) -> Lexicon:
 
     doc_type = docs.schema["doc_id"].dataType.simpleString()
     rows = sample.mapInArrow(words_of, f"doc_id {doc_type}, words string, toxic int").toArrow()
-    entries = learn_entries([(w, t) for _, t, w in sorted(zip(*(rows.column(c).to_pylist() for c in ("doc_id", "toxic", "words"))))])
-    del rows
+    samples = [(w, t) for _, t, w in sorted(zip(*(rows.column(c).to_pylist() for c in ("doc_id", "toxic", "words"))))]
+    entries = learn_entries(samples)
+    del rows, samples
     bare = Lexicon(entries)
 
     def found_in(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
