@@ -60,8 +60,9 @@ BASE, MIXER, PLACE_BITS = 0x100000001B3, np.uint64(0x9E3779B97F4A7C15), 24
 PIECE, ROWS_AT_ONCE, SMALL_ROWS = 1 << 22, 500, 50_000
 #: Strings of a section of a phrase.
 SECTION = 16
-PHRASES = ("id", "view", "at", "core", "p")
-SECTIONS = ("id", "view", "at", "j", "core", "p")
+#: Bits of a place for the view, and for each of the two distances that it holds; see :func:`placed`.
+VIEW_BITS, LEAD_BITS = 1, 11
+PARSE = ("id", "place", "core", "p")
 #: Of a suffix: units before its core, these units, rank of the core, and units behind it.
 SUFFIX = ("i", "before", "rank", "behind")
 WORD = re.compile(rb"[^ \t\n\r\x0b\x0c]+")
@@ -79,6 +80,8 @@ class View:
     def __post_init__(self):
         if self.length < max(2 * self.trigger, SECTION + 1):
             raise ValueError(f"strings need {max(2 * self.trigger, SECTION + 1)} units at least")
+        if reach_of(self.length) >= 1 << LEAD_BITS:
+            raise ValueError(f"strings may have {(1 << LEAD_BITS) * 10 // 7} units at most")
 
     def units(self, text: bytes) -> np.ndarray:
         if self.unit == 1:
@@ -145,8 +148,20 @@ def _phrases(units: np.ndarray, view: View, offset: int) -> tuple[np.ndarray, np
     return at[last] + offset, first + offset, last + offset
 
 
-def _hash(units: np.ndarray, seed: int) -> int:
-    return xxhash.xxh3_64_intdigest(units.tobytes(), seed) - (1 << 63)
+def placed(view: View, at: int, first: int, last: int) -> int:
+    """View, start of the trigger or core, and the starts of the first and last string around it, in one long."""
+    return ((at << LEAD_BITS | at - first) << LEAD_BITS | last - first) << VIEW_BITS | view.number
+
+
+def unplaced(place: int) -> tuple[int, int, int]:
+    """The three places of :func:`placed`."""
+    place >>= VIEW_BITS
+    span, lead, at = place & (1 << LEAD_BITS) - 1, place >> LEAD_BITS & (1 << LEAD_BITS) - 1, place >> 2 * LEAD_BITS
+    return at, at - lead, at - lead + span
+
+
+def of_view(places: list[int] | None, view: View) -> list[tuple[int, int, int]]:
+    return [unplaced(p) for p in places or () if p & (1 << VIEW_BITS) - 1 == view.number]
 
 
 def _types(df: DataFrame, columns: tuple[str, ...]) -> str:
@@ -169,7 +184,7 @@ def pack(docs: DataFrame, carry: tuple[str, ...]) -> DataFrame:
 
 
 def parse(packed: DataFrame, views: tuple[View, ...]) -> DataFrame:
-    """One row per phrase of the parse: row ``id``, ``view``, trigger's place ``at``, and hashes of its ``core`` and of all of it (``p``)."""
+    """One row per phrase of the parse: row ``id``, ``place``, and hashes of its ``core`` and of all of it (``p``)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         unpacker = zstandard.ZstdDecompressor()
@@ -180,42 +195,36 @@ def parse(packed: DataFrame, views: tuple[View, ...]) -> DataFrame:
                 for number, data in zip(part.column(0).to_pylist(), part.column(1).to_pylist()):
                     text = unpacker.decompress(data)
                     for view in views:
-                        rows += _parsed(number, view.units(text), view)
-                yield _records(rows, PHRASES)
+                        units = view.units(text)
+                        found = zip(*(x.tolist() for x in phrases(units, view)))
+                        rows += _hashed(number, units, view, ((at, first, last, at - first) for at, first, last in found), core_of(view.length))
+                yield _records(rows)
 
-    return packed.select("id", "packed").mapInArrow(run, ", ".join(f"{c} long" for c in PHRASES))
+    return packed.select("id", "packed").mapInArrow(run, ", ".join(f"{c} long" for c in PARSE))
 
 
-def _parsed(number: int, units: np.ndarray, view: View) -> list[tuple]:
-    data, u, length, behind, v = units.tobytes(), view.unit, view.length, core_of(view.length), view.number
-    digest, low = xxhash.xxh3_64_intdigest, 1 << 63
-    return [
-        (number, v, at, digest(data[at * u : (at + behind) * u], v) - low, digest(data[first * u : (last + length) * u], at - first) - low)
-        for at, first, last in zip(*(x.tolist() for x in phrases(units, view)))
-    ]
+def _hashed(number: int, units: np.ndarray, view: View, found: Iterator[tuple[int, int, int, int]], width: int) -> list[tuple]:
+    """Rows of the parse from (start of the core, first and last string's start, seed of the whole); ``width`` units make a core."""
+    data, u, length, low, digest = units.tobytes(), view.unit, view.length, 1 << 63, xxhash.xxh3_64_intdigest
+    return [(number, placed(view, at, first, last), digest(data[at * u : (at + width) * u], view.number) - low, digest(data[first * u : (last + length) * u], seed) - low) for at, first, last, seed in found]
 
 
-def _records(rows: list[tuple], names: tuple[str, ...]) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in (list(zip(*rows)) or [()] * len(names))], names=list(names))
+def _records(rows: list[tuple]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in (list(zip(*rows)) or [()] * len(PARSE))], names=list(PARSE))
 
 
-def sections(units: np.ndarray, wanted: set[int], view: View) -> Iterator[tuple[int, int, int, int]]:
-    """The phrases at the wanted places in sections: (trigger's place, number of the section, first and last string's start).
+def sections(at: int, first: int, last: int) -> Iterator[tuple[int, int, int, int]]:
+    """A phrase in sections: (start of the section's core, first and last string's start, units from first string to trigger).
 
-    Section j holds the strings that begin SECTION * j to SECTION * (j + 1) - 1 units before the trigger.
+    A section holds the strings that begin up to SECTION - 1 units before its core; cores lie a multiple of SECTION before the trigger.
     """
-    for at, first, last in zip(*(x.tolist() for x in phrases(units, view))):
-        if at in wanted:
-            for j in range((at - last) // SECTION, (at - first) // SECTION + 1):
-                yield at, j, max(first, at - SECTION * j - SECTION + 1), min(last, at - SECTION * j)
-
+    for j in range((at - last) // SECTION, (at - first) // SECTION + 1):
+        base = at - SECTION * j
+        begin = max(first, base - SECTION + 1)
+        yield base, begin, min(last, base), at - begin
 
-def _places(marked: list[dict], view: View, *keys: str) -> set:
-    found = [tuple(m[k] for k in keys) for m in marked or () if m["view"] == view.number]
-    return {f[0] for f in found} if len(keys) == 1 else set(found)
 
-
-def parse_sections(placed: DataFrame, views: tuple[View, ...]) -> DataFrame:
+def parse_sections(marked: DataFrame, views: tuple[View, ...]) -> DataFrame:
     """As :func:`parse`, for sections of the phrases at ``places``: their cores are nearly as long as their strings."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -225,22 +234,24 @@ def parse_sections(placed: DataFrame, views: tuple[View, ...]) -> DataFrame:
             for number, data, places in zip(*(c.to_pylist() for c in batch.columns)):
                 text = unpacker.decompress(data)
                 for view in views:
-                    if wanted := _places(places, view, "at"):
-                        units = view.units(text)
-                        for at, j, first, last in sections(units, wanted, view):
-                            base = at - SECTION * j
-                            rows.append((number, view.number, at, j, _hash(units[base : base + view.length - SECTION + 1], 2 * j + view.number), _hash(units[first : last + view.length], at - first)))
+                    if found := of_view(places, view):
+                        rows += _hashed(number, view.units(text), view, (x for f in found for x in sections(*f)), view.length - SECTION + 1)
                 if len(rows) >= SMALL_ROWS:
-                    yield _records(rows, SECTIONS)
+                    yield _records(rows)
                     rows = []
-            yield _records(rows, SECTIONS)
+            yield _records(rows)
+
+    return marked.select("id", "packed", "places").mapInArrow(run, ", ".join(f"{c} long" for c in PARSE))
 
-    return placed.select("id", "packed", "places").mapInArrow(run, ", ".join(f"{c} long" for c in SECTIONS))
 
+_PART = pa.schema([("id", pa.int64()), ("view", pa.int64()), ("base", pa.int64()), ("least", pa.int32()), ("most", pa.int32()), ("core", pa.binary()), ("before", pa.binary()), ("behind", pa.binary())])
 
-def section_parts(placed: DataFrame, views: tuple[View, ...]) -> DataFrame:
-    """Of each section in ``parts`` (view, place, number): its ``core`` and where that starts (``base``), how many units before it the last and first string begin, and the bytes around it."""
-    schema = pa.schema([("id", pa.int64()), ("view", pa.int64()), ("base", pa.int64()), ("least", pa.int32()), ("most", pa.int32()), ("core", pa.binary()), ("before", pa.binary()), ("behind", pa.binary())])
+
+def section_parts(marked: DataFrame, views: tuple[View, ...]) -> DataFrame:
+    """Of each section in ``parts``: its ``core`` and where that starts (``base``), how many units before it the last and first string begin, and the units around it."""
+
+    def records(rows: list[tuple]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(list(zip(*rows)) or [()] * len(_PART), _PART)], schema=_PART)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         unpacker = zstandard.ZstdDecompressor()
@@ -249,21 +260,16 @@ def section_parts(placed: DataFrame, views: tuple[View, ...]) -> DataFrame:
             for number, data, parts in zip(*(c.to_pylist() for c in batch.columns)):
                 text = unpacker.decompress(data)
                 for view in views:
-                    wanted = _places(parts, view, "at", "j")
-                    if not wanted:
-                        continue
-                    units, width = view.units(text), view.length - SECTION + 1
-                    for at, j, first, last in sections(units, {at for at, _ in wanted}, view):
-                        if (at, j) in wanted:
-                            base = at - SECTION * j
-                            rows.append((number, view.number, base, base - last, base - first, units[base : base + width].tobytes(), units[first:base].tobytes(), units[base + width : last + view.length].tobytes()))
+                    found, width = of_view(parts, view), view.length - SECTION + 1
+                    units = view.units(text) if found else None
+                    for base, first, last in found:
+                        rows.append((number, view.number, base, base - last, base - first, units[base : base + width].tobytes(), units[first:base].tobytes(), units[base + width : last + view.length].tobytes()))
                 if len(rows) >= SMALL_ROWS // SECTION:
-                    yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows), schema)], schema=schema)
+                    yield records(rows)
                     rows = []
-            if rows:
-                yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows), schema)], schema=schema)
+            yield records(rows)
 
-    return placed.select("id", "packed", "parts").mapInArrow(run, "id long, view long, base long, least int, most int, core binary, before binary, behind binary")
+    return marked.select("id", "packed", "parts").mapInArrow(run, "id long, view long, base long, least int, most int, core binary, before binary, behind binary")
 
 
 def suffix_order(parts: DataFrame, unit: dict[int, int]) -> DataFrame:
@@ -320,17 +326,17 @@ def equal_neighbours(ordered: DataFrame) -> DataFrame:
     return found.filter("twice").select(*PLACE).unionByName(edges.filter(met).select(*PLACE)).distinct()
 
 
-def judge(parsed: DataFrame, place: list[str], name: str) -> tuple[DataFrame, DataFrame]:
-    """Places whose phrase has two places, and one copy of every phrase that shares its core with another phrase.
+def judge(parsed: DataFrame, name: str) -> tuple[DataFrame, DataFrame]:
+    """Places (``id``, ``place``) whose phrase has two places, and of one copy of every phrase that shares its core with another phrase.
 
     Only rows whose core has two places or more are compared; the others go before any phrase is looked at.
     """
     cores = materialize(parsed.groupBy("core").agg(F.count("*").alias("m")).filter("m > 1").select("core"), f"{name}-cores")
     open_rows = materialize(parsed.join(cores, "core", "left_semi"), f"{name}-rows")
-    dictionary = materialize(open_rows.groupBy("core", "p").agg(F.count("*").alias("n"), F.min(F.struct("id", *place)).alias("copy")), name)
-    twice = open_rows.join(dictionary.filter("n > 1").select("core", "p"), ["core", "p"], "left_semi").select("id", *place)
+    dictionary = materialize(open_rows.groupBy("core", "p").agg(F.count("*").alias("n"), F.min(F.struct("id", "place")).alias("copy")), name)
+    twice = open_rows.join(dictionary.filter("n > 1").select("core", "p"), ["core", "p"], "left_semi").select("id", "place")
     shared = dictionary.groupBy("core").agg(F.count("*").alias("m")).filter("m > 1").select("core")
-    return twice, dictionary.join(shared, "core", "left_semi").select("copy.id", *(f"copy.{c}" for c in place))
+    return twice, dictionary.join(shared, "core", "left_semi").select("copy.id", "copy.place")
 
 
 def removed(docs: DataFrame, length: int = LENGTH, carry: tuple[str, ...] = ("doc_id",), words: int | None = None, keep: str = "bytes") -> DataFrame:
@@ -346,47 +352,38 @@ def removed(docs: DataFrame, length: int = LENGTH, carry: tuple[str, ...] = ("do
     packed = materialize(pack(docs, carry), "packed-texts")
     scratch: list[str] = []
     with collecting(scratch):
-        whole, copies = judge(materialize(parse(packed, views), "parse"), ["view", "at"], "dictionary")
-        where = F.struct("view", "at")
+        whole, copies = judge(materialize(parse(packed, views), "parse"), "dictionary")
         marks = whole.withColumn("repeats", F.lit(True)).unionByName(copies.withColumn("repeats", F.lit(False))).groupBy("id").agg(
-            F.collect_list(F.when(F.col("repeats"), where)).alias("whole"), F.collect_list(F.when(~F.col("repeats"), where)).alias("places")
+            F.collect_list(F.when(F.col("repeats"), F.col("place"))).alias("whole"), F.collect_list(F.when(~F.col("repeats"), F.col("place"))).alias("places")
         )
         marks = materialize(marks, "marked-places")
     kept_tables = [scratch.pop()]
     release(spark, scratch)
     with collecting(scratch):
         open_texts = materialize(packed.select("id", "packed").join(marks.filter(F.size("places") > 0).select("id", "places"), "id"), "open-texts")
-        half, ends = judge(materialize(parse_sections(open_texts, views), "sections"), ["view", "at", "j"], "section-dictionary")
-        parts = ends.groupBy("id").agg(F.collect_list(F.struct("view", "at", "j")).alias("parts"))
+        half, ends = judge(materialize(parse_sections(open_texts, views), "sections"), "section-dictionary")
+        parts = ends.groupBy("id").agg(F.collect_list("place").alias("parts"))
         left = materialize(section_parts(open_texts.select("id", "packed").join(parts, "id"), views), "section-parts")
         single = equal_neighbours(suffix_order(left, {v.number: v.unit for v in views})).groupBy("id").agg(F.collect_list(F.struct("view", "start")).alias("starts"))
-        half = half.groupBy("id").agg(F.collect_list(F.struct("view", "at", "j")).alias("parts"))
-        found = materialize(marks.select("id", "whole").join(half, "id", "left").join(single, "id", "left"), "found-places")
+        half = half.groupBy("id").agg(F.collect_list("place").alias("parts"))
+        both = marks.select("id", "whole").join(half, "id", "left").join(single, "id", "left")
+        found = materialize(both.select("id", F.concat("whole", F.coalesce("parts", F.array().cast("array<bigint>"))).alias("places"), "starts"), "found-places")
     note(scratch.pop())
     release(spark, scratch + kept_tables)
     return _cut(packed.join(found, "id", "left"), views, carry, keep)
 
 
-def runs(units: np.ndarray, view: View, whole: set[int], parts: set[tuple[int, int]], starts: list[int]) -> list[tuple[int, int]]:
-    """Maximal runs (first, end) of the units covered by strings that repeat."""
-    if not whole and not parts and not starts:
-        return []
-    change = np.zeros(len(units) + 1, dtype=np.int32)
-    if whole:
-        for at, first, last in zip(*(x.tolist() for x in phrases(units, view))):
-            if at in whole:
-                change[first] += 1
-                change[last + view.length] -= 1
-    for at, j, first, last in sections(units, {at for at, _ in parts}, view) if parts else ():
-        if (at, j) in parts:
-            change[first] += 1
-            change[last + view.length] -= 1
-    for start in starts:
-        change[start] += 1
-        change[start + view.length] -= 1
-    covered = np.cumsum(change[:-1]) > 0
-    edges = np.flatnonzero(np.diff(np.concatenate([[False], covered, [False]]).astype(np.int8)))
-    return list(zip(edges[::2].tolist(), edges[1::2].tolist()))
+def runs(view: View, places: list[int] | None, starts: list[dict] | None) -> list[tuple[int, int]]:
+    """Maximal runs (first, end) of the units covered by strings that repeat: those of whole phrases and sections, and single ones."""
+    ranges = [(first, last + view.length) for _, first, last in of_view(places, view)]
+    ranges += [(x["start"], x["start"] + view.length) for x in starts or () if x["view"] == view.number]
+    out: list[tuple[int, int]] = []
+    for first, end in sorted(ranges):
+        if out and first <= out[-1][1]:
+            out[-1] = (out[-1][0], max(end, out[-1][1]))
+        else:
+            out.append((first, end))
+    return out
 
 
 def without(text: bytes, spans: list[tuple[int, int]]) -> bytes:
@@ -412,9 +409,9 @@ def _cut(marked: DataFrame, views: tuple[View, ...], carry: tuple[str, ...], kee
             for begin in range(0, batch.num_rows, ROWS_AT_ONCE):
                 part = batch.slice(begin, ROWS_AT_ONCE)
                 rows = []
-                for packed, whole, parts, starts in zip(*(part.column(n + i).to_pylist() for i in range(4))):
+                for packed, places, starts in zip(*(part.column(n + i).to_pylist() for i in range(3))):
                     text = unpacker.decompress(packed)
-                    gone = [runs(v.units(text), v, _places(whole, v, "at"), _places(parts, v, "at", "j"), sorted(_places(starts, v, "start"))) if whole or parts or starts else [] for v in views]
+                    gone = [runs(v, places, starts) for v in views]
                     said = []
                     if worded:
                         at = [m.span() for m in WORD.finditer(text)] if gone[1] else []
@@ -426,7 +423,7 @@ def _cut(marked: DataFrame, views: tuple[View, ...], carry: tuple[str, ...], kee
 
     listed = "array<struct<offset: bigint, length: bigint>>"
     schema = f"{_types(marked, carry)}, n_bytes long, n_removed long, spans {listed}, kept {'string' if as_text else 'binary'}" + (f", n_passage_words long, passages {listed}" if worded else "")
-    return marked.select(*carry, "packed", "whole", "parts", "starts").mapInArrow(run, schema)
+    return marked.select(*carry, "packed", "places", "starts").mapInArrow(run, schema)
 
 
 def digest(cleaned: DataFrame) -> DataFrame:
