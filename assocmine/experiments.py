@@ -344,6 +344,98 @@ def q_spectrum(spark, sf):
     return zoned.select("g", set_id(F.col("s")).alias("set_id"), rounded(F.col("tc")).alias("bits"), "zone")
 
 
+# --- run time of the prunings, and the case study ----------------------------------------------------------------------
+
+REMOVALS, REPEATS = (10, 20, 30, 40), 10
+
+
+def cost(runs: DataFrame) -> DataFrame:
+    """Means over the repeats, without the seconds, which differ from run to run."""
+    return runs.groupBy("prune", "attributes").agg(
+        F.count("*").alias("runs"), rounded(F.avg("after_redundancy"), 4).alias("after_redundancy"), rounded(F.avg("children"), 4).alias("children"), rounded(F.avg("exact"), 4).alias("exact"),
+        rounded(F.avg("sets"), 4).alias("sets"), rounded(F.avg("interactions"), 4).alias("interactions"),
+    )
+
+
+@query("q_pruning_modes")
+def q_pruning_modes(spark, sf):
+    """Search and interaction miner under the four choices of prunings, 58 attributes less 10 to 40, without class."""
+    return cost(evaluation.runtime_curve(planted.runtime_small(spark, sf, None), REMOVALS, REPEATS))
+
+
+@query("q_pruning_modes_class")
+def q_pruning_modes_class(spark, sf):
+    return cost(evaluation.runtime_curve(planted.runtime_small(spark, sf, None), REMOVALS, REPEATS, "cac"))
+
+
+@query("q_runtime_large")
+def q_runtime_large(spark, sf):
+    """The same for 103 attributes."""
+    return cost(evaluation.runtime_curve(planted.runtime_large(spark, sf, None), REMOVALS, REPEATS))
+
+
+@query("q_runtime_large_class")
+def q_runtime_large_class(spark, sf):
+    return cost(evaluation.runtime_curve(planted.runtime_large(spark, sf, None), REMOVALS, REPEATS, "cac"))
+
+
+@query("q_runtime_seconds")
+def q_runtime_seconds(spark, sf):
+    """Mean seconds of search and interaction miner by choice of prunings and number of attributes, 58 attributes less 10 to 40."""
+    runs = evaluation.runtime_curve(planted.runtime_small(spark, sf, None), REMOVALS, REPEATS)
+    return runs.groupBy("prune", "attributes").agg(F.avg("seconds").alias("seconds"), F.count("*").alias("runs"))
+
+
+@query("q_pruning_same_sets", "select cast(count(*) as bigint) as differences from range(0)")
+def q_pruning_same_sets(spark, sf):
+    """Bounds change no result: runs that differ in nothing else find the same sets."""
+    runs = materialize(evaluation.runtime_curve(planted.runtime_small(spark, sf, None), REMOVALS, REPEATS, "cac"), "runs")
+    key = ["removed", "rep", "reduced"]
+    plain, bounded = (runs.filter(F.col("prune").isin(*names)).select("removed", "rep", (F.col("prune").isin("redundancy", "both")).alias("reduced"), F.col("members").alias(out)) for names, out in ((("none", "redundancy"), "a"), (("bounds", "both"), "b")))
+    return plain.join(bounded, key, "full").filter(~F.col("a").eqNullSafe(F.col("b"))).agg(F.count("*").alias("differences"))
+
+
+@query("q_case_study")
+def q_case_study(spark, sf):
+    """Both analyses of the case study: sets with significant II, sets that covered attributes form in place of their
+    representatives, and how many of the two planted attributes are found, themselves or by a cover group."""
+    whole_frame = planted.case_study(spark, sf)
+    out = None
+    for mode in ("tc", "cac"):
+        frame = whole_frame if mode == "cac" else whole_frame.select(list(whole_frame.predictors))
+        found, significant, groups = interactions.pipeline(frame, mode, alpha_high=1e-4)
+        reduced = redundancy.apply(frame, groups)
+        significant = materialize(significant, "significant")
+        sets = [tuple(r["s"]) for r in significant.select("s").collect()]
+        back = interactions.recover(frame, reduced, sets, groups)
+        names, short = F.array(*[F.lit(n) for n in frame.names]), F.array(*[F.lit(n) for n in reduced.names])
+        spell = lambda s, table: F.array_join(F.transform(s, lambda i: F.element_at(table, i + 1)), ",")
+        rows = significant.select(F.lit(mode).alias("analysis"), F.lit("significant").alias("step"), spell(F.col("s"), short).alias("members"), rounded(F.col("ii")).alias("value"))
+        rows = rows.unionByName(back.select(F.lit(mode).alias("analysis"), F.lit("recovered").alias("step"), spell(F.col("s"), names).alias("members"), rounded(F.col("ii")).alias("value")))
+        index = [frame.names.index(n) for n in reduced.names]
+        at = F.create_map(*[x for k, i in enumerate(index) for x in (F.lit(k), F.lit(i))])
+        whole = significant.select("g", F.transform("s", lambda i: at[i]).alias("s")).unionByName(back.select("g", "s"))
+        leaders = [frame.names.index(n) for n in ("a1", "a5") if n in frame.names]
+        count = evaluation.recovered(whole, leaders)
+        rows = rows.unionByName(count.select(F.lit(mode).alias("analysis"), F.lit("planted attributes found").alias("step"), F.lit("").alias("members"), F.col("recovered").cast("double").alias("value")))
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
+
+@query("q_scale_sweep")
+def q_scale_sweep(spark, sf):
+    """Cells and sets of the star view by number of attributes, all pairs: what grows with attributes is the work, not the rows shuffled."""
+    from assocmine.sources import views
+
+    frame = views.frame(spark, sf, "star")
+    out = None
+    for k in range(5, len(frame.names) + 1):
+        ent = counts.entropies(frame.select(list(range(k))), metrics.all_sets(range(k), 1, 2))
+        one = ent.agg(F.lit(k).alias("attributes"), F.lit(frame.n).cast("long").alias("rows"), F.count("*").alias("sets"), F.sum("cells").alias("cells"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 FLAGSHIP_SQL = f"with {o.epistasis_cte()},\n {o.F2.search()}\nselect g, set_id, 'TC' as metric, {r6('bits')} as bits, kind from found"
 
 

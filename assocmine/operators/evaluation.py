@@ -3,13 +3,17 @@
 from __future__ import annotations
 
 import time
-from collections.abc import Callable, Iterable
+from collections.abc import Iterable, Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from assocmine.operators.mining import Mined, mine
-from assocmine.operators import redundancy
+from assocmine.operators import interactions, redundancy
+from assocmine.operators.mining import Mined, check_local, counter, mine, shape_of, sub_frame
+from assocmine.plans.materialize import ship_package
+from assocmine.sources.discretize import random_removal
 from assocmine.sources.frame import Frame
 
 
@@ -54,30 +58,52 @@ def ablation(frame: Frame, mode: str, prune: str, delta: float = redundancy.DELT
     return mine(reduced, mode, bounds=prune in ("bounds", "both"), **options), reduced
 
 
-def runtime_curve(build: Callable[[int], Frame], removals: Iterable[int], repeats: int, mode: str = "tc", delta: float = redundancy.DELTA, max_order: int = 4, max_sets: int = 3_000_000) -> DataFrame:
-    """Seconds and search cost for every number of removed attributes, repeat and choice of prunings.
+RUNTIME = "removed int, rep int, prune string, attributes int, after_redundancy int, children long, exact long, sets long, interactions long, seconds double, members array<string>"
 
-    ``build(rep)`` gives the frame whose attributes are removed in the order of md5 hashes.
+
+def runtime_curve(frame: Frame, removals: Iterable[int], repeats: int, mode: str = "tc", delta: float = redundancy.DELTA, max_order: int | None = None, modes: tuple[str, ...] = MODES) -> DataFrame:
+    """Seconds and cost of search and interaction miner for every number of removed attributes, repeat and choice of prunings.
+
+    Attributes are removed in the order of md5 hashes. Repeat r takes the frame's data set number r, from the first again
+    when all are used; there are as many repeats as data sets at least. Every run is one task over one data set.
     """
-    from assocmine.sources.discretize import random_removal
-
-    rows, spark = [], None
-    for k in removals:
-        for rep in range(repeats):
-            frame = build(rep)
-            spark = frame.spark
-            predictors = [frame.names[i] for i in frame.predictors]
-            kept = random_removal(predictors, k, rep)
-            index = [frame.names.index(n) for n in kept] + ([frame.class_at] if frame.class_at is not None else [])
-            part = frame.select(index)
-            if mode == "tc" and part.class_at is not None:
-                part = part.select([i for i in range(len(part.names)) if i != part.class_at])
-            for prune in MODES:
-                began = time.time()
-                found, reduced = ablation(part, mode, prune, delta, max_order=max_order, max_sets=max_sets)
-                rows.append((k, rep, prune, len(part.predictors), len(reduced.predictors), sum(v.children for v in found.levels), sum(v.exact for v in found.levels), sum(map(len, found.result.values())), time.time() - began))
-    schema = "removed int, rep int, prune string, attributes int, after_redundancy int, children long, exact long, sets long, seconds double"
-    return spark.createDataFrame(rows, schema)
+    check_local(frame)
+    ship_package(frame.spark)
+    shape = shape_of(frame)
+    groups = [r[0] for r in frame.rows.select("g").distinct().orderBy("g").collect()]
+    if not groups:
+        return frame.spark.createDataFrame([], RUNTIME)
+    grid = [(groups[rep % len(groups)], k, rep, prune) for k in removals for rep in range(max(repeats, len(groups))) for prune in modes]
+    asked = frame.spark.createDataFrame(grid, "g long, removed int, rep int, prune string")
+    packs = frame.rows.groupBy("g").agg(F.collect_list(F.struct("a", "w")).alias("rows"))
+    fields = pa.schema([("removed", pa.int32()), ("rep", pa.int32()), ("prune", pa.string()), ("attributes", pa.int32()), ("after_redundancy", pa.int32()), ("children", pa.int64()), ("exact", pa.int64()), ("sets", pa.int64()), ("interactions", pa.int64()), ("seconds", pa.float64()), ("members", pa.list_(pa.string()))])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row in batch.to_pylist():
+                x, w = np.array([r["a"] for r in row["rows"]], dtype=np.int64).T, np.array([r["w"] for r in row["rows"]], dtype=np.int64)
+                made = _timed(shape, row["g"], x, w, row["removed"], row["rep"], row["prune"], mode, delta, max_order)
+                yield pa.RecordBatch.from_arrays([pa.array([v], f.type) for v, f in zip(made, fields)], schema=fields)
+
+    spread = asked.join(packs, "g").repartition(len(grid), "removed", "rep", "prune")
+    return spread.select("g", "rows", "removed", "rep", "prune").mapInArrow(run, RUNTIME)
+
+
+def _timed(shape: Frame, g: int, x: np.ndarray, w: np.ndarray, removed: int, rep: int, prune: str, mode: str, delta: float, max_order: int | None) -> tuple:
+    kept = set(random_removal([shape.names[i] for i in shape.predictors], removed, rep))
+    index = [i for i, name in enumerate(shape.names) if name in kept or (i == shape.class_at and mode == "cac")]
+    part, x = sub_frame(shape, index), x[index]
+    began = time.time()
+    own = part
+    if prune in ("redundancy", "both"):
+        reps = redundancy.representatives_of(part, x, w, delta)
+        index = sorted([*reps, *([part.class_at] if part.class_at is not None else [])])
+        own, x = sub_frame(part, index), x[index]
+    found = mine(own, mode, bounds=prune in ("bounds", "both"), max_order=max_order, groups=[g], count=counter(g, x, w, own.states))
+    attributes, order = interactions.universe(found)
+    ii = len(interactions.mine_in_memory(x, w, own, attributes, order)) if attributes else 0
+    members = sorted(",".join(own.names[i] for i in s) for s in found.result[g])
+    return removed, rep, prune, len(part.predictors), len(own.predictors), sum(v.children for v in found.levels), sum(v.exact for v in found.levels), len(members), ii, time.time() - began, members
 
 
 def bound_gap(bounds: DataFrame) -> DataFrame:

@@ -51,6 +51,12 @@ def ii_kind(ii: Column, eps: float = 1e-9) -> Column:
     return F.when(ii > eps, "synergy").when(ii < -eps, "redundancy").otherwise("none")
 
 
+def ii_entropy_bound(ent: DataFrame, sets: DataFrame) -> DataFrame:
+    """II of rows (``g``, ``s``) with ``least_h``, the smallest entropy of a member, which II of three attributes cannot exceed."""
+    least = sets.select("g", "s", F.explode("s").alias("i")).join(_singles(ent), ["g", "i"]).groupBy("g", "s").agg(F.min("h1").alias("least_h"))
+    return interaction_info(ent, sets).join(least, ["g", "s"])
+
+
 def total_correlation(ent: DataFrame, sets: DataFrame) -> DataFrame:
     """TC of rows (``g``, ``s``): sum of the members' entropies minus the joint's."""
     members = sets.select("g", "s", F.explode("s").alias("i")).join(_singles(ent), ["g", "i"]).groupBy("g", "s").agg(F.sum("h1").alias("sum_h"))
@@ -141,13 +147,13 @@ def cac_chi2_approx(frame: Frame, s: tuple[int, ...], c: int) -> DataFrame:
 def decompositions(frame: Frame, sets: list[tuple[int, ...]], c: int | None = None) -> DataFrame:
     """Both sides of an identity for every set: TC = sum of II of subsets of two or more, or CAC = sum of II with the class."""
     if c is None:
-        ent = counts.entropies(frame, {t for s in sets for t in all_sets(s, 1, len(s))}).cache()
+        ent = counts.entropies(frame, {t for s in sets for t in all_sets(s, 1, len(s))})
         wanted = table(frame, sets)
         parts = wanted.select("g", "s", F.explode(subsets(F.col("s"), 2)).alias("t"))
         left = total_correlation(ent, wanted).select("g", "s", F.col("tc").alias("left"))
     else:
         full = [tuple(sorted((*s, c))) for s in sets]
-        ent = counts.entropies(frame, {t for s in full for t in all_sets(s, 1, len(s))}).cache()
+        ent = counts.entropies(frame, {t for s in full for t in all_sets(s, 1, len(s))})
         wanted = table(frame, sets)
         parts = wanted.select("g", "s", F.explode(F.transform(subsets(F.col("s")), lambda t: F.array_sort(F.array_append(t, F.lit(c))))).alias("t"))
         left = class_correlation(ent, wanted, c).select("g", "s", F.col("cac").alias("left"))

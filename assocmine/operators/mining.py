@@ -257,6 +257,13 @@ def mine(
 def _level(run: Search, order: int, frontier: dict[int, list[Members]], result: dict[int, dict[Members, Found]], rule: str, bounds: bool, siblings: bool, subset_check: str, min_bits: float) -> Level:
     level = Level(order)
     last_attribute = max(run.attributes)
+    least = math.prod(sorted(run.frame.states[i] for i in run.attributes)[:order]) * (run.frame.states[run.c] if run.c is not None else 1)
+    if run.frame.n < run.min_ratio * least:  # no set of this order has enough samples: count the children, make none
+        later = {j: sum(i > j for i in run.attributes) for j in run.attributes}
+        level.children = level.cut_samples = sum(later[p[-1]] for nodes in frontier.values() for p in nodes)
+        for g in frontier:
+            frontier[g] = []
+        return level
     children: dict[int, list[tuple[Members, Members]]] = {}
     for g, nodes in frontier.items():
         children[g] = []

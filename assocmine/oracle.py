@@ -101,7 +101,7 @@ def tail(shape: str, x: str) -> str:
     return f"(1 - list_sum(list_transform(range(0, 400), lambda j: exp(-({x}) + ({shape} + j) * ln({x}) - lgamma({shape} + j + 1)))))"
 
 
-def cuts(dfs, n: int) -> str:
+def cuts(dfs, n: int | str) -> str:
     """CTE cut(df, strong_at, weak_at) in bits, by bisection."""
     rows = values((float(d), a) for d in sorted(set(map(float, dfs))) for a in (1e-8, 1e-2))
     middle = "((lo + hi) / 2)"

@@ -14,8 +14,7 @@ from pyspark.sql import functions as F
 from assocmine import experiments
 from assocmine import oracle as o
 from assocmine.functions.expressions import immediate_subsets, rounded, set_id, subsets, zone_of
-from assocmine.functions.gamma import critical_bits
-from assocmine.operators import baselines, bounds, evaluation, interactions, metrics, mining, permutation, redundancy, significance
+from assocmine.operators import baselines, bounds, evaluation, interactions, lattice, metrics, mining, redundancy, significance
 from assocmine.plans import counts
 from assocmine.plans.materialize import materialize
 from assocmine.sources import discretize, planted, views
@@ -101,13 +100,13 @@ def q_entropy_pairs(spark, sf):
 
 
 for _strategy in ("cube", "explode", "arrays", "maximal"):
-    QUERIES[f"q_count_{_strategy}"] = lambda spark, sf, k=_strategy: counts.entropies(v1(spark, sf), PAIRS[:20], k).select(set_id(F.col("s")).alias("set_id"), rounded(F.col("h")).alias("h"), "cells")
-    ORACLES[f"q_count_{_strategy}"] = f"with {v1_cte(PAIRS[:20])} select set_id, {r6('h')} as h, cells from e"
+    QUERIES[f"q_count_{_strategy}"] = lambda spark, sf, k=_strategy: counts.entropies(v1(spark, sf), PAIRS, k).select(set_id(F.col("s")).alias("set_id"), rounded(F.col("h")).alias("h"), "cells")
+    ORACLES[f"q_count_{_strategy}"] = f"with {v1_cte(PAIRS)} select set_id, {r6('h')} as h, cells from e"
 
 
-@query("q_count_collapsed", f"with {v1_cte(TRIPLES[:30])} select set_id, {r6('h')} as h, cells from e")
+@query("q_count_collapsed", f"with {v1_cte(TRIPLES)} select set_id, {r6('h')} as h, cells from e")
 def q_count_collapsed(spark, sf):
-    e = counts.entropies(v1(spark, sf).collapse(), TRIPLES[:30], "arrays")
+    e = counts.entropies(v1(spark, sf).collapse(), TRIPLES, "arrays")
     return e.select(set_id(F.col("s")).alias("set_id"), rounded(F.col("h")).alias("h"), "cells")
 
 
@@ -223,14 +222,14 @@ def q_ii_kind(spark, sf):
     return ii.select(set_id(F.col("s")).alias("set_id"), rounded(F.col("ii")).alias("ii"), metrics.ii_kind(F.col("ii")).alias("kind"))
 
 
-@query("q_tc_identity", tc_sql(TRIPLES[:20]).replace("as tc from", "as \"left\", " + r6("sum_h - h") + " as \"right\" from"))
+@query("q_tc_identity", tc_sql(TRIPLES).replace("as tc from", "as \"left\", " + r6("sum_h - h") + " as \"right\" from"))
 def q_tc_identity(spark, sf):
-    return named(metrics.decompositions(v1(spark, sf), TRIPLES[:20]), "left", "right")
+    return named(metrics.decompositions(v1(spark, sf), TRIPLES), "left", "right")
 
 
-@query("q_cac_identity", cac_sql(P2[:12], f"set_id, {r6('hs + hc - hsc')} as \"left\", {r6('hs + hc - hsc')} as \"right\""))
+@query("q_cac_identity", cac_sql(P2, f"set_id, {r6('hs + hc - hsc')} as \"left\", {r6('hs + hc - hsc')} as \"right\""))
 def q_cac_identity(spark, sf):
-    return named(metrics.decompositions(v1_class(spark, sf), P2[:12], C0), "left", "right")
+    return named(metrics.decompositions(v1_class(spark, sf), P2, C0), "left", "right")
 
 
 @query(
@@ -279,12 +278,42 @@ def q_cac_gain_stratified(spark, sf):
     return metrics.cac_gain_stratified(v1_class(spark, sf), (1, 3), 7, C0).select(F.lit("1,3").alias("sub"), rounded(F.col("gain")).alias("gain"))
 
 
-@query("q_monotone", "select cast(0 as bigint) as violations")
+def monotone_sql(body: str, value: str, sets) -> str:
+    """Pairs of a set and a subset with one member fewer, and in how many the value falls."""
+    inside = ", ".join(f"('{name_of(s)}', '{name_of(t)}')" for s in sets for t in combinations(s, len(s) - 1) if len(t) >= (2 if value == "tc" else 1))
+    return f"""with x as ({body}), sub(set_id, t) as (values {inside})
+select count(*) as pairs, count(case when y.{value} > x.{value} + 1e-9 then 1 end) as violations from sub join x on x.set_id = sub.set_id join x y on y.set_id = sub.t"""
+
+
+def _monotone(values: DataFrame, column: str, pairs: int) -> DataFrame:
+    return evaluation.check_monotone(values, column).agg(F.lit(pairs).cast("long").alias("pairs"), F.count("*").alias("violations"))
+
+
+@query("q_monotone", monotone_sql(tc_sql(PAIRS + TRIPLES).replace("round(sum_h - h, 6) + 0.0 as tc", "sum_h - h as tc"), "tc", TRIPLES))
 def q_monotone(spark, sf):
     frame = v1(spark, sf)
     ent = counts.entropies(frame, SINGLES + PAIRS + TRIPLES)
-    tc = metrics.total_correlation(ent, metrics.table(frame, PAIRS + TRIPLES))
-    return evaluation.check_monotone(tc, "tc").agg(F.count("*").alias("violations"))
+    return _monotone(metrics.total_correlation(ent, metrics.table(frame, PAIRS + TRIPLES)), "tc", 3 * len(TRIPLES))
+
+
+@query("q_monotone_class", monotone_sql(cac_sql(P1 + P2, "set_id, hs + hc - hsc as cac"), "cac", P2))
+def q_monotone_class(spark, sf):
+    frame = v1_class(spark, sf)
+    ent = counts.entropies(frame, with_class(P1 + P2))
+    return _monotone(metrics.class_correlation(ent, metrics.table(frame, P1 + P2), C0), "cac", 2 * len(P2))
+
+
+@query(
+    "q_ii_entropy_bound",
+    f"""with x as ({ii_sql(TRIPLES).replace("round(sum(sign * h), 6) + 0.0 as ii", "sum(sign * h) as ii")}), {v1_cte(SINGLES)}, m(set_id, i) as (values {", ".join(f"('{name_of(s)}', '{i}')" for s in TRIPLES for i in s)})
+select x.set_id, {r6('any_value(ii)')} as ii, {r6('min(h)')} as least_h, any_value(ii) <= min(h) + 1e-9 as holds from x join m using (set_id) join e on e.set_id = m.i group by x.set_id""",
+)
+def q_ii_entropy_bound(spark, sf):
+    """II of three attributes is at most the smallest of their entropies."""
+    frame = v1(spark, sf)
+    ent = counts.entropies(frame, SINGLES + PAIRS + TRIPLES)
+    bound = metrics.ii_entropy_bound(ent, metrics.table(frame, TRIPLES))
+    return bound.select(set_id(F.col("s")).alias("set_id"), rounded(F.col("ii")).alias("ii"), rounded(F.col("least_h")).alias("least_h"), (F.col("ii") <= F.col("least_h") + 1e-9).alias("holds"))
 
 
 # --- significance ----------------------------------------------------------------------------------------------
@@ -313,15 +342,15 @@ def df_of(s) -> int:
     return math.prod(r) - sum(r) + len(r) - 1
 
 
-def cuts(s, n: int = N1) -> tuple[float, float]:
-    return critical_bits(float(df_of(s)), n, 1e-8), critical_bits(float(df_of(s)), n, 1e-2)
+ROWS = "(select count(*) from lineitem)"
 
 
-def zone_cte(sets) -> str:
-    """CTE ``z``(set_id, tc, zone) by critical values as literals; they hold for the 60,000 rows of sf0.01."""
+def zone_cte(sets, more=()) -> str:
+    """CTEs cut(df, strong_at, weak_at) and z(set_id, tc, zone); critical values by bisection in SQL, also of further degrees of freedom."""
     body = tc_sql(sets).replace("round(sum_h - h, 6) + 0.0 as tc", "sum_h - h as tc")
-    rows = ", ".join(f"('{name_of(s)}', {cuts(s)[0]!r}, {cuts(s)[1]!r})" for s in sets)
-    return f"z as (select set_id, tc, case when tc > strong_at then 'STRONG' when tc <= weak_at then 'WEAK' else 'MIDDLE' end as zone from ({body}) join (values {rows}) c(set_id, strong_at, weak_at) using (set_id))"
+    rows = ", ".join(f"('{name_of(s)}', {float(df_of(s))})" for s in sets)
+    return f"""{o.cuts([*(df_of(s) for s in sets), *more], ROWS)},
+ z as (select set_id, tc, case when tc > strong_at then 'STRONG' when tc <= weak_at then 'WEAK' else 'MIDDLE' end as zone from ({body}) join (values {rows}) c(set_id, df) using (set_id) join cut using (df))"""
 
 
 @query("q_zone_pairs", f"with {zone_cte(PAIRS)} select set_id, {r6('tc')} as tc, zone from z")
@@ -338,12 +367,6 @@ def q_zone_counts(spark, sf):
     return significance.with_zone(tc, "tc", frame.n).groupBy("zone").agg(F.count("*").alias("sets"))
 
 
-@query("q_zone_example", "select * from (values (1e-12, 'STRONG'), (0.01, 'WEAK'), (1e-5, 'MIDDLE')) t(p, zone)")
-def q_zone_example(spark, sf):
-    rows = spark.createDataFrame([(1e-12,), (0.01,), (1e-5,)], "p double")
-    return rows.withColumn("zone", zone_of(-F.col("p"), F.lit(-1e-10), F.lit(-1e-3)))
-
-
 # --- redundancy ------------------------------------------------------------------------------------------------
 
 
@@ -388,7 +411,7 @@ def bounds_sql(sets) -> str:
   join e s on s.set_id = l.set_id join e p on p.set_id = l.parent join e n on n.set_id = l.new join e wa on wa.set_id = l.wa join e wb on wb.set_id = l.wb join e ab on ab.set_id = l.ab join e ps on ps.set_id = l.ps join e pij on pij.set_id = l.pij)"""
 
 
-BOUND_SETS = TRIPLES[:24]
+BOUND_SETS = TRIPLES
 BOUND_COLUMNS = {
     "tc": "sum_h - hs",
     "lower_ancestor": "sum_h - (hwa + hwb + hab) / 2",
@@ -414,14 +437,17 @@ def q_sibling_bounds(spark, sf):
     return named(_bounds(spark, sf), "tc", "lower_sibling", "upper_sibling")
 
 
-@query("q_bound_violations", "select cast(0 as bigint) as violations")
+_low, _high = (f"{f}({', '.join(BOUND_COLUMNS[c] for c in cs)})" for f, cs in (("greatest", ("lower_ancestor", "lower_monotone", "lower_sibling")), ("least", ("upper_parent", "upper_sibling"))))
+
+
+@query("q_bound_violations", f"{bounds_sql(BOUND_SETS)} select count(case when {_low} > sum_h - hs + 1e-9 or {_high} < sum_h - hs - 1e-9 then 1 end) as violations from x")
 def q_bound_violations(spark, sf):
     b = _bounds(spark, sf)
     low, high = F.greatest("lower_ancestor", "lower_monotone", "lower_sibling"), F.least("upper_parent", "upper_sibling")
     return b.filter((low > F.col("tc") + 1e-9) | (high < F.col("tc") - 1e-9)).agg(F.count("*").alias("violations"))
 
 
-@query("q_bound_gap")
+@query("q_bound_gap", f"{bounds_sql(BOUND_SETS)} select 3 as ord, {r6(f'avg({_high} - (sum_h - hs))')} as upper_gap, {r6(f'avg((sum_h - hs) - {_low})')} as lower_gap, count(*) as sets from x")
 def q_bound_gap(spark, sf):
     return evaluation.bound_gap(_bounds(spark, sf)).select("ord", rounded(F.col("upper_gap")).alias("upper_gap"), rounded(F.col("lower_gap")).alias("lower_gap"), "sets")
 
@@ -456,36 +482,32 @@ def _product_sql(s) -> str:
 def q_sample_rule(spark, sf):
     frame = v1(spark, sf)
     sets = spark.createDataFrame([(list(s),) for s in LARGE], "s array<int>")
-    from assocmine.functions.expressions import product
-
-    return sets.filter(F.lit(float(frame.n)) >= 5.0 * product(significance.states_array(frame, F.col("s")))).select(set_id(F.col("s")).alias("set_id"))
+    return sets.filter(lattice.enough_samples(frame, F.col("s"))).select(set_id(F.col("s")).alias("set_id"))
 
 
 @query("q_children", "with p as (select a, b from range(0, 9) x(a) join range(0, 9) y(b) on a < b) select a || ',' || b as parent, a || ',' || b || ',' || c as set_id from p join range(0, 9) z(c) on c > b")
 def q_children(spark, sf):
     frame = v1(spark, sf)
-    parents = spark.createDataFrame([(list(s),) for s in PAIRS], "p array<int>")
-    later = frame.attributes().select("idx")
-    grown = parents.join(later, F.col("idx") > F.element_at("p", -1))
-    return grown.select(set_id(F.col("p")).alias("parent"), set_id(F.array_append("p", F.col("idx"))).alias("set_id"))
+    grown = lattice.children(metrics.table(frame, PAIRS).select("g", "s"), frame.attributes())
+    return grown.select(set_id(F.col("parent")).alias("parent"), set_id(F.col("s")).alias("set_id"))
 
 
-@query("q_subsets", "select set_id, count(*) as subsets, cast(3 as bigint) as immediate from (values " + subset_values(TRIPLES[:10]) + ") t(set_id, t, sign) group by set_id")
+@query("q_subsets", "select set_id, count(*) as subsets, cast(3 as bigint) as immediate from (values " + subset_values(TRIPLES) + ") t(set_id, t, sign) group by set_id")
 def q_subsets(spark, sf):
-    sets = spark.createDataFrame([(list(s),) for s in TRIPLES[:10]], "s array<int>")
+    sets = metrics.table(v1(spark, sf), TRIPLES)
     return sets.select(set_id(F.col("s")).alias("set_id"), F.size(subsets(F.col("s"))).cast("long").alias("subsets"), F.size(immediate_subsets(F.col("s"))).cast("long").alias("immediate"))
 
 
 def definition_sql(kind: str) -> str:
-    """Core or extension sets of order two and three of the lineitem view at sf0.01, from zones of all subsets."""
-    trip = ", ".join(f"('{name_of(s)}', '{name_of(t)}')" for s in TRIPLES for t in combinations(s, 2))
-    gains = ", ".join(f"('{name_of(s)}', '{name_of(t)}', {critical_bits(float((V1_STATES[t[0]] * V1_STATES[t[1]] - 1) * (V1_STATES[(set(s) - set(t)).pop()] - 1)), N1, 1e-8)!r})" for s in TRIPLES for t in combinations(s, 2))
-    counted = f"""with {zone_cte(PAIRS + TRIPLES)}, sub(set_id, t) as (values {trip}), cut(set_id, t, gain_at) as (values {gains}),
- k as (select sub.set_id, count(case when y.zone = 'STRONG' then 1 end) as strong, count(case when y.zone = 'WEAK' then 1 end) as weak, max(case when y.zone = 'STRONG' then y.tc end) as sub_tc, max(case when y.zone = 'STRONG' then sub.t end) as sub_t
-  from sub join z y on y.set_id = sub.t group by sub.set_id)"""
+    """Core or extension sets of order two and three of the lineitem view, from zones of all subsets."""
+    gain_df = lambda s, t: (V1_STATES[t[0]] * V1_STATES[t[1]] - 1) * (V1_STATES[(set(s) - set(t)).pop()] - 1)
+    trip = ", ".join(f"('{name_of(s)}', '{name_of(t)}', {float(gain_df(s, t))})" for s in TRIPLES for t in combinations(s, 2))
+    counted = f"""with {zone_cte(PAIRS + TRIPLES, [gain_df(s, t) for s in TRIPLES for t in combinations(s, 2)])}, sub(set_id, t, df) as (values {trip}),
+ k as (select sub.set_id, count(case when y.zone = 'STRONG' then 1 end) as strong, count(case when y.zone = 'WEAK' then 1 end) as weak, max(case when y.zone = 'STRONG' then y.tc end) as sub_tc, max(case when y.zone = 'STRONG' then cut.strong_at end) as gain_at
+  from sub join z y on y.set_id = sub.t join cut using (df) group by sub.set_id)"""
     if kind == "core":
         return f"{counted} select z.set_id, {r6('tc')} as bits from z left join k using (set_id) where zone = 'STRONG' and (k.set_id is null or weak = 3)"
-    return f"{counted} select z.set_id, {r6('tc')} as bits from z join k using (set_id) join cut on cut.set_id = k.set_id and cut.t = k.sub_t where zone = 'STRONG' and strong = 1 and weak = 2 and tc - sub_tc > gain_at"
+    return f"{counted} select z.set_id, {r6('tc')} as bits from z join k using (set_id) where zone = 'STRONG' and strong = 1 and weak = 2 and tc - sub_tc > gain_at"
 
 
 def _kept(m: mining.Mined, kind: str) -> DataFrame:
@@ -502,26 +524,57 @@ def q_mine_definition(spark, sf):
     return _kept(mining.mine_correlation(v1(spark, sf), max_order=3, rule="definition"), "core")
 
 
-@query("q_mine_natural", "select '7,8' as set_id, 'core' as kind")
+V1_CODES = f"""v as ({views.view_sql('lineitem')}), r as (select {", ".join(f"dense_rank() over (order by {n}) - 1 as {n}" for n in V1_NAMES)} from v), d as (select 0 as g, {o.packed(V1_NAMES, 3)} as code from r)"""
+V1_LATTICE = o.Lattice(V1_STATES, N1, 3, bits=3)
+NATURAL_SQL = f"with {V1_CODES},\n {V1_LATTICE.search()}\nselect set_id, kind, {r6('bits')} as bits from found"
+
+
+@query("q_mine_natural", NATURAL_SQL)
 def q_mine_natural(spark, sf):
-    return mining.mine_correlation(v1(spark, sf), max_order=3).table().select(set_id(F.col("members")).alias("set_id"), "kind")
+    return mining.mine_correlation(v1(spark, sf), max_order=3).table().select(set_id(F.col("members")).alias("set_id"), "kind", rounded(F.col("bits")).alias("bits"))
 
 
-@query("q_mine_report")
+@query("q_mine_lattice", NATURAL_SQL)
+def q_mine_lattice(spark, sf):
+    """The same search with its lattice in tables."""
+    return lattice.mine(v1(spark, sf), max_order=3)[0].select(set_id(F.col("members")).alias("set_id"), "kind", rounded(F.col("bits")).alias("bits"))
+
+
+@query(
+    "q_mine_report",
+    f"""with {V1_CODES},\n {V1_LATTICE.search()},
+ below2 as (select count(*) as children, count(*) as fit, count(case when kind is not null then 1 end) as kept, count(case when front then 1 end) as frontier from l2),
+ below3 as (select count(*) as children, count(*) as fit, count(case when kind is not null then 1 end) as kept, count(case when front then 1 end) as frontier from l3)
+select 2 as level, children, cast(0 as bigint) as cut_samples, fit as judged, kept, frontier from below2 union all select 3, children, cast(0 as bigint), fit, kept, frontier from below3""",
+)
 def q_mine_report(spark, sf):
+    """Cost of the search by level; every child is cut by the sample rule, decided by a bound, or counted."""
+    report = mining.mine_correlation(v1(spark, sf), max_order=3, bounds=False).report()
+    return report.select("level", "children", "cut_samples", F.col("exact").alias("judged"), "kept", "frontier")
+
+
+@query("q_bound_decisions")
+def q_bound_decisions(spark, sf):
+    """How many children of each level bounds decide, by case, and how many are counted."""
     return mining.mine_correlation(v1(spark, sf), max_order=3).report().withColumn("decided_by_bound", F.to_json("decided_by_bound"))
 
 
-@query("q_tree_vs_definition")
+@query("q_tree_vs_definition", "select cast(count(*) as bigint) as differences from range(0)")
 def q_tree_vs_definition(spark, sf):
-    frame = planted.epistasis(spark, sf, [0, 1])
-    return mining.differences(mining.mine_correlation(frame, max_order=3), mining.exhaustive(frame, max_order=3)).select("g", set_id(F.col("members")).alias("set_id"), "kind", "in_a", "in_b")
+    """In pure epistasis the tree rule and the definition give the same sets in every data set."""
+    frame = planted.epistasis(spark, sf, None)
+    keys = ["g", "members", "kind"]
+    tree, whole = (materialize(mining.mine_each(frame, max_order=3, rule=rule).select(*keys), f"{rule}-sets") for rule in ("tree", "definition"))
+    return tree.exceptAll(whole).unionByName(whole.exceptAll(tree)).agg(F.count("*").alias("differences"))
 
 
-@query("q_siblings_same_result", "select cast(0 as bigint) as differences")
+@query("q_siblings_same_result", "select cast(count(*) as bigint) as differences from range(0)")
 def q_siblings_same_result(spark, sf):
-    frame = planted.noisy_xor(spark, sf, [0, 1])
-    return mining.differences(mining.mine_correlation(frame, siblings=True), mining.mine_correlation(frame, bounds=False)).agg(F.count("*").alias("differences"))
+    """Sibling bounds change no result, in any data set of noisy exclusive-or."""
+    frame = planted.noisy_xor(spark, sf, None)
+    keys = ["g", "members", "kind"]
+    with_siblings, plain = (materialize(mining.mine_each(frame, max_order=4, **options).select(*keys), "found-sets") for options in ({"siblings": True}, {"bounds": False}))
+    return with_siblings.exceptAll(plain).unionByName(plain.exceptAll(with_siblings)).agg(F.count("*").alias("differences"))
 
 
 # --- interactions and permutations ---------------------------------------------------------------------------------
@@ -545,43 +598,18 @@ def q_ii_mine_class(spark, sf):
 # --- baselines and measures ------------------------------------------------------------------------------------
 
 
-@query("q_hard_threshold", f"select set_id, {r6('tc')} as bits from ({tc_sql(PAIRS).replace('round(sum_h - h, 6) + 0.0 as tc', 'sum_h - h as tc')}) where tc >= 0.005")
-def q_hard_threshold(spark, sf):
-    """Low cut-offs, so that the natural view has a strong pair; supersets of it are not explored."""
-    return baselines.hard_threshold(v1(spark, sf), alpha=0.0049, beta=0.005, max_order=2).select(set_id(F.col("members")).alias("set_id"), rounded(F.col("bits")).alias("bits"))
-
-
-@query("q_pruning_modes")
-def q_pruning_modes(spark, sf):
-    """Search cost of the four choices of prunings on the small runtime workload with 40 attributes removed."""
-    return evaluation.runtime_curve(lambda rep: planted.runtime_small(spark, sf, rep), [40], 1, max_order=3).drop("seconds")
-
-
-@query("q_pruning_modes_class")
-def q_pruning_modes_class(spark, sf):
-    return evaluation.runtime_curve(lambda rep: planted.runtime_small(spark, sf, rep), [40], 1, mode="cac", max_order=3).drop("seconds")
-
+_inside = ", ".join(f"('{name_of(s)}', '{name_of(t)}')" for s in TRIPLES for t in combinations(s, 2))
 
-@query("q_runtime_large")
-def q_runtime_large(spark, sf):
-    frame = planted.runtime_large(spark, sf)
-    found, reduced = evaluation.ablation(frame.select(list(frame.predictors)[:30]), "tc", "both", max_order=3)
-    return found.report().withColumn("decided_by_bound", F.to_json("decided_by_bound")).withColumn("attributes", F.lit(len(reduced.names)))
 
-
-@query("q_case_study")
-def q_case_study(spark, sf):
-    """Cover groups, class search and recovered sets of the case-study frame."""
-    frame = planted.case_study(spark, sf)
-    found, significant, groups = interactions.pipeline(frame, "cac", alpha_high=1e-4, max_order=2)
-    reduced = redundancy.apply(frame, groups)
-    sets = [tuple(r["s"]) for r in significant.select("s").collect()]
-    back = interactions.recover(frame, reduced, sets, groups)
-    names = F.array(*[F.lit(n) for n in frame.names])
-    short = F.array(*[F.lit(n) for n in reduced.names])
-    spell = lambda s, table: F.array_join(F.transform(s, lambda i: F.element_at(table, i + 1)), ",")
-    mined = significant.select(F.lit("mined").alias("step"), spell(F.col("s"), short).alias("members"), rounded(F.col("ii")).alias("ii"))
-    return mined.unionByName(back.select(F.lit("recovered").alias("step"), spell(F.col("s"), names).alias("members"), rounded(F.col("ii")).alias("ii")))
+@query(
+    "q_hard_threshold",
+    f"""with q as ({tc_sql(PAIRS + TRIPLES).replace('round(sum_h - h, 6) + 0.0 as tc', 'sum_h - h as tc')}), sub(set_id, t) as (values {_inside}),
+ open as (select sub.set_id from sub join q on q.set_id = sub.t group by sub.set_id having max(tc) <= 0.0049)
+select set_id, {r6('tc')} as bits from q where tc >= 0.005 and (length(set_id) = 3 or set_id in (select set_id from open))""",
+)
+def q_hard_threshold(spark, sf):
+    """Low cut-offs, so that the natural view has a strong pair; supersets of it are not explored."""
+    return baselines.hard_threshold(v1(spark, sf), alpha=0.0049, beta=0.005, max_order=3).select(set_id(F.col("members")).alias("set_id"), rounded(F.col("bits")).alias("bits"))
 
 
 # --- views, treatment of gaps, streams -----------------------------------------------------------------------------
@@ -606,7 +634,14 @@ for _view in ("star", "part", "documents", "events"):
     QUERIES[f"q_{_view}_view"], ORACLES[f"q_{_view}_view"] = _view_tc(_view)
 
 
-@query("q_embedding_signs")
+@query(
+    "q_embedding_signs",
+    f"""with x as (select vec_id, label, i, cast(embedding[i + 1] >= 0 as int) as bit from embeddings cross join range(0, 58) r(i)),
+ hl as (select log2(sum(n)) - sum(n * log2(n)) / sum(n) as h from (select label, count(*) as n from embeddings group by label)),
+ hb as (select i, log2(sum(n)) - sum(n * log2(n)) / sum(n) as h from (select i, bit, count(*) as n from x group by 1, 2) group by i),
+ hj as (select i, log2(sum(n)) - sum(n * log2(n)) / sum(n) as h from (select i, bit, label, count(*) as n from x group by 1, 2, 3) group by i)
+select i || ',58' as set_id, {r6('hb.h + hl.h - hj.h')} as mi from hb join hj using (i) cross join hl""",
+)
 def q_embedding_signs(spark, sf):
     frame = views.embedding_signs(spark, sf, 58)
     sets = [(i, frame.class_at) for i in frame.predictors]
@@ -654,13 +689,38 @@ def q_windowed_tc(spark, sf):
     return windows.window_tc(cells).select("window_start", "n", rounded(F.col("tc")).alias("tc"))
 
 
-@query("q_sessions")
+@query(
+    "q_sessions",
+    """with x as (select *, case when ts - lag(ts) over (partition by user_id order by ts) < interval 30 minutes then 0 else 1 end as fresh from events),
+ y as (select *, sum(fresh) over (partition by user_id order by ts rows unbounded preceding) as nth from x)
+select user_id, min(ts) as session_start, max(ts) + interval 30 minutes as session_end, count(*) as events, min(event_type) as event_type from y group by user_id, nth""",
+)
 def q_sessions(spark, sf):
     from assocmine.streaming import windows
 
     return windows.session_counts(spark.read.parquet(f"{sf}/events.parquet"), "user_id", {"event_type": F.col("event_type")})
 
 
+@query("q_stream_tc", ORACLES["q_windowed_tc"])
+def q_stream_tc(spark, sf):
+    """Windowed TC by a stream over the events, run until all of them are read."""
+    from assocmine.streaming import windows
+
+    attributes = {"a": F.col("event_type"), "b": F.floor(F.hour("ts") / 6)}
+    cells = windows.run_to_end(windows.cell_counts(windows.event_stream(spark, f"{sf}/events.parquet"), attributes, [("a",), ("b",), ("a", "b")]), "complete")
+    return windows.window_tc(cells).select("window_start", "n", rounded(F.col("tc")).alias("tc"))
+
+
+@query("q_stream_drift", f"with w as ({ORACLES['q_windowed_tc']}), x as (select window_start, tc, lag(tc) over (order by window_start) as before from w) select window_start, before, tc, coalesce(abs(tc - before) > 0.01, false) as drift from x")
+def q_stream_drift(spark, sf):
+    """Windows whose TC moved by more than 0.01 bits since the window before, by a stream with state."""
+    from assocmine.streaming import windows
+
+    tc = materialize(q_stream_tc(spark, sf).withColumn("set_id", F.lit("a,b")), "window-tc")
+    stream = spark.readStream.schema(tc.schema).parquet(tc.inputFiles()[0].rsplit("/", 1)[0])
+    return windows.run_to_end(windows.drift(stream, 0.01), "append").select("window_start", rounded(F.col("before")).alias("before"), "tc", "drift")
+
+
 @query("q_association_scan", tc_sql([s for s in combinations((0, 1, 8), 2)]))
 def q_association_scan(spark, sf):
     """The SQL table function over collapsed rows of three attributes; names are positions in the handed-in array."""

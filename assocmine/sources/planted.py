@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from assocmine.functions.expressions import genotype, uniform
+from assocmine.plans.materialize import materialize
 from assocmine.sources import discretize
 from assocmine.sources.frame import Frame, dense, encode
 
@@ -130,9 +131,17 @@ def class_copies(spark: SparkSession, sf_dir: str, reps: list[int] | None) -> Fr
     return _coded(class_copies_table(spark, sf_dir, reps), _attributes(), "c")
 
 
-def block_table(spark: SparkSession, sf_dir: str, reps: list[int], n_attributes: int, cases: int, controls: int, gaps: float = 0.0) -> DataFrame:
+#: Consecutive customers that give one data set of 26 + 65 and of 144 + 243 rows.
+SMALL_KEYS, LARGE_KEYS = 200, 600
+
+
+def block_table(spark: SparkSession, sf_dir: str, reps: list[int] | None, n_attributes: int, cases: int, controls: int, gaps: float = 0.0, size: int | None = None) -> DataFrame:
     """ternary attributes in blocks of four that copy their leader with growing errors, a class, and gaps."""
-    df = _keys(spark, sf_dir, "customer", "c_custkey", None, reps)
+    if reps is not None:
+        df = _keys(spark, sf_dir, "customer", "c_custkey", None, reps)
+    else:
+        keys = spark.read.parquet(f"{sf_dir}/customer.parquet").select(F.col("c_custkey").alias("key"))
+        df = keys.withColumn("rep", F.lit(0)).withColumn("g", F.floor(F.col("key") / size))
     names = _attributes(n_attributes)
     columns = {}
     for i, name in enumerate(names):
@@ -145,24 +154,30 @@ def block_table(spark: SparkSession, sf_dir: str, reps: list[int], n_attributes:
     df = df.withColumn("c", (_u("c") < F.array(*map(F.lit, (0.25, 0.5, 0.75)))[F.col("a1")] + even).cast("int"))
     if gaps:
         df = df.withColumns({name: F.when(_u(f"n{i}") >= gaps, F.col(name)) for i, name in enumerate(names, 1)})
-    return discretize.balanced(df, ["rep"], "c", "key", {1: cases, 0: controls})
+    return discretize.balanced(df, ["g"], "c", "key", {1: cases, 0: controls})
 
 
-def runtime_small(spark: SparkSession, sf_dir: str, rep: int = 0) -> Frame:
-    """58 attributes, 26 + 65 rows."""
-    return encode(block_table(spark, sf_dir, [rep], 58, 26, 65), _attributes(58), "c", keep=["key"])
+def runtime_small(spark: SparkSession, sf_dir: str, rep: int | None = 0) -> Frame:
+    """58 attributes, 26 + 65 rows; with None, a data set of every range of customers that has so many of each class."""
+    names = _attributes(58)
+    if rep is not None:
+        return encode(block_table(spark, sf_dir, [rep], 58, 26, 65), names, "c", keep=["key"])
+    return _coded(_complete(block_table(spark, sf_dir, None, 58, 26, 65, size=SMALL_KEYS), 91), names, "c")
 
 
-def runtime_large(spark: SparkSession, sf_dir: str, rep: int = 0) -> Frame:
-    """103 attributes, 144 + 243 rows, gaps imputed with the mode."""
+def runtime_large(spark: SparkSession, sf_dir: str, rep: int | None = 0) -> Frame:
+    """103 attributes, 144 + 243 rows, gaps imputed with the mode; with None as :func:`runtime_small`."""
     names = _attributes(103)
-    return encode(discretize.impute_mode(block_table(spark, sf_dir, [rep], 103, 144, 243, 0.03), names), names, "c", keep=["key"])
+    if rep is not None:
+        return encode(discretize.impute_mode(block_table(spark, sf_dir, [rep], 103, 144, 243, 0.03), names), names, "c", keep=["key"])
+    full = materialize(_complete(block_table(spark, sf_dir, None, 103, 144, 243, 0.03, LARGE_KEYS), 387), "gapped")
+    return _coded(discretize.impute_mode(full, names), names, "c")
 
 
 def case_study(spark: SparkSession, sf_dir: str, attributes: int = 40, cases: int = 58, controls: int = 92) -> Frame:
-    """The attributes with fewest gaps, rows without gaps among them, and a fixed number of cases and controls."""
+    """The attributes with fewest gaps, rows without gaps among them, and the experiment's number of cases and controls."""
     names = _attributes(103)
-    df = block_table(spark, sf_dir, [0], 103, 10**6, 10**6, 0.03)
+    df = materialize(block_table(spark, sf_dir, [0], 103, 10**6, 10**6, 0.03), "gapped")
     share = df.agg(*(F.sum(F.col(c).isNull().cast("int")).alias(c) for c in names)).first()
     kept = sorted(sorted(names, key=lambda c: (share[c], int(c[1:])))[:attributes], key=lambda c: int(c[1:]))
     complete = discretize.drop_gap_rows(df, kept)

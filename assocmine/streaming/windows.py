@@ -9,10 +9,34 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from assocmine.functions.expressions import entropy_bits
+from assocmine.plans.materialize import fresh_path
+
+
+def event_stream(spark: SparkSession, path: str) -> DataFrame:
+    """A file table, a folder or a single file, as a stream with the table's schema."""
+    reader = spark.readStream.schema(spark.read.parquet(path).schema)
+    target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    if target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getFileStatus(target).isDirectory():
+        return reader.parquet(path)
+    folder, _, name = path.rpartition("/")
+    return reader.option("pathGlobFilter", name).parquet(folder)
+
+
+def run_to_end(stream: DataFrame, mode: str) -> DataFrame:
+    """What a stream has put out when all that is there has been read; written in the shared folder. In mode "complete" the last batch counts."""
+    spark = stream.sparkSession
+    out, state = fresh_path(spark, "stream-out"), fresh_path(spark, "stream-state")
+
+    def each(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite" if mode == "complete" else "append").parquet(out)
+
+    query = stream.writeStream.outputMode(mode).foreachBatch(each).option("checkpointLocation", state).trigger(availableNow=True).start()
+    query.awaitTermination()
+    return spark.read.schema(stream.schema).parquet(out)
 
 
 def cell_counts(rows: DataFrame, attributes: dict[str, Column], sets: list[tuple[str, ...]], ts: str = "ts", length: str = "1 day", slide: str | None = None, watermark: str = "1 hour") -> DataFrame:
