@@ -2,6 +2,7 @@
 
 import math
 import random
+import time
 import warnings
 from itertools import combinations
 
@@ -238,3 +239,59 @@ def test_sources_round_trip(spark, tmp_path):
     found = mining.mine_correlation(planted.epistasis(spark, SF, [0]), max_order=2)
     tables.write_result(found.table(), str(tmp_path / "result"))
     assert spark.read.parquet(str(tmp_path / "result")).filter("ord = 2").count() == 1
+
+
+def test_exact_pairs_and_early_stop(spark):
+    """Enumerated p of a 2 x 2 table, and draws that end early without changing what is significant."""
+    rows = [(0, 0)] * 30 + [(0, 1)] * 12 + [(1, 0)] * 9 + [(1, 1)] * 29
+    frame = small(spark, rows)
+    exact = permutation.exact_pairs(frame, [(0, 1)]).first()
+    r, c, n = 38, 41, 80
+    chance = lambda k: math.comb(r, k) * math.comb(n - r, c - k) / math.comb(n, c)
+    info = lambda k: metrics_of_table([n - r - c + k, c - k, r - k, k])
+    want = sum(chance(k) for k in range(max(0, r + c - n), min(r, c) + 1) if info(k) >= info(29) - 1e-12)
+    assert exact.p == pytest.approx(want, rel=1e-6) and exact.ii == pytest.approx(info(29), abs=1e-9)
+    drawn = permutation.fast(frame, [(0, 1)], 4000).first()
+    assert abs(drawn.p - want) <= 5 * math.sqrt(max(want, 1e-4) / 4000)
+
+
+def metrics_of_table(cells):
+    n, total = np.array(cells, dtype=float).reshape(2, 2), sum(cells)
+    h = lambda x: math.log2(total) - float((x[x > 0] * np.log2(x[x > 0])).sum()) / total
+    return h(n.sum(axis=0)) + h(n.sum(axis=1)) - h(n.ravel())
+
+
+def test_each_equals_passes_over_the_frame(spark):
+    """One task a data set gives what the search over the whole frame gives, and reduces every data set by itself."""
+    frame = planted.class_copies(spark, SF, [0, 1])
+    whole = mining.mine_class_correlation(frame, max_order=2)
+    each = {(r.g, tuple(r.members), r.kind) for r in mining.mine_each(frame, "cac", max_order=2).collect()}
+    assert each == {(g, s, f.kind) for g, found in whole.result.items() for s, f in found.items()}
+    reduced = mining.mine_each(frame, "cac", delta=0.75)
+    assert {(r.g, tuple(r.members)) for r in reduced.collect()} == {(g, s) for g in (0, 1) for s in ((0,), (2,), (0, 1))}
+    own = {(r.g, r.rep): list(r.covered) for r in redundancy.representatives_each(frame).collect()}
+    assert all(own[g, 0] == [0, 5] and own[g, 1] == [1, 6] and own[g, 2] == [2, 7] for g in (0, 1)) and len(own) == 24
+    assert baselines.hard_threshold_each(frame, max_order=2).count() == baselines.hard_threshold(frame, max_order=2).count()
+
+
+def test_two_step_strategy_finds_the_planted_sets(spark):
+    """Significant II at 10,000 draws and level 1e-4, no row filtered: the planted sets and next to nothing else."""
+    frame = planted.noisy_xor(spark, SF, list(range(4)))
+    found = interactions.pipeline_each(frame, delta=None).collect()
+    hits = {(r.g, tuple(r.s)) for r in found}
+    planted_hits = {(g, s) for g in range(4) for s in planted.XOR_TRUTH}
+    assert len(hits & planted_hits) >= 10 and len(hits - planted_hits) <= 4
+
+
+def test_late_rows_are_dropped(spark, tmp_path):
+    from assocmine.streaming import windows
+
+    rows = lambda *days: spark.createDataFrame([(f"2024-01-{d:02d} 12:00:00", "x", "y") for d in days], "ts string, a string, b string").withColumn("ts", F.col("ts").cast("timestamp")).coalesce(1)
+    source = str(tmp_path / "late")
+    rows(1, 5, 9).write.parquet(source)
+    for batch in ((10,), (2, 20)):  # rows are late by the watermark that the batch before last has set: day 2 is by then
+        time.sleep(1.1)
+        rows(*batch).write.mode("append").parquet(source)
+    stream = tables.read_stream(spark, source, "ts timestamp, a string, b string", 1)
+    cells = windows.run_to_end(windows.cell_counts(stream, {"a": F.col("a"), "b": F.col("b")}, [("a",)]), "append")
+    assert {r.window_start.day for r in cells.collect()} == {1, 5, 9, 10}
