@@ -65,7 +65,7 @@ def q_mine_tree(spark, sf):
 XOR_FAMILY = closed(o.Lattice((2,) * 15, 200, 5), o.XOR_SETS)
 PARTNERS = {s[0]: s[1:] for s in o.XOR_SETS}
 _sets = o.values((o.name_of(s),) for s in o.XOR_SETS)
-_noise = "[" + ", ".join(map(str, o.NOISE)) + "][cast(g // 1000000000000 as int) + 1]"
+_noise = "[" + ", ".join(f"{x}e0" for x in o.NOISE) + "][cast(g // 1000000000000 as int) + 1]"
 NOISE_SQL = f"""with {o.xor_cte()}, groups as (select distinct g from d), want(set_id) as (values {_sets}),
 a as (with {XOR_FAMILY.search()} select 'search' as method, g, set_id from found semi join want using (set_id)),
 b as (with {XOR_FAMILY.hard_threshold()} select 'hard threshold' as method, g, set_id from found semi join want using (set_id)),
