@@ -38,7 +38,9 @@ from assocmine.plans.materialize import materialize, ship_package
 
 SCALE, TOP = 1024, 10
 #: Rows of a page (on average), entries of a leaf, children of a node.
-PAGE, LEAF, FANOUT = 4_096, 32, 16
+PAGE, LEAF, FANOUT = 4_096, 128, 16
+#: Leaves that are scored at once, when scoring the most promising ones has not raised the bar.
+MOST_LEAVES = 32
 #: Most pivots of the root, and rows that they are chosen from.
 ROOTS, ROOT_SAMPLE = 256, 4_096
 #: Bytes of query vectors in a wave: what is broadcast at once.
@@ -129,9 +131,9 @@ class Tree:
                 owner[closer], nearest[closer] = len(pivots) - 1, d[closer]
         return [(members[owner == k], p) for k, p in enumerate(pivots) if (owner == k).any()]
 
-    def scores(self, first: int, last: int, keep: np.ndarray | None, query: np.ndarray) -> np.ndarray:
+    def scores(self, entries: np.ndarray, query: np.ndarray) -> np.ndarray:
         """Exact inner products as 64-bit integers."""
-        x = self.x[first:last] if keep is None else self.x[first:last][keep]
+        x = self.x[entries]
         if float(np.abs(query).max(initial=0.0)) * self.largest * len(query) < EXACT:
             return (x @ query).astype(np.int64)
         q = [int(c) for c in query]
@@ -157,15 +159,21 @@ class Tree:
             return half - np.maximum(0.0, distance) ** 2 / 2 + slack
 
         best: list[tuple[int, int]] = []  # min-heap of (score, -vec_id)
-        scored = 0
+        scored, room = 0, 1
+        leaves: list[tuple[int, float]] = []  # the most promising ones, to be scored at once
         first = float(np.sqrt(((self.pivots[0] - q) ** 2).sum()))
         queue = [(-float(most(first - self.radius[0])), 0, first)]
-        while queue:
-            bound, node, away = heapq.heappop(queue)
-            if -bound < bar:
-                break
-            lo, hi = self.child[node]
-            if hi > lo:  # stored distances to the parent rule children out before theirs are computed
+        while queue or leaves:
+            while queue and len(leaves) < room:
+                bound, node, away = heapq.heappop(queue)
+                if -bound < bar:
+                    queue.clear()
+                    break
+                lo, hi = self.child[node]
+                if hi == lo:
+                    leaves.append((node, away))
+                    continue
+                # stored distances to the parent rule children out before theirs are computed
                 at = lo + np.flatnonzero(most(np.abs(away - self.to_parent[lo:hi]) - self.radius[lo:hi]) >= bar)
                 if len(at):
                     d = np.sqrt(((self.pivots[at] - q) ** 2).sum(axis=1))
@@ -173,12 +181,13 @@ class Tree:
                     for child, dist, ub in zip(at.tolist(), d.tolist(), bounds.tolist()):
                         if ub >= bar:
                             heapq.heappush(queue, (-ub, child, dist))
-                continue
-            lo, hi = self.entry[node]
-            keep = most(np.abs(away - self.entry_distance[lo:hi])) >= bar
-            if not keep.any():
-                continue
-            found, names = self.scores(lo, hi, keep, query), self.ids[lo:hi][keep]
+            if not leaves:
+                break
+            entries = np.concatenate([np.arange(*self.entry[node]) for node, _ in leaves])
+            away = np.repeat([d for _, d in leaves], [self.entry[node][1] - self.entry[node][0] for node, _ in leaves])
+            leaves = []
+            entries = entries[most(np.abs(away - self.entry_distance[entries])) >= bar]
+            found, names, before = self.scores(entries, query), self.ids[entries], bar
             scored += len(names)
             good = (found >= bar) & (names != own)
             for score, vec_id in zip(found[good].tolist(), names[good].tolist()):
@@ -186,8 +195,9 @@ class Tree:
                     heapq.heappush(best, (score, -vec_id))
                 elif (score, -vec_id) > best[0]:
                     heapq.heapreplace(best, (score, -vec_id))
-                if len(best) == k:
-                    bar = max(bar, best[0][0])
+            if len(best) == k:
+                bar = max(bar, best[0][0])
+            room = min(2 * room, MOST_LEAVES) if bar == before else room  # the bar stands: more leaves at once
         return [(score, -minus) for score, minus in sorted(best, reverse=True)], scored
 
 
