@@ -399,7 +399,9 @@ def mine_each(frame: Frame, mode: str = "tc", delta: float | None = None, greedy
     """Results (as :meth:`Mined.table`) of every data set of the frame, each mined by one task.
 
     With ``delta`` each data set is first reduced by its own redundant attributes; members are indexes of the given frame.
+    Bounds are off unless asked for: they change no result, and in memory a count costs less than the bounds that may save it.
     """
+    options = {"bounds": bool(options.get("siblings")), **options}
     check_local(frame)
     ship_package(frame.spark)
     shape = shape_of(frame)
