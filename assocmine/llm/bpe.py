@@ -7,6 +7,7 @@ whatever their names, never clash with the results.
 
 from __future__ import annotations
 
+import ctypes
 import functools
 import re
 import struct
@@ -121,6 +122,15 @@ def small(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for start in range(0, batch.num_rows, ROWS_AT_ONCE):
             yield batch.slice(start, ROWS_AT_ONCE)
     pa.default_memory_pool().release_unused()
+    _trim()
+
+
+def _trim() -> None:
+    """Give the C heap's free pages back: a worker process that idles through the next stages keeps none of the texts' room."""
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # a C library without it
+        pass
 
 
 def utf8_values(column: pa.Array) -> list[bytes]:
