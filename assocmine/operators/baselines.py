@@ -7,7 +7,7 @@ from itertools import combinations
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from assocmine.operators.mining import Search, check_local, counter, in_memory
+from assocmine.operators.mining import LOCAL_ROWS, Search, check_local, counter, in_memory
 from assocmine.operators.significance import ALPHA_HIGH, ALPHA_LOW
 from assocmine.plans import counts
 from assocmine.plans.materialize import ship_package
@@ -61,39 +61,60 @@ def hard_threshold_each(frame: Frame, alpha: float = 0.2, beta: float = 0.8, max
     return frame.rows.select("g", "a", "w").groupBy("g").applyInArrow(one, SETS_SCHEMA)
 
 
-def pair_information(frame: Frame) -> dict[int, dict[tuple[int, int], float]]:
-    """Mutual information of all pairs of every data set: n squared numbers for n attributes."""
+RELEVANCE_SCHEMA = "g long, target string, rank int, attribute string, idx int, relevance double, score double"
+_RELEVANCE = pa.schema([("g", pa.int64()), ("target", pa.string()), ("rank", pa.int32()), ("attribute", pa.string()), ("idx", pa.int32()), ("relevance", pa.float64()), ("score", pa.float64())])
+
+
+def _pair_sets(frame: Frame) -> list[tuple[int, ...]]:
     n = len(frame.names)
-    ent = counts.entropies(frame, [(i,) for i in range(n)] + list(combinations(range(n), 2)))
-    h: dict[int, dict[tuple[int, ...], float]] = {}
-    for r in ent.collect():
-        h.setdefault(r["g"], {})[tuple(r["s"])] = r["h"]
-    return {g: {(i, j): t[(i,)] + t[(j,)] - t[(i, j)] for i, j in combinations(range(n), 2)} for g, t in h.items()}
+    return [(i,) for i in range(n)] + list(combinations(range(n), 2))
+
+
+def _choose(g: int, h: dict[tuple[int, ...], float], names: tuple[str, ...], targets: dict[int, int], form: str) -> list[tuple]:
+    """The selector's rows for one data set, from the entropies of its attributes and pairs."""
+    mi = {(i, j): h[(i,)] + h[(j,)] - h[(i, j)] for i, j in combinations(range(len(names)), 2)}
+    of = lambda i, j: mi[(min(i, j), max(i, j))]
+    rows = []
+    for c, most in targets.items():
+        chosen: list[int] = []
+        while len(chosen) < min(most, len(names) - 1):
+            best = None
+            for i in range(len(names)):
+                if i == c or i in chosen:
+                    continue
+                mean = sum(of(i, j) for j in chosen) / len(chosen) if chosen else 0.0
+                score = of(i, c) - mean if form == "difference" else of(i, c) / (mean + 1e-12) if chosen else of(i, c)
+                if best is None or score > best[0] + 1e-12:
+                    best = (score, i)
+            chosen.append(best[1])
+            rows.append((g, names[c], len(chosen), names[best[1]], best[1], of(best[1], c), best[0]))
+    return rows
 
 
 def relevance_targets(frame: Frame, targets: dict[int, int], form: str = "difference") -> DataFrame:
     """``g``, ``target``, ``rank``, ``attribute``, ``idx``, ``relevance``, ``score``: for each target as the class, with the number
     of attributes to choose, greedy choice by information with it, less (or over) the mean information with what is
-    chosen already. Ties go to the smallest index. One pass over the data serves all targets."""
+    chosen already. Ties go to the smallest index. Each data set is one task's, which counts it if it is small, else gets
+    its entropies: n squared numbers for n attributes. Nothing reaches the driver."""
     if form not in ("difference", "quotient"):
         raise ValueError("form is difference or quotient")
-    rows = []
-    for g, mi in sorted(pair_information(frame).items()):
-        of = lambda i, j: mi[(min(i, j), max(i, j))]  # noqa: B023, E731
-        for c, most in targets.items():
-            chosen: list[int] = []
-            while len(chosen) < min(most, len(frame.names) - 1):
-                best = None
-                for i in range(len(frame.names)):
-                    if i == c or i in chosen:
-                        continue
-                    mean = sum(of(i, j) for j in chosen) / len(chosen) if chosen else 0.0
-                    score = of(i, c) - mean if form == "difference" else of(i, c) / (mean + 1e-12) if chosen else of(i, c)
-                    if best is None or score > best[0] + 1e-12:
-                        best = (score, i)
-                chosen.append(best[1])
-                rows.append((g, frame.names[c], len(chosen), frame.names[best[1]], best[1], of(best[1], c), best[0]))
-    return frame.spark.createDataFrame(rows, "g long, target string, rank int, attribute string, idx int, relevance double, score double")
+    ship_package(frame.spark)
+    names, states, sets = frame.names, frame.states, _pair_sets(frame)
+
+    def chosen(g: int, h: dict[tuple[int, ...], float]) -> pa.Table:
+        rows = _choose(g, h, names, targets, form)
+        return pa.table([pa.array(c, f.type) for c, f in zip(list(zip(*rows)) or [()] * len(_RELEVANCE), _RELEVANCE)], schema=_RELEVANCE)
+
+    def count(table: pa.Table) -> pa.Table:
+        g, x, w = in_memory(table)
+        return chosen(g, {s: bits for s, bits, _ in counts.entropies_of(x, w, states, sets)})
+
+    def given(table: pa.Table) -> pa.Table:
+        return chosen(table.column("g")[0].as_py(), dict(zip(map(tuple, table.column("s").to_pylist()), table.column("h").to_pylist())))
+
+    if frame.n <= LOCAL_ROWS:
+        return frame.rows.select("g", "a", "w").groupBy("g").applyInArrow(count, RELEVANCE_SCHEMA)
+    return counts.entropies(frame, sets).select("g", "s", "h").groupBy("g").applyInArrow(given, RELEVANCE_SCHEMA)
 
 
 def relevance_redundancy(frame: Frame, class_at: int | None = None, n_select: int = 3, form: str = "difference") -> DataFrame:
