@@ -420,6 +420,25 @@ def mine_each(frame: Frame, mode: str = "tc", delta: float | None = None, greedy
     return frame.rows.select("g", "a", "w").groupBy("g").applyInArrow(run, RESULT_SCHEMA)
 
 
+_ZONES = pa.schema([("g", pa.int64()), ("s", pa.list_(pa.int32())), ("bits", pa.float64()), ("zone", pa.string())])
+
+
+def zones_each(frame: Frame, sets: list[Members], mode: str = "tc", alpha_high: float = ALPHA_HIGH, alpha_low: float = ALPHA_LOW) -> DataFrame:
+    """``g``, ``s``, ``bits``, ``zone`` of those of the given sets that are not WEAK, in every data set, one task each: no cells are shuffled."""
+    check_local(frame)
+    ship_package(frame.spark)
+    shape, wanted = shape_of(frame), sorted({tuple(sorted(s)) for s in sets})
+
+    def run(table: pa.Table) -> pa.Table:
+        g, x, w = in_memory(table)
+        search = Search(shape, mode, alpha_high, alpha_low, "product", 0.0, 2 * len(wanted) + len(shape.names) + 1, groups=[g], count=counter(g, x, w, shape.states))
+        search.evaluate({g: {*wanted, *((i,) for i in search.attributes)}})
+        rows = [(g, s, search.bits(g, s), zone) for s in wanted if (zone := search.settle(g, s)) != WEAK]
+        return pa.table([pa.array(c, f.type) for c, f in zip(list(zip(*rows)) or [()] * len(_ZONES), _ZONES)], schema=_ZONES)
+
+    return frame.rows.select("g", "a", "w").groupBy("g").applyInArrow(run, "g long, s array<int>, bits double, zone string")
+
+
 def mine_correlation(frame: Frame, **options) -> Mined:
     return mine(frame, "tc", **options)
 
