@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from assocmine.operators import metrics, permutation, redundancy
-from assocmine.operators.mining import Mined, check_local, counter, in_memory, shape_of, sub_frame
+from assocmine.operators.mining import Mined, check_local, counter, dealt, in_memory, shape_of, sub_frame
 from assocmine.operators.mining import mine as search
 from assocmine.plans import counts
 from assocmine.plans.materialize import materialize, ship_package
@@ -136,7 +136,7 @@ def pipeline_each(frame: Frame, mode: str = "tc", delta: float | None = redundan
                 rows.append((g, [kept[i] for i in s], ii, hits / done, done, "synergy" if ii > 1e-9 else "redundancy" if ii < -1e-9 else "none"))
         return pa.table([pa.array(c, f.type) for c, f in zip(list(zip(*rows)) or [()] * len(schema), schema)], schema=schema)
 
-    return frame.rows.select("g", "a", "w").groupBy("g").applyInArrow(run, II_SCHEMA)
+    return dealt(frame).applyInArrow(run, II_SCHEMA)
 
 
 def cumulative_spectrum(mined: DataFrame) -> DataFrame:

@@ -18,7 +18,7 @@ from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, GroupedData
 
 from assocmine.functions.gamma import critical_bits, log_p
 from assocmine.operators import bounds as B
@@ -395,6 +395,13 @@ def check_local(frame: Frame) -> None:
         raise ValueError(f"data sets of {frame.n} rows are mined by passes over the frame, not by one task each")
 
 
+def dealt(frame: Frame) -> GroupedData:
+    """The rows by data set, in as many tasks as the session shuffles to: few bytes a data set are much work, so tasks are not merged by size."""
+    spark = frame.spark
+    tasks = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 4 * spark.sparkContext.defaultParallelism)
+    return frame.rows.select("g", "a", "w").repartition(tasks, "g").groupBy("g")
+
+
 def mine_each(frame: Frame, mode: str = "tc", delta: float | None = None, greedy: str = "residual", **options) -> DataFrame:
     """Results (as :meth:`Mined.table`) of every data set of the frame, each mined by one task.
 
@@ -417,7 +424,7 @@ def mine_each(frame: Frame, mode: str = "tc", delta: float | None = None, greedy
         rows = [(g_, [kept[i] for i in s], *rest) for g_, s, *rest in found.rows()]
         return pa.table([pa.array(c, f.type) for c, f in zip(list(zip(*rows)) or [()] * len(_ARROW), _ARROW)], schema=_ARROW)
 
-    return frame.rows.select("g", "a", "w").groupBy("g").applyInArrow(run, RESULT_SCHEMA)
+    return dealt(frame).applyInArrow(run, RESULT_SCHEMA)
 
 
 _ZONES = pa.schema([("g", pa.int64()), ("s", pa.list_(pa.int32())), ("bits", pa.float64()), ("zone", pa.string())])
@@ -436,7 +443,7 @@ def zones_each(frame: Frame, sets: list[Members], mode: str = "tc", alpha_high:
         rows = [(g, s, search.bits(g, s), zone) for s in wanted if (zone := search.settle(g, s)) != WEAK]
         return pa.table([pa.array(c, f.type) for c, f in zip(list(zip(*rows)) or [()] * len(_ZONES), _ZONES)], schema=_ZONES)
 
-    return frame.rows.select("g", "a", "w").groupBy("g").applyInArrow(run, "g long, s array<int>, bits double, zone string")
+    return dealt(frame).applyInArrow(run, "g long, s array<int>, bits double, zone string")
 
 
 def mine_correlation(frame: Frame, **options) -> Mined:

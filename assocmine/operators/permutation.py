@@ -8,6 +8,7 @@ baseline: its rank of all rows is one window, and so one task, a data set; at sc
 
 from __future__ import annotations
 
+import functools
 from collections.abc import Iterator
 
 import numpy as np
@@ -60,9 +61,17 @@ def share(values: DataFrame, add_one: bool = False, tail: str = "upper", eps: fl
     return counted.select("g", F.col("t").alias("ii"), p.alias("p"), F.col("m").cast("int").alias("nperm"))
 
 
+#: Rows from which numpy refuses to draw a column at once.
+MOST_COLOURS = 10**9
+
+
 def resample(tables: np.ndarray, n_tables: int, rng: np.random.Generator) -> np.ndarray:
     """Random tables with the margins of ``tables`` (rows x columns), drawn cell by cell from hypergeometric laws."""
     rows, columns = tables.shape
+    if columns == 2 and tables.sum() < MOST_COLOURS:  # the first column decides the second: one call draws it
+        totals = tables.sum(axis=1)
+        first = rng.multivariate_hypergeometric(totals, int(tables[:, 0].sum()), size=n_tables)
+        return np.stack([first, totals - first], axis=2)
     left = np.broadcast_to(tables.sum(axis=0), (n_tables, columns)).copy()
     out = np.zeros((n_tables, rows, columns), dtype=np.int64)
     for r in range(rows):
@@ -82,17 +91,36 @@ def _plogp(x: np.ndarray) -> np.ndarray:
     return np.where(x > 0, x * np.log2(np.maximum(x, 1)), 0.0)
 
 
+#: Most rows of tables whose n log2 n are looked up.
+LOOKED_UP = 1 << 20
+
+
+@functools.lru_cache(maxsize=8)
+def _plogp_to(n: int) -> np.ndarray:
+    return _plogp(np.arange(n + 1))
+
+
+@functools.lru_cache(maxsize=1024)
+def _signs(shape: tuple[int, ...]) -> np.ndarray:
+    """1 for cells and -1 for sums along an axis, multiplied over the axes."""
+    out = np.ones(1)
+    for r in shape:
+        out = np.multiply.outer(out, np.append(np.ones(r), -1.0)).ravel()
+    return out
+
+
 def table_ii(tables: np.ndarray, shape: tuple[int, ...]) -> np.ndarray:
-    """II of count tables (many x cells) whose axes are the members of the set."""
-    k, n = len(shape), tables[0].sum()
+    """II of count tables (many x cells) whose axes are the members of the set.
+
+    Each axis gets its sum as one more place, so that all margins are cells of one table: II is the signed sum of their
+    n log2 n, over n.
+    """
+    n = int(tables[0].sum())
     cube = tables.reshape((-1, *shape))
-    ii = np.zeros(len(cube))
-    for mask in range(1, 1 << k):
-        gone = tuple(i + 1 for i in range(k) if not mask >> i & 1)
-        margin = cube.sum(axis=gone) if gone else cube
-        h = np.log2(n) - _plogp(margin.reshape(len(cube), -1)).sum(axis=1) / n
-        ii -= (-1) ** (k - bin(mask).count("1")) * h
-    return ii
+    for axis in range(1, len(shape) + 1):
+        cube = np.concatenate([cube, cube.sum(axis=axis, keepdims=True)], axis=axis)
+    flat = cube.reshape(len(cube), -1)
+    return (_plogp_to(n)[flat] if n <= LOOKED_UP else _plogp(flat)) @ _signs(shape) / n
 
 
 #: Tables drawn at once: few at first, as hopeless sets stop early, then more.
