@@ -7,7 +7,8 @@ from itertools import combinations
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from assocmine.operators.mining import LOCAL_ROWS, Search, check_local, counter, in_memory
+from assocmine.operators import local
+from assocmine.operators.mining import LOCAL_ROWS, Search, check_local, counter, dealt, in_memory
 from assocmine.operators.significance import ALPHA_HIGH, ALPHA_LOW
 from assocmine.plans import counts
 from assocmine.plans.materialize import ship_package
@@ -55,10 +56,13 @@ def hard_threshold_each(frame: Frame, alpha: float = 0.2, beta: float = 0.8, max
 
     def one(table: pa.Table) -> pa.Table:
         g, x, w = in_memory(table)
+        if local.fits(shape, "tc", max_order, min_ratio, min(local.MOST_SETS, max_sets)):
+            rows = [(g, list(s), [shape.names[i] for i in s], bits) for s, bits in local.hard_threshold(x, w, shape, alpha, beta, max_order, min_ratio)]
+            return pa.table([pa.array(c, f.type) for c, f in zip(list(zip(*rows)) or [()] * len(schema), schema)], schema=schema)
         rows = _hard_threshold(Search(shape, "tc", ALPHA_HIGH, ALPHA_LOW, "product", min_ratio, max_sets, groups=[g], count=counter(g, x, w, shape.states)), alpha, beta, max_order)
         return pa.table([pa.array(c, f.type) for c, f in zip(list(zip(*rows)) or [()] * len(schema), schema)], schema=schema)
 
-    return frame.rows.select("g", "a", "w").groupBy("g").applyInArrow(one, SETS_SCHEMA)
+    return dealt(frame).applyInArrow(one, SETS_SCHEMA)
 
 
 RELEVANCE_SCHEMA = "g long, target string, rank int, attribute string, idx int, relevance double, score double"

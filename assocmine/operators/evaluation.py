@@ -10,8 +10,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from assocmine.operators import interactions, redundancy
-from assocmine.operators.mining import Mined, check_local, counter, mine, shape_of, sub_frame
+from assocmine.operators import interactions, local, redundancy
+from assocmine.operators.mining import Mined, check_local, mine, shape_of, sub_frame
 from assocmine.plans.materialize import ship_package
 from assocmine.sources.discretize import random_removal
 from assocmine.sources.frame import Frame
@@ -65,7 +65,8 @@ def runtime_curve(frame: Frame, removals: Iterable[int], repeats: int, mode: str
     """Seconds and cost of search and interaction miner for every number of removed attributes, repeat and choice of prunings.
 
     Attributes are removed in the order of md5 hashes. Repeat r takes the frame's data set number r, from the first again
-    when all are used; there are as many repeats as data sets at least. Every run is one task over one data set.
+    when all are used; there are as many repeats as data sets at least. A run over one data set makes all choices of
+    prunings, each timed by itself; tasks take several runs where there are many.
     """
     check_local(frame)
     ship_package(frame.spark)
@@ -73,20 +74,26 @@ def runtime_curve(frame: Frame, removals: Iterable[int], repeats: int, mode: str
     groups = [r[0] for r in frame.rows.select("g").distinct().orderBy("g").collect()]
     if not groups:
         return frame.spark.createDataFrame([], RUNTIME)
-    grid = [(groups[rep % len(groups)], k, rep, prune) for k in removals for rep in range(max(repeats, len(groups))) for prune in modes]
-    asked = frame.spark.createDataFrame(grid, "g long, removed int, rep int, prune string")
+    grid = [(groups[rep % len(groups)], k, rep) for k in removals for rep in range(max(repeats, len(groups)))]
+    asked = frame.spark.createDataFrame(grid, "g long, removed int, rep int")
     packs = frame.rows.groupBy("g").agg(F.collect_list(F.struct("a", "w")).alias("rows"))
     fields = pa.schema([("removed", pa.int32()), ("rep", pa.int32()), ("prune", pa.string()), ("attributes", pa.int32()), ("after_redundancy", pa.int32()), ("children", pa.int64()), ("exact", pa.int64()), ("sets", pa.int64()), ("interactions", pa.int64()), ("seconds", pa.float64()), ("members", pa.list_(pa.string()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for row in batch.to_pylist():
-                x, w = np.array([r["a"] for r in row["rows"]], dtype=np.int64).T, np.array([r["w"] for r in row["rows"]], dtype=np.int64)
-                made = _timed(shape, row["g"], x, w, row["removed"], row["rep"], row["prune"], mode, delta, max_order)
-                yield pa.RecordBatch.from_arrays([pa.array([v], f.type) for v, f in zip(made, fields)], schema=fields)
+            for rows, g, removed, rep in zip(batch.column(0), *(c.to_pylist() for c in batch.columns[1:])):
+                w = np.asarray(rows.values.field("w"), dtype=np.int64)
+                x = np.asarray(rows.values.field("a").flatten(), dtype=np.int64).reshape(len(w), -1).T.copy()
+                made = [_timed(shape, g, x, w, removed, rep, prune, mode, delta, max_order) for prune in modes]
+                yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*made), fields)], schema=fields)
 
-    spread = asked.join(packs, "g").repartition(len(grid), "removed", "rep", "prune")
-    return spread.select("g", "rows", "removed", "rep", "prune").mapInArrow(run, RUNTIME)
+    spread = asked.join(packs, "g").select("rows", "g", "removed", "rep").repartition(curve_tasks(len(grid), frame.spark.sparkContext.defaultParallelism))
+    return spread.mapInArrow(run, RUNTIME)
+
+
+def curve_tasks(runs: int, cores: int) -> int:
+    """Tasks that runs are dealt to: one a run while they are few, then several a core, and never more than 64 runs in one."""
+    return max(min(runs, 16 * cores), -(-runs // 64))
 
 
 def _timed(shape: Frame, g: int, x: np.ndarray, w: np.ndarray, removed: int, rep: int, prune: str, mode: str, delta: float, max_order: int | None) -> tuple:
@@ -99,9 +106,12 @@ def _timed(shape: Frame, g: int, x: np.ndarray, w: np.ndarray, removed: int, rep
         reps = redundancy.representatives_of(part, x, w, delta)
         index = sorted([*reps, *([part.class_at] if part.class_at is not None else [])])
         own, x = sub_frame(part, index), x[index]
-    found = mine(own, mode, bounds=prune in ("bounds", "both"), max_order=max_order, groups=[g], count=counter(g, x, w, own.states))
+    found = local.mine(own, mode, g, x, w, bounds=prune in ("bounds", "both"), max_order=max_order)
     attributes, order = interactions.universe(found)
-    ii = len(interactions.mine_in_memory(x, w, own, attributes, order)) if attributes else 0
+    if attributes and interactions.fits(own, attributes, order):
+        ii = sum(len(values) for _, values in local.interactions(x, w, own, attributes, order, 5.0))
+    else:
+        ii = len(interactions.mine_in_memory(x, w, own, attributes, order)) if attributes else 0
     members = sorted(",".join(own.names[i] for i in s) for s in found.result[g])
     return removed, rep, prune, len(part.predictors), len(own.predictors), sum(v.children for v in found.levels), sum(v.exact for v in found.levels), len(members), ii, time.time() - began, members
 

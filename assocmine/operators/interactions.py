@@ -10,8 +10,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from assocmine.operators import metrics, permutation, redundancy
-from assocmine.operators.mining import Mined, check_local, counter, dealt, in_memory, shape_of, sub_frame
+from assocmine.operators import local, metrics, permutation, redundancy
+from assocmine.operators.mining import Mined, check_local, dealt, in_memory, shape_of, sub_frame
 from assocmine.operators.mining import mine as search
 from assocmine.plans import counts
 from assocmine.plans.materialize import materialize, ship_package
@@ -90,9 +90,12 @@ def recover(frame: Frame, reduced: Frame, sets: list[tuple[int, ...]], groups: d
 
 
 def mine_in_memory(x: np.ndarray, w: np.ndarray, frame: Frame, attributes: list[int], order: int, min_ratio: float = 5.0) -> dict[tuple[int, ...], float]:
-    """II as :func:`mine`, of one small data set: the sweep over the array of entropies, in place."""
+    """II as :func:`mine`, of one small data set: in arrays, or by the sweep over named sets, in place, if they are too many for arrays."""
     c = frame.class_at if frame.class_at in attributes else None
     predictors = [i for i in attributes if i != c]
+    if fits(frame, attributes, order, min_ratio):
+        full = lambda s: tuple(sorted((*s, c))) if c is not None else tuple(s)
+        return {full(s): v for members, ii in local.interactions(x, w, frame, attributes, order, min_ratio) for s, v in zip(members.tolist(), ii.tolist())}
     sets = [s for s in metrics.all_sets(predictors, 1, order)]
     if c is not None:
         sets = [*sets, (c,), *(tuple(sorted((*s, c))) for s in sets)]
@@ -104,6 +107,11 @@ def mine_in_memory(x: np.ndarray, w: np.ndarray, frame: Frame, attributes: list[
     return {s: -v for s, v in held.items() if len(s) > 1 and (c is None or c in s)}
 
 
+def fits(frame: Frame, attributes: list[int], order: int, min_ratio: float = 5.0) -> bool:
+    """Whether the subsets are few enough for arrays."""
+    return local.fits(sub_frame(frame, sorted(attributes)), "cac" if frame.class_at in attributes else "tc", order, min_ratio, local.MOST_SETS)
+
+
 II_SCHEMA = "g long, s array<int>, ii double, p double, nperm int, relation string"
 
 
@@ -125,7 +133,7 @@ def pipeline_each(frame: Frame, mode: str = "tc", delta: float | None = redundan
             kept = sorted([*reps, *([shape.class_at] if shape.class_at is not None else [])])
         own = sub_frame(shape, kept)
         x = x[kept]
-        attributes, order = universe(search(own, mode, groups=[g], count=counter(g, x, w, own.states), **options))
+        attributes, order = universe(local.mine(own, mode, g, x, w, **options))
         rows = []
         for s, ii in mine_in_memory(x, w, own, attributes, order).items() if attributes else ():
             cube = np.zeros(tuple(own.states[i] for i in s), dtype=np.int64)

@@ -5,7 +5,8 @@ sets of the frame at once. Between the passes the lattice is attribute metadata:
 attributes, never on the number of rows, and is guarded by ``max_sets``. Beyond that :mod:`assocmine.operators.lattice`
 keeps the lattice in tables.
 
-An experiment's many small data sets are mined by :func:`mine_each`, one task a data set, with the same code.
+An experiment's many small data sets are mined by :func:`mine_each`, one task a data set, with the same rules in arrays
+(:mod:`assocmine.operators.local`).
 """
 
 from __future__ import annotations
@@ -408,6 +409,8 @@ def mine_each(frame: Frame, mode: str = "tc", delta: float | None = None, greedy
     With ``delta`` each data set is first reduced by its own redundant attributes; members are indexes of the given frame.
     Bounds are off unless asked for: they change no result, and in memory a count costs less than the bounds that may save it.
     """
+    from assocmine.operators import local
+
     options = {"bounds": bool(options.get("siblings")), **options}
     check_local(frame)
     ship_package(frame.spark)
@@ -420,7 +423,7 @@ def mine_each(frame: Frame, mode: str = "tc", delta: float | None = None, greedy
             reps = redundancy.representatives_of(shape, x, w, delta, greedy)
             kept = sorted([*reps, *([shape.class_at] if shape.class_at is not None else [])])
         own = sub_frame(shape, kept)
-        found = mine(own, mode, groups=[g], count=counter(g, x[kept], w, own.states), **options)
+        found = local.mine(own, mode, g, x[kept], w, **options)
         rows = [(g_, [kept[i] for i in s], *rest) for g_, s, *rest in found.rows()]
         return pa.table([pa.array(c, f.type) for c, f in zip(list(zip(*rows)) or [()] * len(_ARROW), _ARROW)], schema=_ARROW)
 

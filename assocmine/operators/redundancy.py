@@ -100,12 +100,14 @@ def representatives(frame: Frame, delta: float = DELTA, context: str = "none", g
 def representatives_of(frame: Frame, x: np.ndarray, w: np.ndarray, delta: float = DELTA, greedy: str = "residual") -> dict[int, list[int]]:
     """The same for one data set in memory, without class context."""
     p = frame.predictors
-    h = {s: bits for s, bits, _ in counts.entropies_of(x, w, frame.states, [*((i,) for i in p), *combinations(p, 2)])}
+    h = np.array([bits for _, bits, _ in counts.entropies_of(x, w, frame.states, [*((i,) for i in p), *combinations(p, 2)])])
+    first, second = np.triu_indices(len(p), 1)  # pairs in the order of combinations
+    with np.errstate(invalid="ignore", divide="ignore"):  # an attribute with one value in this data set is redundant with none
+        hit = -(h[first] + h[second] - h[len(p) :]) / np.minimum(h[first], h[second]) <= -delta
     groups = {i: {i} for i in p}
-    for i, j in combinations(p, 2):
-        if -(h[i,] + h[j,] - h[i, j]) / min(h[i,], h[j,]) <= -delta:
-            groups[i].add(j)
-            groups[j].add(i)
+    for i, j in zip(first[hit].tolist(), second[hit].tolist()):
+        groups[p[i]].add(p[j])
+        groups[p[j]].add(p[i])
     return reduce(groups, greedy)
 
 
