@@ -169,6 +169,25 @@ def decode(encoded: DataFrame, path: str, keys: list[str]) -> DataFrame:
     return narrow.mapInArrow(run, schema)
 
 
+def encode_and_decode(docs: DataFrame, path: str, keys: list[str], text: str | Column = "text") -> DataFrame:
+    """``keys``, ``ids`` and ``decoded`` as by :func:`encode` and :func:`decode`, in one worker a task instead of two that each hold the vocabulary."""
+    ship_package(docs.sparkSession)
+    narrow = docs.select(*keys, F.col(text).alias("__text") if isinstance(text, str) else text.alias("__text"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tool, labels = tokenizer(path), automaton.arc_labels(path)
+        _trim()  # what loading the vocabulary has left free
+        for part in small(batches):
+            ids = [tool.encode(t) for t in utf8_values(part.column(len(keys)))]
+            texts = [spell(v, labels) for v in ids]
+            yield pa.RecordBatch.from_arrays([*part.columns[: len(keys)], pa.array(ids, pa.binary()), pa.array(texts, pa.string())], names=[*keys, "ids", "decoded"])
+        tool.forget()
+        _trim()
+
+    schema = ", ".join([*(f"`{k}` {narrow.schema[k].dataType.simpleString()}" for k in keys), "ids binary", "decoded string"])
+    return narrow.mapInArrow(run, schema)
+
+
 def digest(decoded: DataFrame) -> DataFrame:
     """One row per document with the counts and hashes of its ids and its decoded text."""
     return decoded.select(

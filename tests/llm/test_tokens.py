@@ -48,3 +48,13 @@ def test_planes_round_trip():
     for ids in ([], [0], [7, 0, 1], list(range(50_000)), [2**32 - 1, 5]):
         block = np.array(ids, "<u4")
         assert (token_files.Planes.join(token_files.Planes.split(block), len(block)) == block).all()
+
+
+def test_one_worker_encodes_and_decodes(spark):
+    """The pipeline's last stage: equal rows by one Python worker a task instead of two."""
+    path = public_path("word_bpe_49k.json")
+    docs = frame(spark, mixed_documents())
+    one = bpe.encode_and_decode(docs, path, ["doc_id"])
+    two = bpe.decode(bpe.encode(docs, path, ["doc_id"]), path, ["doc_id"])
+    assert one.columns == two.columns and sorted(one.collect(), key=str) == sorted(two.collect(), key=str)
+    assert one._jdf.queryExecution().executedPlan().toString().count("MapInArrow") == 1
