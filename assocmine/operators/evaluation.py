@@ -61,12 +61,13 @@ def ablation(frame: Frame, mode: str, prune: str, delta: float = redundancy.DELT
 RUNTIME = "removed int, rep int, prune string, attributes int, after_redundancy int, children long, exact long, sets long, interactions long, seconds double, members array<string>"
 
 
-def runtime_curve(frame: Frame, removals: Iterable[int], repeats: int, mode: str = "tc", delta: float = redundancy.DELTA, max_order: int | None = None, modes: tuple[str, ...] = MODES) -> DataFrame:
+def runtime_curve(frame: Frame, removals: Iterable[int], repeats: int, mode: str = "tc", delta: float = redundancy.DELTA, max_order: int | None = None, modes: tuple[str, ...] = MODES, timed: bool = True) -> DataFrame:
     """Seconds and cost of search and interaction miner for every number of removed attributes, repeat and choice of prunings.
 
     Attributes are removed in the order of md5 hashes. Repeat r takes the frame's data set number r, from the first again
     when all are used; there are as many repeats as data sets at least. A run over one data set makes all choices of
-    prunings, each timed by itself; tasks take several runs where there are many.
+    prunings, each timed by itself; tasks take several runs where there are many. Without ``timed`` the choices share the
+    entropies that they count and the redundant attributes, and ``seconds`` is null.
     """
     check_local(frame)
     ship_package(frame.spark)
@@ -84,7 +85,7 @@ def runtime_curve(frame: Frame, removals: Iterable[int], repeats: int, mode: str
             for rows, g, removed, rep in zip(batch.column(0), *(c.to_pylist() for c in batch.columns[1:])):
                 w = np.asarray(rows.values.field("w"), dtype=np.int64)
                 x = np.asarray(rows.values.field("a").flatten(), dtype=np.int64).reshape(len(w), -1).T.copy()
-                made = [_timed(shape, g, x, w, removed, rep, prune, mode, delta, max_order) for prune in modes]
+                made = _runs(shape, g, x, w, removed, rep, modes, mode, delta, max_order, timed)
                 yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*made), fields)], schema=fields)
 
     spread = asked.join(packs, "g").select("rows", "g", "removed", "rep").repartition(curve_tasks(len(grid), frame.spark.sparkContext.defaultParallelism))
@@ -96,24 +97,38 @@ def curve_tasks(runs: int, cores: int) -> int:
     return max(min(runs, 16 * cores), -(-runs // 64))
 
 
-def _timed(shape: Frame, g: int, x: np.ndarray, w: np.ndarray, removed: int, rep: int, prune: str, mode: str, delta: float, max_order: int | None) -> tuple:
+def _runs(shape: Frame, g: int, x: np.ndarray, w: np.ndarray, removed: int, rep: int, modes: tuple[str, ...], mode: str, delta: float, max_order: int | None, timed: bool) -> list[tuple]:
+    """A row for each choice of prunings."""
     kept = set(random_removal([shape.names[i] for i in shape.predictors], removed, rep))
     index = [i for i, name in enumerate(shape.names) if name in kept or (i == shape.class_at and mode == "cac")]
     part, x = sub_frame(shape, index), x[index]
+    if timed:
+        return [(removed, rep, prune, *_run(part, g, x, w, prune, mode, delta, max_order)) for prune in modes]
+    known = local.Known(len(part.names))
+    reps = redundancy.representatives_of(part, x, w, delta) if {"redundancy", "both"} & set(modes) else None
+    return [(removed, rep, prune, *(row := _run(part, g, x, w, prune, mode, delta, max_order, reps, known))[:6], None, row[7]) for prune in modes]
+
+
+def _timed(shape: Frame, g: int, x: np.ndarray, w: np.ndarray, removed: int, rep: int, prune: str, mode: str, delta: float, max_order: int | None) -> tuple:
+    return _runs(shape, g, x, w, removed, rep, (prune,), mode, delta, max_order, True)[0]
+
+
+def _run(part: Frame, g: int, x: np.ndarray, w: np.ndarray, prune: str, mode: str, delta: float, max_order: int | None, reps: Iterable[int] | None = None, known: local.Known | None = None) -> tuple:
     began = time.time()
-    own = part
+    own, index = part, list(range(len(part.names)))
     if prune in ("redundancy", "both"):
-        reps = redundancy.representatives_of(part, x, w, delta)
+        reps = redundancy.representatives_of(part, x, w, delta) if reps is None else reps
         index = sorted([*reps, *([part.class_at] if part.class_at is not None else [])])
         own, x = sub_frame(part, index), x[index]
-    found = local.mine(own, mode, g, x, w, bounds=prune in ("bounds", "both"), max_order=max_order)
+    place = np.array([i for i in index if mode != "cac" or i != part.class_at], dtype=np.int64)
+    found = local.mine(own, mode, g, x, w, known=known, place=place, bounds=prune in ("bounds", "both"), max_order=max_order)
     attributes, order = interactions.universe(found)
     if attributes and interactions.fits(own, attributes, order):
         ii = sum(len(values) for _, values in local.interactions(x, w, own, attributes, order, 5.0))
     else:
         ii = len(interactions.mine_in_memory(x, w, own, attributes, order)) if attributes else 0
     members = sorted(",".join(own.names[i] for i in s) for s in found.result[g])
-    return removed, rep, prune, len(part.predictors), len(own.predictors), sum(v.children for v in found.levels), sum(v.exact for v in found.levels), len(members), ii, time.time() - began, members
+    return len(part.predictors), len(own.predictors), sum(v.children for v in found.levels), sum(v.exact for v in found.levels), len(members), ii, time.time() - began, members
 
 
 def bound_gap(bounds: DataFrame) -> DataFrame:

@@ -27,10 +27,45 @@ _ZONES = (WEAK, MIDDLE, STRONG)
 _WEAK, _MIDDLE, _STRONG = range(3)
 
 
+class Known:
+    """Entropies that searches of one data set have counted, by rank among ``p`` attributes: searches over some of these share them."""
+
+    def __init__(self, p: int):
+        self.choose = _binomials(p)
+        self.p, self.order = p, {}
+
+    def entropies(self, cells: Cells, members: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """As :meth:`Cells.count`, which is asked for the sets that are not known; ``place`` has the number of each attribute here."""
+        k = members.shape[1]
+        if k not in self.order:
+            self.order[k] = np.full((2, math.comb(self.p, k)), np.nan)
+        known, rank = self.order[k], _rank(self.choose, place[members])
+        new = np.isnan(known[0, rank])
+        if new.any():
+            known[:, rank[new]] = cells.count(members[new])
+        return known[0, rank], known[1, rank]
+
+
+def _binomials(p: int) -> np.ndarray:
+    binomial = [[math.comb(v, k) for v in range(p + 1)] for k in range(1, min(p, 24) + 2)]
+    return np.array([[min(v, 1 << 40) for v in row] for row in binomial], dtype=np.int64)
+
+
+def _rank(choose: np.ndarray, members: np.ndarray) -> np.ndarray:
+    out = np.zeros(len(members), dtype=np.int64)
+    for j in range(members.shape[1]):
+        out += choose[j, members[:, j]]
+    return out
+
+
 class Cells:
-    """Entropies of sets of a data set's attributes; with a class, of the sets with it as well."""
+    """Entropies of sets of a data set's attributes; with a class, of the sets with it as well.
+
+    With ``known``, entropies are taken from there where they are known, ``place`` being the attributes' numbers in it.
+    """
 
-    def __init__(self, x: np.ndarray, w: np.ndarray, states: tuple[int, ...], class_at: int | None = None):
+    def __init__(self, x: np.ndarray, w: np.ndarray, states: tuple[int, ...], class_at: int | None = None, known: Known | None = None, place: np.ndarray | None = None):
+        self.known, self.place = known, place
         self.attributes = np.array([i for i in range(len(states)) if i != class_at], dtype=np.int64)
         self.c, self.states = class_at, np.array(states, dtype=np.int64)
         self.r = self.states[self.attributes]
@@ -43,8 +78,7 @@ class Cells:
         n = np.arange(self.n + 1, dtype=np.float64)
         self.plogp = n * np.log2(np.maximum(n, 1.0))
         self.kind = np.uint8 if self.n < 1 << 8 else np.uint16 if self.n < 1 << 16 else np.int32
-        binomial = [[math.comb(v, k) for v in range(self.p + 1)] for k in range(1, min(self.p, 24) + 2)]
-        self.choose = np.array([[min(v, 1 << 40) for v in row] for row in binomial], dtype=np.int64)
+        self.choose = _binomials(self.p)
         self.hc = float(self._entropy(self._counts(np.empty((1, 0), dtype=np.int64), ()))[1][0]) if class_at is not None else 0.0
 
     def sets(self, k: int) -> np.ndarray:
@@ -53,10 +87,7 @@ class Cells:
         return flat.reshape(-1, k)
 
     def rank(self, members: np.ndarray) -> np.ndarray:
-        out = np.zeros(len(members), dtype=np.int64)
-        for j in range(members.shape[1]):
-            out += self.choose[j, members[:, j]]
-        return out
+        return _rank(self.choose, members)
 
     def below(self, members: np.ndarray) -> list[np.ndarray]:
         """Ranks of the subsets with one member fewer, in the order of ``combinations``: the last member goes first."""
@@ -69,6 +100,10 @@ class Cells:
 
     def entropies(self, members: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Entropies of sets of one order and, with a class, of the sets with it."""
+        return self.count(members) if self.known is None else self.known.entropies(self, members, self.place)
+
+    def count(self, members: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The same, counted."""
         h, hc = np.empty(len(members)), np.empty(len(members))
         if not len(members):
             return h, hc
@@ -259,18 +294,21 @@ def fits(frame: Frame, mode: str, max_order: int | None, min_ratio: float, most:
     return bool(states) and frame.n > 0
 
 
-def mine(frame: Frame, mode: str, g: int, x: np.ndarray, w: np.ndarray, **options) -> Mined:
-    """One data set's search: in arrays, or set by set where that is asked for or there are too many sets for arrays."""
+def mine(frame: Frame, mode: str, g: int, x: np.ndarray, w: np.ndarray, known: Known | None = None, place: np.ndarray | None = None, **options) -> Mined:
+    """One data set's search: in arrays, or set by set where that is asked for or there are too many sets for arrays.
+
+    Searches in arrays share what they count through ``known`` (see :class:`Cells`); it must be of this data set and mode.
+    """
     plain = dict(rule="tree", siblings=False, subset_check="immediate", v_mode="product", tight=True)
     limits = dict(max_order=None, min_ratio=5.0, max_sets=3_000_000) | {k: options[k] for k in ("max_order", "min_ratio", "max_sets") if k in options}
     if (mode == "cac" and frame.class_at is None) or any(options.get(k, v) != v for k, v in plain.items()) or not fits(frame, mode, limits["max_order"], limits["min_ratio"], min(MOST_SETS, limits["max_sets"])):
         return mine_by_sets(frame, mode, groups=[g], count=counter(g, x, w, frame.states), **options)
-    return _mine(frame, mode, g, x, w, **{k: v for k, v in options.items() if k not in plain and k != "max_sets"})
+    return _mine(frame, mode, g, x, w, known=known, place=place, **{k: v for k, v in options.items() if k not in plain and k != "max_sets"})
 
 
-def _mine(frame: Frame, mode: str, g: int, x: np.ndarray, w: np.ndarray, alpha_high: float = ALPHA_HIGH, alpha_low: float = ALPHA_LOW, max_order: int | None = None, bounds: bool = True, first_order: int = 1, min_ratio: float = 5.0, min_bits: float = 0.0) -> Mined:
+def _mine(frame: Frame, mode: str, g: int, x: np.ndarray, w: np.ndarray, alpha_high: float = ALPHA_HIGH, alpha_low: float = ALPHA_LOW, max_order: int | None = None, bounds: bool = True, first_order: int = 1, min_ratio: float = 5.0, min_bits: float = 0.0, known: Known | None = None, place: np.ndarray | None = None) -> Mined:
     check_alphas(alpha_high, alpha_low)
-    cells = Cells(x, w, frame.states, frame.class_at if mode == "cac" else None)
+    cells = Cells(x, w, frame.states, frame.class_at if mode == "cac" else None, known, place)
     run, p = _Run(cells, alpha_high, alpha_low, min_ratio), cells.p
     start = first_order if mode == "cac" else 2
     top = max_order if max_order is not None else p
